@@ -4,7 +4,7 @@ from __future__ import annotations
 
 from pyspark.sql import DataFrame, SparkSession
 
-from . import near_dup
+from . import chat, mixing, near_dup, secrets, sharding
 from ._common import table
 
 
@@ -12,9 +12,28 @@ def op1_minhash_near_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:
     return near_dup.near_duplicates(table(spark, sf_dir, "documents"))
 
 
+def op2_secret_scan(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return secrets.scan(table(spark, sf_dir, "documents"))
+
+
+def op5_mix_sources(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return mixing.mix(table(spark, sf_dir, "documents")).drop("times")
+
+
+def op7_rendezvous_sharding(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return sharding.assign(table(spark, sf_dir, "documents"))
+
+
+def op8_chat_format(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return chat.format_chat(table(spark, sf_dir, "conversations"))
+
+
+_ALL = (op1_minhash_near_dedup, op2_secret_scan, op5_mix_sources, op7_rendezvous_sharding, op8_chat_format)
+
+
 def queries() -> dict:
-    return {f.__name__: f for f in (op1_minhash_near_dedup,)}
+    return {f.__name__: f for f in _ALL}
 
 
 def oracle_sql() -> dict:
-    return {}
+    return {"op5_mix_sources": mixing.ORACLE, "op8_chat_format": chat.ORACLE}
