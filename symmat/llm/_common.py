@@ -4,7 +4,7 @@ from __future__ import annotations
 
 import math
 import tempfile
-from collections.abc import Iterator
+from collections.abc import Iterable, Iterator
 
 import numpy as np
 import pyarrow as pa
@@ -67,6 +67,32 @@ def chunks(offsets: np.ndarray, most: int = CHUNK_BYTES) -> Iterator[tuple[int,
         i = min(j, n)
 
 
+def runs(batches: Iterable[pa.RecordBatch], keys: list[str]) -> Iterator[pa.Table]:
+    """The rows of each key as a table, from batches that are sorted by ``keys`` (no nulls in them), over batch borders."""
+    held: list[pa.RecordBatch] = []
+    last = None
+    for batch in batches:
+        if not len(batch):
+            continue
+        cols = [batch.column(k).to_numpy(zero_copy_only=False) for k in keys]
+        change = np.zeros(len(batch), bool)
+        for c in cols:
+            change[1:] |= c[1:] != c[:-1]
+        head = tuple(c[0] for c in cols)
+        if held and head != last:
+            yield pa.Table.from_batches(held)
+            held = []
+        edges = [0, *np.flatnonzero(change).tolist(), len(batch)]
+        for s, e in zip(edges[:-1], edges[1:]):
+            if s:
+                yield pa.Table.from_batches(held)
+                held = []
+            held.append(batch.slice(s, e - s))
+        last = tuple(c[-1] for c in cols)
+    if held:
+        yield pa.Table.from_batches(held)
+
+
 _M1, _M2 = np.uint64(0xFF51AFD7ED558CCD), np.uint64(0xC4CEB9FE1A85EC53)
 _S = np.uint64(33)
 

@@ -7,9 +7,11 @@ that leave one position out: all pairs within that distance share a key. Farther
 judged as well, since every candidate is confirmed on the full sets. At similarity 0.85, a pair shares no key with a
 chance of about 3e-7.
 
-Documents of equal shingle sets are one class, of which only the representative (smallest doc_id) is searched. In a
-bucket, members are compared with the bucket's smallest first; only pairs of members that are not yet in one component
-then meet each other, so a large group of copies costs rows in proportion to its size.
+Documents of equal shingle sets are one class, of which only the representative (smallest doc_id) is searched. The
+members of a bucket belong to the bucket's hub, its smallest member; buckets of one hub form one group, so any two that
+share a bucket share a group. Groups are cut into tiles of bounded size, every two of which meet in one task. There,
+members without a near signature go first; of the rest, links are counted on the full sets and leave as a spanning
+forest, so a large group of copies costs rows in proportion to its size, and no pair is a row.
 """
 
 from __future__ import annotations
@@ -21,15 +23,15 @@ import pyarrow as pa
 from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
-from ._common import WordHasher, chunks, components, cut, mix64, utf8, word_spans
+from ._common import WordHasher, chunks, components, cut, mix64, runs, utf8, word_spans
 
 SHINGLE = 5
 CHUNKS, WIDTH, ERRORS, BITS = 12, 7, 1, 16
 POSITIONS = CHUNKS * WIDTH
-#: Pairs whose signatures differ in more positions are not confirmed: at similarity 0.85, over 9 deviations from the mean.
-FARTHEST = 44
+#: Pairs whose signatures differ in more positions are not confirmed: at similarity 0.85, over 6 deviations from the mean.
+FARTHEST = 33
 LINK_PERCENT = 85
-#: Members of one bucket that meet in one tile of the pair join.
+#: Members of a group in one tile.
 TILE = 256
 
 _RNG = np.random.default_rng(7)
@@ -133,21 +135,59 @@ def _full_sets(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
             yield pa.RecordBatch.from_arrays([ids.slice(i, j - i), pa.ListArray.from_arrays(to, pa.array(np.concatenate([*own, np.zeros(0, np.uint64)]).view(np.int64)))], names=["id", "set"])
 
 
-def _close(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-    for batch in batches:
-        a, b = (np.frombuffer(b"".join(batch.column(c).to_pylist()), np.uint16).reshape(-1, POSITIONS) for c in ("sig_a", "sig_b"))
-        yield batch.select(["a", "b"]).filter(pa.array((a != b).sum(axis=1) <= FARTHEST))
-
-
-def confirm(pairs: DataFrame, reps: DataFrame, sets: DataFrame, percent: int = LINK_PERCENT) -> DataFrame:
-    """The rows (a, b) of ``pairs`` whose full sets have 100 * intersection >= percent * union."""
-    slim = lambda s: reps.select(F.col("rep").alias(s), F.col("n_shingles").alias(f"n_{s}"), F.col("sig").alias(f"sig_{s}"))
-    near = pairs.join(slim("a"), "a").join(slim("b"), "b").where(F.least("n_a", "n_b") * 100 >= F.greatest("n_a", "n_b") * percent)
-    near = near.select("a", "b", "sig_a", "sig_b").mapInArrow(_close, "a long, b long")
-    full = lambda s: sets.select(F.col("id").alias(s), F.col("set").alias(f"set_{s}"))
-    both = near.join(full("a"), "a").join(full("b"), "b")
-    common = F.size(F.array_intersect("set_a", "set_b"))
-    return both.withColumn("common", common).where(F.col("common") * 100 >= (F.size("set_a") + F.size("set_b") - F.col("common")) * percent).select("a", "b")
+def _promising(rows: pa.Table) -> pa.Table:
+    """Of a tile of (hub, i, j, rep, n_shingles, sig): the members that have a partner near enough to be worth full sets."""
+    sig = np.frombuffer(b"".join(rows.column("sig").to_pylist()), np.uint16).reshape(-1, POSITIONS)
+    n = rows.column("n_shingles").to_numpy().astype(float)
+    apart = np.zeros((len(sig), len(sig)), np.uint8)
+    for k in range(POSITIONS):
+        apart += sig[:, k, None] != sig[None, :, k]
+    near = (apart <= FARTHEST) & (np.minimum(n[:, None], n[None]) * 100 >= np.maximum(n[:, None], n[None]) * LINK_PERCENT)
+    np.fill_diagonal(near, False)
+    return rows.select(["hub", "i", "j", "rep"]).filter(pa.array(near.any(axis=1)))
+
+
+def _linked(rows: pa.Table, percent: int) -> pa.Table:
+    """A spanning forest (a, b) of the links within a tile of (rep, set), by counts of common shingles over column blocks."""
+    sets = rows.column("set").combine_chunks()
+    size = np.diff(sets.offsets.to_numpy()).astype(np.int64)
+    _, at, seen = np.unique(sets.flatten().to_numpy(), return_inverse=True, return_counts=True)
+    member = np.repeat(np.arange(len(size)), size)
+    often = seen[at] > 1
+    at, member = (np.cumsum(seen > 1) - 1)[at[often]], member[often]
+    order = np.argsort(at, kind="stable")
+    at, member = at[order], member[order]
+    common = np.zeros((len(size), len(size)), np.float64)
+    for low in range(0, int((seen > 1).sum()), 4096):
+        s, e = np.searchsorted(at, (low, low + 4096))
+        block = np.zeros((len(size), 4096), np.float32)
+        block[member[s:e], at[s:e] - low] = 1
+        common += block @ block.T
+    link = common * 100 >= (size[:, None] + size[None] - common) * percent
+    a, b, left = [], [], np.ones(len(size), bool)
+    for root in range(len(size)):
+        stack = [root] if left[root] else []
+        left[root] = False
+        while stack:
+            x = stack.pop()
+            new = np.flatnonzero(link[x] & left)
+            left[new] = False
+            a += [x] * len(new)
+            b += new.tolist()
+            stack += new.tolist()
+    rep = rows.column("rep").to_numpy()
+    return pa.table({"a": rep[np.array(a, int)], "b": rep[np.array(b, int)]})
+
+
+def _by_tile(rows: DataFrame, work, schema: str) -> DataFrame:
+    """``work`` on each tile (hub, i, j) of ``rows``; tiles are bounded, and each is whole in one task."""
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for tile in runs(batches, ["hub", "i", "j"]):
+            if len(tile) > 1:
+                yield from work(tile).to_batches()
+
+    return rows.repartition("hub", "i", "j").sortWithinPartitions("hub", "i", "j", "rep").mapInArrow(run, schema)
 
 
 def link(docs: DataFrame, percent: int = LINK_PERCENT) -> tuple[DataFrame, DataFrame, DataFrame]:
@@ -160,29 +200,22 @@ def link(docs: DataFrame, percent: int = LINK_PERCENT) -> tuple[DataFrame, DataF
     some = rows.where("n_shingles > 0 AND doc_id IS NOT NULL")
     classes = some.groupBy("k1", "k2", "n_shingles").agg(F.min("doc_id").alias("rep"))
     lead = classes.select(F.col("rep").alias("doc_id"), "k1", "k2", "n_shingles")
-    reps = cut(some.join(lead, ["doc_id", "k1", "k2", "n_shingles"]).groupBy(F.col("doc_id").alias("rep"), "k1", "k2", "n_shingles").agg(F.first("sig").alias("sig")))
+    reps = some.join(lead, ["doc_id", "k1", "k2", "n_shingles"]).groupBy(F.col("doc_id").alias("rep"), "n_shingles").agg(F.first("sig").alias("sig"))
+    reps = cut(reps)
     filed = reps.select("rep", "sig").mapInArrow(_file_under, "key long, rep long")
     by_key = Window.partitionBy("key").orderBy("rep")
-    shared = (
-        filed.select("key", "rep", F.first("rep").over(by_key).alias("hub"), F.lead("rep").over(by_key).alias("after"))
-        .where("rep <> hub OR after IS NOT NULL")
-        .select("key", "rep", "hub")
-    )
-    shared = cut(shared)
-    wanted = shared.select(F.col("rep").alias("id")).distinct()
-    texts = docs.select(F.col("doc_id").cast("long").alias("id"), F.col("text").cast("string")).join(wanted, "id", "left_semi").mapInArrow(_full_sets, "id long, set array<long>")
-    sets = cut(texts)
-    hubs = shared.where("rep <> hub").select(F.col("hub").alias("a"), F.col("rep").alias("b")).distinct()
-    first = cut(confirm(hubs, reps, sets, percent))
-    label = components(first).withColumnRenamed("id", "rep")
-    open_ = shared.join(label, "rep", "left").select("key", "rep", F.coalesce("component", "rep").alias("comp"))
-    mixed = open_.groupBy("key").agg(F.min("comp").alias("lo"), F.max("comp").alias("hi"), F.count("*").alias("n")).where("lo <> hi").select("key", F.ceil(F.col("n") / TILE).alias("tiles"))
-    open_ = open_.join(mixed, "key").withColumn("tile", F.pmod(F.hash("rep"), "tiles"))
-    left = open_.select("key", F.col("rep").alias("a"), F.col("comp").alias("ca"), "tile", F.explode(F.sequence(F.lit(0).cast("long"), F.col("tiles") - 1)).alias("other"))
-    right = open_.select("key", F.col("rep").alias("b"), F.col("comp").alias("cb"), F.col("tile").alias("other"))
-    rest = left.join(right, ["key", "other"]).where("a < b AND ca <> cb").select("a", "b").distinct()
-    second = confirm(rest, reps, sets, percent)
-    return rows, classes, cut(first.union(second))
+    shared = filed.select("key", "rep", F.first("rep").over(by_key).alias("hub"), F.lead("rep").over(by_key).alias("after"))
+    groups = cut(shared.where("rep <> hub OR after IS NOT NULL").select("hub", "rep").distinct())
+    size = groups.groupBy("hub").agg(F.ceil(F.count("*") / TILE).alias("tiles"))
+    placed = groups.join(size, "hub").withColumn("own", F.pmod(F.xxhash64("rep"), "tiles"))
+    placed = placed.select("hub", "rep", "own", F.explode(F.sequence(F.lit(0).cast("long"), F.col("tiles") - 1)).alias("other"))
+    tiles = placed.select("hub", F.least("own", "other").alias("i"), F.greatest("own", "other").alias("j"), "rep")
+    hopeful = cut(_by_tile(tiles.join(reps, "rep"), _promising, "hub long, i long, j long, rep long"))
+    wanted = hopeful.select(F.col("rep").alias("id")).distinct()
+    texts = docs.select(F.col("doc_id").cast("long").alias("id"), F.col("text").cast("string")).join(wanted, "id", "left_semi")
+    sets = texts.mapInArrow(_full_sets, "id long, set array<long>").withColumnRenamed("id", "rep")
+    links = _by_tile(hopeful.join(sets, "rep"), lambda tile: _linked(tile, percent), "a long, b long")
+    return rows, classes, cut(links.distinct())
 
 
 def near_duplicates(docs: DataFrame, percent: int = LINK_PERCENT) -> DataFrame:
