@@ -1,17 +1,39 @@
-"""Corpus preparation: the stages in order, each over all its predecessor kept."""
+"""Corpus preparation: the stages in order, each over all its predecessor kept.
+
+toxicity drops documents that score as toxic; near-dedup keeps one document of each group; the secret scan masks what it
+finds in the text; mixing repeats or leaves out documents to meet the sources' targets; packing lays the tokens out.
+"""
 
 from __future__ import annotations
 
 from pyspark.sql import DataFrame, SparkSession
+from pyspark.sql import functions as F
+
+from symmat.llm import mixing, near_dup, packing, secrets, toxicity
+
 
-from symmat.llm import near_dup
+def _toxicity(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
+    weights = toxicity.train(docs, spark.read.parquet(f"{sf_dir}/labels.parquet"))
+    return toxicity.drop_toxic(docs, weights)
 
 
 def _near_dedup(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
     return near_dup.drop_near_duplicates(docs)
 
 
-STAGES = [("minhash_near_dedup", _near_dedup)]
+def _secrets(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
+    return secrets.redact(docs).withColumn("n_chars", F.when(F.col("n_chars").isNotNull(), F.length("text").cast("long")))
+
+
+def _mixing(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
+    return mixing.resample(docs)
+
+
+def _packing(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
+    return packing.pack(docs)
+
+
+STAGES = [("toxicity", _toxicity), ("minhash_near_dedup", _near_dedup), ("secret_scan", _secrets), ("mix_sources", _mixing), ("packing", _packing)]
 ORACLE_SQL = None
 
 

@@ -4,7 +4,7 @@ from __future__ import annotations
 
 from pyspark.sql import DataFrame, SparkSession
 
-from . import chat, mixing, near_dup, secrets, sharding
+from . import chat, mixing, near_dup, packing, secrets, sharding, toxicity, url_filter
 from ._common import table
 
 
@@ -16,6 +16,15 @@ def op2_secret_scan(spark: SparkSession, sf_dir: str) -> DataFrame:
     return secrets.scan(table(spark, sf_dir, "documents"))
 
 
+def op3_url_filter(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return url_filter.judge(table(spark, sf_dir, "pages"))
+
+
+def op4_toxicity(spark: SparkSession, sf_dir: str) -> DataFrame:
+    docs = table(spark, sf_dir, "documents")
+    return toxicity.score(docs, toxicity.train(docs, table(spark, sf_dir, "labels")))
+
+
 def op5_mix_sources(spark: SparkSession, sf_dir: str) -> DataFrame:
     return mixing.mix(table(spark, sf_dir, "documents")).drop("times")
 
@@ -28,7 +37,11 @@ def op8_chat_format(spark: SparkSession, sf_dir: str) -> DataFrame:
     return chat.format_chat(table(spark, sf_dir, "conversations"))
 
 
-_ALL = (op1_minhash_near_dedup, op2_secret_scan, op5_mix_sources, op7_rendezvous_sharding, op8_chat_format)
+def op10_packing(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return packing.pack(table(spark, sf_dir, "documents"))
+
+
+_ALL = (op1_minhash_near_dedup, op2_secret_scan, op3_url_filter, op4_toxicity, op5_mix_sources, op7_rendezvous_sharding, op8_chat_format, op10_packing)
 
 
 def queries() -> dict:
