@@ -4,7 +4,7 @@ from __future__ import annotations
 
 from pyspark.sql import DataFrame, SparkSession
 
-from . import chat, mixing, near_dup, packing, secrets, sharding, toxicity, url_filter
+from . import ann, chat, embed_dedup, mixing, near_dup, packing, secrets, sharding, toxicity, url_filter
 from ._common import table
 
 
@@ -29,6 +29,10 @@ def op5_mix_sources(spark: SparkSession, sf_dir: str) -> DataFrame:
     return mixing.mix(table(spark, sf_dir, "documents")).drop("times")
 
 
+def op6_graph_ann(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return ann.search(table(spark, sf_dir, "embeddings"))
+
+
 def op7_rendezvous_sharding(spark: SparkSession, sf_dir: str) -> DataFrame:
     return sharding.assign(table(spark, sf_dir, "documents"))
 
@@ -37,11 +41,15 @@ def op8_chat_format(spark: SparkSession, sf_dir: str) -> DataFrame:
     return chat.format_chat(table(spark, sf_dir, "conversations"))
 
 
+def op9_embedding_near_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return embed_dedup.near_duplicates(table(spark, sf_dir, "embeddings"))
+
+
 def op10_packing(spark: SparkSession, sf_dir: str) -> DataFrame:
     return packing.pack(table(spark, sf_dir, "documents"))
 
 
-_ALL = (op1_minhash_near_dedup, op2_secret_scan, op3_url_filter, op4_toxicity, op5_mix_sources, op7_rendezvous_sharding, op8_chat_format, op10_packing)
+_ALL = (op1_minhash_near_dedup, op2_secret_scan, op3_url_filter, op4_toxicity, op5_mix_sources, op6_graph_ann, op7_rendezvous_sharding, op8_chat_format, op9_embedding_near_dedup, op10_packing)
 
 
 def queries() -> dict:
