@@ -182,7 +182,7 @@ def left(g: Blocks, y: DataFrame) -> DataFrame:
 
 
 def left_by(g: Blocks, y_of) -> np.ndarray:
-    """y'M where y is a function of the row ids (a vectorised formula): nothing but m numbers a task travels."""
+    """y'M where y is a function of the row ids (a vectorised formula, importable on the workers): nothing but m numbers a task travels."""
     return _sum(_partials(g, lambda ready, ids, f, _: ready.left(f(ids).astype(float)), y_of), g.m)
 
 
@@ -222,8 +222,12 @@ def cgls(g: Blocks, b: DataFrame, rounds: int = 50, tolerance: float = 1e-10) ->
     return x
 
 
+def ones(ids: np.ndarray) -> np.ndarray:
+    return np.ones(len(ids))
+
+
 def column_sums(g: Blocks) -> np.ndarray:
-    return left_by(g, lambda ids: np.ones(len(ids)))
+    return left_by(g, ones)
 
 
 def row_sums(g: Blocks) -> DataFrame:
