@@ -8,6 +8,7 @@ dealing into groups adds is at most about one window a group.
 
 from __future__ import annotations
 
+from array import array
 from collections.abc import Iterator
 from zlib import crc32
 
@@ -24,7 +25,9 @@ END = 2
 #: Remainders of one packing group on average.
 PIECES_PER_GROUP = 50_000
 #: Words whose ids a worker remembers at once.
-REMEMBERED = 300_000
+REMEMBERED = 600_000
+#: ASCII punctuation that forms a unit of its own behind letters; not the apostrophe, which may open an ending.
+MARKS = "!\"#$%&()*+,-./:;<=>?@[\\]^_`{|}~"
 
 
 def vocabulary() -> str:
@@ -44,23 +47,58 @@ class WordIds:
 
         self.tokenizer = Tokenizer.from_file(path)
         self.known: dict[str, bytes] = {}
+        self.former: dict[str, bytes] = {}
+        vocabulary = self.tokenizer.get_vocab()
+        self.last = np.zeros(max(vocabulary.values()) + 1, bool)
+        self.last[[i for t, i in vocabulary.items() if t.endswith("</w>")]] = True
+        self.marks: dict[str, bytes] = {"": b""}
+
+    def _letters(self, words: list[str]) -> dict[str, bytes]:
+        """Ids of words of letters, many at once: each is one unit for the tokenizer, and ends with the token that marks a word's end."""
+        out: dict[str, bytes] = {}
+        for s in range(0, len(words), 2_000):
+            part = words[s : s + 2_000]
+            ids = np.array(self.tokenizer.encode_batch_fast([" ".join(part)], add_special_tokens=False)[0].ids, "<u4")
+            at = np.flatnonzero(self.last[ids]) + 1
+            if len(at) != len(part):
+                raise ValueError("this tokenizer does not mark the ends of words")
+            raw = ids.tobytes()
+            ends = (4 * at).tolist()
+            out |= {w: raw[a:b] for w, a, b in zip(part, [0, *ends[:-1]], ends)}
+        return out
 
     def batch(self, texts: list[str | None]) -> list[bytes]:
         # str.split also splits at these separators, which the tokenizer keeps: such a text goes through it whole
         odd = [bool(t) and any(c in t for c in "\x1c\x1d\x1e\x1f\x85") for t in texts]
         split = [t.split() if t and not o else [] for t, o in zip(texts, odd)]
-        known = self.known
-        new = {w for words in split for w in words if w not in known}
-        if len(known) + len(new) > REMEMBERED:
-            known.clear()
-            new = {w for words in split for w in words}
-        fresh = list(new)
-        for s in range(0, len(fresh), 20_000):
-            part = fresh[s : s + 20_000]
-            for w, e in zip(part, self.tokenizer.encode_batch_fast(part, add_special_tokens=False)):
-                known[w] = np.array(e.ids, "<u4").tobytes()
+        distinct = set().union(*split)
+        if len(self.known) > REMEMBERED // 2:  # two generations: words that are met again move on, the others go
+            self.former, self.known = self.known, {}
+        known, former = self.known, self.former
+        fresh = distinct - known.keys()
+        again = fresh & former.keys()
+        for w in again:
+            known[w] = former[w]
+        fresh -= again
+        # the tokenizer cuts letters from ASCII marks behind them: such words are their letters' ids and the marks' ids
+        made, other = [], []
+        for w in fresh:
+            core = w.rstrip(MARKS)
+            if not core or core.isalpha():
+                made.append((w, core.lower() if core.isascii() else core, w[len(core) :]))
+            else:
+                other.append(w)
+        known.update(self._letters(list({core for _, core, _ in made} - known.keys() - {""})))
+        known[""] = b""
+        for tail in {tail for _, _, tail in made} - self.marks.keys():
+            self.marks[tail] = array("I", self.tokenizer.encode(tail, add_special_tokens=False).ids).tobytes()
+        known.update({w: known[core] + self.marks[tail] for w, core, tail in made})
+        if len(self.marks) > REMEMBERED // 10:
+            self.marks = {"": b""}
+        for w, e in zip(other, self.tokenizer.encode_batch_fast(other, add_special_tokens=False)):
+            known[w] = array("I", e.ids).tobytes()
         whole = lambda t: np.array(self.tokenizer.encode(t, add_special_tokens=False).ids, "<u4").tobytes()
-        return [whole(t) if o else b"".join([known[w] for w in words]) for t, o, words in zip(texts, odd, split)]
+        return [whole(t) if o else b"".join(map(known.__getitem__, words)) for t, o, words in zip(texts, odd, split)]
 
 
 def _pieces(path: str, window: int, end: int):
