@@ -27,6 +27,7 @@ PREFIXES = (4, 5, 6, 7)
 FIT_ROWS, FIT_BYTES = 16_000, 96 << 20
 EPOCHS, RATE, DECAY = 8, 1.0, 1e-6
 #: A feature counts if at least so many of the fitted documents have it; CALM keeps the first steps of rare ones small.
+#: It is the value of CALM that 14,000 documents get; fewer take proportionally less.
 LEAST_DOCS, CALM = 10, 10.0
 THRESHOLD = 0.7
 
@@ -80,7 +81,7 @@ def fit(texts: pa.Array, toxic: np.ndarray, epochs: int = EPOCHS, rate: float =
     rng = np.random.default_rng(seed)
     weights = np.zeros((1 << BUCKETS_LOG2) + 1)
     weights[-1] = -6.0
-    square = np.full(len(weights), CALM)
+    square = np.full(len(weights), max(1e-3, CALM * len(toxic) / 14_000))
     spans = list(chunks(offsets, 1 << 18))
     docs_with = np.zeros(len(weights), np.int64)
     for i, j in spans:

@@ -1,0 +1,306 @@
+"""The corpus operators on small tables with nulls, empty and odd texts, ties and repeated rows, against brute force."""
+
+import hashlib
+import math
+import re
+import zlib
+from collections import Counter, defaultdict
+
+import numpy as np
+import pytest
+
+from symmat.llm import ann, chat, embed_dedup, mixing, near_dup, packing, secrets, sharding, toxicity, url_filter
+
+DOCS = "doc_id long, text string, lang string, source string, n_chars long"
+WORD = re.compile(r"[^\x20\x09-\x0D]+")
+RNG = np.random.default_rng(12)
+VOCAB = ["".join(RNG.choice(list("abcdefghilmnorstu"), 6)) for _ in range(400)]
+
+
+def text(n, seed):
+    return " ".join(np.random.default_rng(seed).choice(VOCAB, n))
+
+
+def edited(t, k, seed):
+    w, r = t.split(), np.random.default_rng(seed)
+    for i in r.choice(len(w), k, replace=False):
+        w[i] = f"edit{r.integers(1e6)}"
+    return " ".join(w)
+
+
+@pytest.fixture(scope="module")
+def docs(spark):
+    base = [text(120, s) for s in range(20)]
+    texts = base + [base[0]] * 30 + [edited(base[1], k, 50 + k) for k in range(1, 9)] + [edited(base[2], 1, 70 + k) for k in range(40)]
+    texts += [None, "", " \t\n", "one", "One", "one two three four", "TWO words", text(9000, 99), base[3].upper(), "é ü " * 30, base[4] + "\x1c" + base[5]]
+    rows = [(i, t, "en" if i % 3 else None, None if i % 7 == 0 else f"src{i % 4}", i) for i, t in enumerate(texts)]
+    return spark.createDataFrame(rows + [rows[25]], DOCS)  # one row twice
+
+
+@pytest.fixture(scope="module")
+def empty(spark):
+    return spark.createDataFrame([], DOCS)
+
+
+def shingle_sets(rows):
+    out = {}
+    for r in rows:
+        w = WORD.findall(re.sub("[A-Z]+", lambda m: m[0].lower(), r.text or ""))
+        out[r.doc_id] = frozenset(tuple(w[i : i + 5]) for i in range(len(w) - 4)) if len(w) >= 5 else frozenset([tuple(w)] if w else [])
+    return out
+
+
+def brute_components(sets, percent=85):
+    up = {d: d for d in sets}
+
+    def root(x):
+        while up[x] != x:
+            x = up[x]
+        return x
+
+    for a in sets:
+        for b in sets:
+            if a < b and sets[a] and sets[b]:
+                n = len(sets[a] & sets[b])
+                if 100 * n >= percent * (len(sets[a]) + len(sets[b]) - n):
+                    x, y = sorted((root(a), root(b)))
+                    up[y] = x
+    return {d: root(d) for d in sets}
+
+
+def test_near_duplicates(docs, empty):
+    sets = shingle_sets(docs.collect())
+    want = brute_components(sets)
+    got = near_dup.near_duplicates(docs).collect()
+    assert len(got) == docs.count()
+    for r in got:
+        assert (r.n_shingles, r.component_id, r.kept) == (len(sets[r.doc_id]), want[r.doc_id], want[r.doc_id] == r.doc_id)
+    kept = near_dup.drop_near_duplicates(docs.withColumnRenamed("lang", "component_id"))
+    assert kept.columns[2] == "component_id" and Counter(r.doc_id for r in kept.collect()) == Counter(d for d, c in want.items() if c == d)
+    assert near_dup.near_duplicates(empty).count() == 0
+
+
+def test_signatures_within_the_distance_share_a_key():
+    rng = np.random.default_rng(5)
+    a = rng.integers(0, 1 << 16, (50, near_dup.POSITIONS)).astype(np.uint16)
+    b = a.copy()
+    most = near_dup.CHUNKS * (near_dup.ERRORS + 1) - 1
+    for i in range(50):
+        b[i, rng.choice(near_dup.POSITIONS, most, replace=False)] += 1
+    x, y = near_dup.chunk_keys(a), near_dup.chunk_keys(b)
+    assert all(set(p.tolist()) & set(q.tolist()) for p, q in zip(x, y))
+
+
+def windows(t, w=secrets.WINDOW):
+    def h(s):
+        return -sum(c / w * math.log2(c / w) for c in Counter(s).values())
+
+    return max(h(t[i : i + w]) for i in range(len(t) - w + 1))
+
+
+def test_secrets(spark, empty):
+    key = "aB3dE5fG7hI9jK1lM2nO4"
+    texts = [None, "", "password = 'hunter2hunter2' x", "Token:short", "token:secret = abcdefghijklmn", "AKIAABCDEFGHIJ1234 deadbeefdeadbeef0", "é😀 api_key=0123456789abcdef", f"see {key} end", "z1zzzzzzzzzzzzzzzzzzzzzzzzzzzzz",
+             "123e4567-e89b-12d3-a456-426614174000", f"example{key}", "AKIAAKIAAKIA", "password=token=abcdefghijkl", "x" * 5000 + " passwd:" + "q" * 40]
+    docs = spark.createDataFrame([(i, t, None, None, 0) for i, t in enumerate(texts)], DOCS)
+    assign = re.compile(secrets.ASSIGN, re.A)
+    for r in secrets.scan(docs).collect():
+        t = texts[r.doc_id] or ""
+        a = [(m.start(), 0, m.end()) for m in assign.finditer(t) if len(m[2]) >= 12]
+        k = [(m.start(), 1, m.end()) for m in re.finditer("AKIA[A-Z0-9]+", t) if len(m[0]) >= 18]
+        h = [(m.start(), 2, m.end()) for m in re.finditer("[0-9a-f]+", t) if len(m[0]) >= 16]
+        base = ",".join(f"{secrets.KINDS[i]}:{s}:{e}" for s, i, e in sorted(a + k + h))
+        assert (r.n_assign, r.n_access, r.n_hex, r.base_sha256) == (len(a), len(k), len(h), hashlib.sha256(base.encode()).hexdigest()), t
+        assert set(base.split(",")) - {""} <= set(r.spans.split(","))
+    found = {r.doc_id: r.spans for r in secrets.scan(docs).collect()}
+    assert found[7] == "entropy:4:25" and not found[8] and not found[9] and not found[10]
+    clean = {r.doc_id: r.text for r in secrets.redact(docs).collect()}
+    assert clean[2] == "[SECRET]' x" and clean[7] == "see [SECRET] end" and clean[0] is None and clean[3] == texts[3] and "😀" in clean[6]
+    best = spark.createDataFrame([(key,), ("abcabcabcabcabcabcabcabcx9",)], "t string").select("t", secrets.best_entropy(secrets.F.col("t")).alias("h")).collect()
+    assert all(r.h == pytest.approx(windows(r.t)) for r in best)
+    assert secrets.scan(empty).count() == 0 and secrets.redact(empty).count() == 0
+
+
+def test_urls(spark):
+    urls = [None, "", "no scheme", "HTTP://WWW.Example.NET/en/x?q#f", "https://example.com/de/1", "https://a.org/fr/2", "http://free-bets.example.org/en/1", "http://library.example.com/en/1", "x://h", "http://badexample.com/de/1", "http://net/", "http://é.com/ü"]
+    got = {r.page_id: r for r in url_filter.judge(spark.createDataFrame(list(enumerate(urls)), "page_id long, url string")).collect()}
+    assert (got[0].host, got[0].path, got[0].rule) == ("", "", None) and got[2].host == ""
+    assert (got[3].host, got[3].path, got[3].rule, got[3].verdict) == ("www.example.net", "/en/x", "example.net/en/", "allow")
+    assert (got[4].rule, got[5].rule, got[5].verdict) == ("example.com/de/", "org/fr/", "allow")
+    assert got[6].verdict == "block" and got[7].verdict == "allow" and got[9].rule is None and got[10].rule == "net/" and (got[8].host, got[8].path) == ("h", "")
+    w, b = url_filter.fit(url_filter.labelled())
+    wrong = sum((b + w[x].sum() / np.sqrt(len(x)) > 0) != bool(y) for h, p, y in url_filter.labelled() if len(x := url_filter.grams(h, p)))
+    assert wrong <= 0.02 * len(url_filter.labelled())
+
+
+def test_toxicity(spark, empty):
+    rng = np.random.default_rng(6)
+    rows, labels = [], []
+    for i in range(600):
+        s = [" ".join(rng.choice(VOCAB, 8)) for _ in range(6)]
+        bad = i % 4 == 0
+        if bad:
+            s[rng.integers(6)] += f" vile{rng.integers(30)}"
+        rows.append((i, ". ".join(s) + ".", None, None, 0))
+        labels.append((i, 1, int(bad)))
+    rows += [(1000, None, None, None, 0), (1001, "", None, None, 0), (1002, "... !!", None, None, 0)]
+    docs = spark.createDataFrame(rows, DOCS)
+    w = toxicity.train(docs, spark.createDataFrame(labels, "doc_id long, quality int, toxic int"))
+    got = {r.doc_id: r for r in toxicity.score(docs, w).collect()}
+    assert all(r.held_out == (zlib.crc32(str(d).encode()) % 3 == 1) for d, r in got.items())
+    held = [d for d in range(600) if got[d].held_out]
+    pos, neg = [got[d].score for d in held if d % 4 == 0], [got[d].score for d in held if d % 4]
+    assert np.mean([p > n for p in pos for n in neg]) > 0.95
+    hit = [d for d in held if d % 4 == 0 and got[d].predicted]
+    assert len(hit) > 0.7 * len(pos)
+    for d in hit:  # the worst sentence is the one with the word
+        t = rows[d][1]
+        at = len(t.encode()[: got[d].worst_at].decode())
+        assert "vile" in t[at : t.index(".", at)]
+    assert got[1000].score == got[1001].score == got[1002].score == 0
+    assert toxicity.score(empty, w).count() == 0
+    assert {r.doc_id for r in toxicity.drop_toxic(docs, w).collect()} == {d for d, r in got.items() if not r.predicted}
+
+
+def fill(sizes, weights=(5, 2, 1), most=3):
+    names = sorted((s for s in sizes if s is not None), key=lambda s: s.encode()) + [s for s in sizes if s is None]
+    w = {s: weights[i % 3] for i, s in enumerate(names)}
+    open_, left, out = set(names), sum(sizes.values()), {}
+    while True:
+        total = sum(w[s] for s in open_)
+        over = {s for s in open_ if left * w[s] / total >= most * sizes[s]} if open_ else set()
+        if not over:
+            return out | {s: left * w[s] / total for s in open_}
+        for s in over:
+            out[s] = most * sizes[s]
+        left, open_ = left - sum(most * sizes[s] for s in over), open_ - over
+
+
+def test_mixing(docs, empty):
+    sizes = defaultdict(int)
+    largest = defaultdict(int)
+    for r in docs.collect():
+        n = len(WORD.findall(r.text or ""))
+        sizes[r.source] += n
+        largest[r.source] = max(largest[r.source], n)
+    want = fill(sizes)
+    source = {r.doc_id: r.source for r in docs.collect()}
+    got = mixing.mix(docs).collect()
+    assert len(got) == docs.count()
+    taken = defaultdict(int)
+    for r in got:
+        assert r.target == pytest.approx(want[source[r.doc_id]]) and r.taken <= 3 * r["size"] and r.source_size == sizes[source[r.doc_id]]
+        taken[source[r.doc_id]] += r.taken
+    assert all(abs(taken[s] - want[s]) <= largest[s] for s in want)
+    again = sorted((r.doc_id, r.taken) for r in mixing.mix(docs.repartition(3)).collect())
+    assert again == sorted((r.doc_id, r.taken) for r in got)
+    assert mixing.mix(empty).count() == 0 and mixing.resample(empty).count() == 0
+    assert mixing.resample(docs).columns == docs.columns
+
+
+def test_sharding(docs, empty):
+    got = sharding.assign(docs).collect()
+    texts = {r.doc_id: r.text or "" for r in docs.collect()}
+    slots = defaultdict(list)
+    for r in got:
+        slots[r.shard].append(r.slot)
+        b = texts[r.doc_id].encode()
+        assert (r["size"], r.text_crc32) == (len(b) + 1, zlib.crc32(b)) and r.grown_shard in (r.shard, 16)
+    assert len(got) == docs.count() and all(sorted(s) == list(range(len(s))) for s in slots.values())
+    assert sharding.assign(empty).count() == 0
+    big = docs.sparkSession.range(20_000).selectExpr("id AS doc_id", "'' AS text")
+    heavy = Counter(r.shard for r in sharding.assign(big, (3.0, 1.0)).collect())
+    assert 0.72 < heavy[0] / 20_000 < 0.78
+
+
+def test_chat(spark):
+    call = '{"tool_calls": [{"name": "weather", "id": "b", "arguments": {"days": "two", "city": "$a"}}, {"id": "a", "name": "search", "arguments": {"query": "x"}}, {"id": "z", "name": "none", "arguments": {}}]}'
+    rows = [(1, 0, "user", "hi"), (1, 1, "assistant", call), (1, 2, "tool", '{"tool_call_id": "b", "content": "rain"}'), (1, 3, "tool", '{"content": "p", "tool_call_id": "a"}'), (1, 4, "tool", '{"tool_call_id": "q"}'),
+            (2, 0, "user", None), (2, 0, "user", None), (None, None, None, "{broken"), (3, 0, "user", 'a "quote"\n')]
+    df = spark.createDataFrame(rows, "conv_id long, turn long, role string, text string")
+    got = chat.format_chat(df).collect()
+    one = sorted((r for r in got if r.conv_id == 1), key=lambda r: r.position)
+    assert [r.turn for r in one] == [0, 1, 3, 2, 4] and [r.position for r in one] == [0, 1, 2, 3, 4]  # a's result before b's, which waits for it
+    assert (one[1].n_calls, one[1].n_linked, one[1].n_invalid) == (3, 2, 2) and [r.orphan for r in one] == [False] * 4 + [True]
+    assert len(got) == len(rows) and {r.line for r in got if r.conv_id == 3} == {'{"content":"a \\"quote\\"\\n","role":"user"}'}
+    assert chat.format_chat(df.where("conv_id > 9")).count() == 0
+    cyc = spark.createDataFrame([(1, "x", ["y"]), (1, "y", ["x"]), (1, "w", []), (1, "v", ["w"])], "conv_id long, id string, after array<string>")
+    assert {r.id: r.level for r in chat.levels(cyc).collect()} == {"x": None, "y": None, "w": 0, "v": 1}
+
+
+def vectors(spark):
+    r = np.random.default_rng(9)
+    x = r.standard_normal((300, 16))
+    x[50:110] = x[0] + 0.03 * r.standard_normal((60, 16))  # near copies
+    x[110:200] = x[1]  # equal ones
+    x[200] = x[2] * 7
+    rows = [(i, v.tolist(), 0) for i, v in enumerate(x)] + [(900, None, 0), (950, [0.0] * 16, 0), (951, [float("nan")] * 16, 0), (952, [None] + [1.0] * 15, 0)]
+    return x, spark.createDataFrame(rows, "vec_id long, embedding array<double>, label int")
+
+
+def test_vectors(spark):
+    x, df = vectors(spark)
+    y = x / np.linalg.norm(x, axis=1)[:, None]
+    s = y @ y.T
+    np.fill_diagonal(s, -2)
+    got = {r.vec_id: r for r in embed_dedup.near_duplicates(df).collect()}
+    assert len(got) == 304 and all((got[i].n_links, got[i].component_id, got[i].kept) == (0, i, True) for i in (900, 950, 951, 952))
+    link = s >= 0.95
+    comp = np.arange(300)
+    for _ in range(300):
+        new = np.minimum(comp, np.where(link, comp[None], 300).min(axis=1))
+        if (new == comp).all():
+            break
+        comp = new
+    assert [got[i].n_links for i in range(300)] == link.sum(axis=1).tolist() and [got[i].component_id for i in range(300)] == comp.tolist()
+    found = defaultdict(list)
+    for r in ann.search(df).collect():
+        found[r.query_id].append((r.rank, r.vec_id, r.score))
+    assert set(found) == {i for i in range(0, 300, 50)}
+    right = total = 0
+    for q, f in found.items():
+        f.sort()
+        best = sorted(range(300), key=lambda j: (-s[q, j], j))[:5]
+        assert [r for r, _, _ in f] == [1, 2, 3, 4, 5] and all(abs(c - s[q, v]) < 1e-12 for _, v, c in f)
+        right, total = right + len({v for _, v, _ in f} & {j for j in best} | {v for _, v, c in f if c >= s[q, best[-1]] - 1e-12}), total + 5
+    assert right >= 0.9 * total
+    none = df.where("vec_id >= 900")
+    assert ann.search(none).count() == 0 and embed_dedup.near_duplicates(none).count() == 4 and embed_dedup.near_duplicates(df.where("false")).count() == 0
+
+
+def test_packing(docs, empty):
+    tokenizers = pytest.importorskip("tokenizers")
+    t = tokenizers.Tokenizer.from_file(packing.vocabulary())
+    texts = {r.doc_id: r.text or "" for r in docs.collect()}
+    by, seq = defaultdict(list), defaultdict(list)
+    for r in packing.pack(docs).collect():
+        by[r.doc_id].append(r)
+        seq[r.sequence_id].append(r)
+    assert set(by) == set(texts)
+    for d, pieces in by.items():
+        ids = np.array(t.encode(texts[d], add_special_tokens=False).ids + [2], "<u4")
+        copies = 2 if d == 25 else 1
+        assert sum(p.length for p in pieces) == copies * len(ids)
+        assert all(zlib.crc32(ids[p.start : p.start + p.length].tobytes()) == p.ids_crc32 and p.doc_tokens == len(ids) for p in pieces)
+    for s in seq.values():
+        s.sort(key=lambda r: r.offset)
+        assert [r.offset for r in s] == np.cumsum([0] + [r.length for r in s])[:-1].tolist() and sum(r.length for r in s) <= 4096
+    assert packing.pack(empty).count() == 0
+
+
+def test_best_fit_against_a_plain_scan():
+    n = np.random.default_rng(3).integers(1, 101, 400)
+    number, offset = packing.best_fit(n, 100)
+    room: list[int] = []
+    for x in sorted(n.tolist(), reverse=True):
+        fit = [r for r in room if r >= x]
+        if fit:
+            room[room.index(min(fit))] -= x
+        else:
+            room.append(100 - x)
+    used = np.bincount(number, n)
+    assert sorted(used.tolist()) == sorted(100 - r for r in room)
+    for b in range(len(used)):
+        mine = np.flatnonzero(number == b)
+        mine = mine[np.argsort(offset[mine])]
+        assert offset[mine].tolist() == np.cumsum([0, *n[mine]])[:-1].tolist()
