@@ -39,7 +39,7 @@ class BlockSink:
         made.df.write.mode("overwrite").parquet(f"{self.path}/batch={batch}")
 
     def blocks(self, spark: SparkSession) -> Blocks:
-        return Blocks(spark.read.parquet(self.path).drop("batch").withColumn("block", F.monotonically_increasing_id().cast("int")), self.m, self.codec)
+        return Blocks(spark.read.parquet(self.path).withColumn("block", F.pmod(F.xxhash64("batch", "block"), F.lit(1 << 31)).cast("int")).drop("batch"), self.m, self.codec)
 
 
 def right(blocks: Blocks, x: np.ndarray) -> DataFrame:
@@ -86,12 +86,14 @@ def left_stream(cells: DataFrame, y_of_row=lambda row: 1 + F.pmod(row, F.lit(7))
 
 def windowed(events: DataFrame, length: str = "1 day", late: str = "2 days", slide: str | None = None) -> DataFrame:
     """Counts by type in tumbling or sliding windows under a watermark."""
-    return events.withWatermark("ts", late).groupBy(F.window("ts", length, slide), "event_type").agg(F.count("*").alias("n"))
+    timed = events.withColumn("ts", F.col("ts").cast("timestamp"))
+    return timed.withWatermark("ts", late).groupBy(F.window("ts", length, slide), "event_type").agg(F.count("*").alias("n"))
 
 
 def sessions(events: DataFrame, gap: str = "30 minutes", late: str = "2 days") -> DataFrame:
     """Events per user and session."""
-    return events.withWatermark("ts", late).groupBy(F.session_window("ts", gap), "user_id").agg(F.count("*").alias("n"))
+    timed = events.withColumn("ts", F.col("ts").cast("timestamp"))
+    return timed.withWatermark("ts", late).groupBy(F.session_window("ts", gap), "user_id").agg(F.count("*").alias("n"))
 
 
 def daily_counts(spark: SparkSession, sf_dir: str) -> DataFrame:

@@ -390,9 +390,9 @@ def _(spark, d):
     return _round_y(append.replay_events(spark, d))
 
 
-@_query("windowed_events", "SELECT CAST(time_bucket(INTERVAL 1 DAY, ts) AS DATE) AS day, event_type, count(*)::BIGINT AS n FROM events GROUP BY 1, 2")
+@_query("windowed_events", "SELECT strftime(ts, '%Y-%m-%d') AS day, event_type, count(*)::BIGINT AS n FROM events GROUP BY 1, 2")
 def _(spark, d):
-    return append.daily_counts(spark, d)
+    return append.daily_counts(spark, d).withColumn("day", F.col("day").cast("string"))
 
 
 @_query("sql_right", _right_sql("conversation_roles"))
@@ -405,10 +405,10 @@ def _(spark, d):
     return sqlfn.expand_by_udtf(spark, standins.view(spark, d, "conversation_roles"))
 
 
-@_query("cube_size_report", f"{_cells('lineitem_onehot')} SELECT block::INTEGER AS block, col::INTEGER AS col, count(*)::BIGINT AS n FROM (SELECT row_id // (SELECT ((count(*) + 3) // 4) FROM lineitem) AS block, col FROM cells) z GROUP BY CUBE (block, col)")
+@_query("cube_size_report", f"{_cells('lineitem_onehot')} SELECT coalesce(block::INTEGER, -1) AS block, coalesce(col::INTEGER, -1) AS col, count(*)::BIGINT AS n FROM (SELECT row_id // (SELECT ((count(*) + 3) // 4) FROM lineitem) AS block, col FROM cells) z GROUP BY CUBE (block, col)")
 def _(spark, d):
     v = standins.view(spark, d, "lineitem_onehot")
-    return v.cells.select(multiply.block_of(v, 4).alias("block"), "col").cube("block", "col").agg(F.count("*").alias("n"))
+    return v.cells.select(multiply.block_of(v, 4).alias("block"), "col").cube("block", "col").agg(F.count("*").alias("n")).select(F.coalesce("block", F.lit(-1)).alias("block"), F.coalesce("col", F.lit(-1)).alias("col"), "n")
 
 
 _HALF = "h AS (SELECT DISTINCT col, val, row_id < (SELECT (count(*) + 1) // 2 FROM lineitem) AS first FROM cells)"
