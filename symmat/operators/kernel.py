@@ -367,13 +367,13 @@ class Ready:
     def right(self, x: np.ndarray) -> np.ndarray:
         u = self.symbol_values(x)[self.c]
         if u.ndim == 1:
-            return np.bincount(self.row, u, self.n)
+            return np.bincount(self.row, u, self.n).astype(float)  # without symbols, bincount counts in integers
         return np.stack([np.bincount(self.row, u[:, k], self.n) for k in range(u.shape[1])], axis=1)
 
     def symbol_sums(self, y: np.ndarray) -> np.ndarray:
         """Sum of y over the rows that each terminal and rule reaches: seeded by the final string, pushed down level by level."""
         t = len(self.used)
-        g = np.bincount(self.c, y[self.row], t + len(self.rules))
+        g = np.bincount(self.c, y[self.row], t + len(self.rules)).astype(float)
         for a, b in zip(self.bounds[-2::-1], self.bounds[:0:-1]):
             g += np.bincount(self.rules[a:b].ravel(), np.repeat(g[t + a : t + b], 2), len(g))
         return g
@@ -381,7 +381,7 @@ class Ready:
     def left(self, y: np.ndarray) -> np.ndarray:
         if y.ndim == 2:
             return np.stack([self.left(y[:, k]) for k in range(y.shape[1])], axis=1)
-        return np.bincount(self.col, self.symbol_sums(y)[: len(self.used)] * self.value, self.m)
+        return np.bincount(self.col, self.symbol_sums(y)[: len(self.used)] * self.value, self.m).astype(float)
 
     @property
     def additions(self) -> int:

@@ -316,7 +316,7 @@ def blockwise(view: MatrixView, blocks: int = 16, algorithms: tuple[str, ...] =
 
     def work(key: tuple, rows: pa.Table) -> pa.Table:
         rows = rows.sort_by("row_id")
-        edges = local_edges([np.array(x) for x in rows.column("cols").to_pylist()], [np.array(x) for x in rows.column("vals").to_pylist()], m, k)
+        edges = local_edges([np.array(x, np.int64) for x in rows.column("cols").to_pylist()], [np.array(x, float) for x in rows.column("vals").to_pylist()], m, k)
         out = []
         for name in names:
             order = np.array(ALGORITHMS[name](edges, m))
