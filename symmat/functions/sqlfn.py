@@ -9,6 +9,7 @@ import numpy as np
 import pandas as pd
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
+from pyspark.sql import types as T
 
 from ..model import Blocks, MatrixView
 from ..operators import codec as codecs
@@ -26,12 +27,12 @@ class ExpandBlock:
         yield from zip(row.tolist(), sym.tolist())
 
 
-@F.pandas_udf("int")
+@F.pandas_udf(T.IntegerType())
 def bit_width(largest: pd.Series) -> pd.Series:
     return largest.map(lambda v: codecs.width_of(int(v))).astype("int32")
 
 
-@F.pandas_udf("double")
+@F.pandas_udf(T.DoubleType())
 def entropy_of(counts: pd.Series) -> float:
     """Order-0 entropy in bits of a group of counts."""
     p = counts[counts > 0] / counts.sum()
