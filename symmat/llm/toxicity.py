@@ -30,6 +30,8 @@ EPOCHS, RATE, DECAY = 8, 1.0, 1e-6
 #: It is the value of CALM that 14,000 documents get; fewer take proportionally less.
 LEAST_DOCS, CALM = 10, 10.0
 THRESHOLD = 0.7
+#: Small tables get more epochs, until the fit has made so many steps.
+LEAST_STEPS = 60
 
 _BLANK = np.zeros(256, bool)
 _BLANK[list(range(0x21))] = True
@@ -90,7 +92,7 @@ def fit(texts: pa.Array, toxic: np.ndarray, epochs: int = EPOCHS, rate: float =
         docs_with += np.bincount(pairs % len(weights), minlength=len(weights))
     known = docs_with >= min(LEAST_DOCS, max(1, len(toxic) // 20))
     known[-1] = True
-    for _ in range(epochs):
+    for _ in range(max(epochs, -(-LEAST_STEPS // max(1, len(spans))))):
         for s in rng.permutation(len(spans)):
             i, j = spans[s]
             f, sentence, doc, _ = features(flat[offsets[i] : offsets[j]], offsets[i : j + 1] - offsets[i], hasher)
