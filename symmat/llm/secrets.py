@@ -33,7 +33,7 @@ ALLOW = (
     r"(?i)example|sample|placeholder|changeme|dummy",
     r"^[0-9a-fA-F]{8}-[0-9a-fA-F]{4}-[0-9a-fA-F]{4}-[0-9a-fA-F]{4}-[0-9a-fA-F]{12}$",
     r"(.)\1{7,}",
-    r"^/?([a-z]+[/_-])+[a-z0-9]*/?$",
+    r"^/?(?:[a-z]++[/_-])++[a-z0-9]*/?$",  # possessive: long runs need no stack
 )
 KINDS = ("assign", "access", "hex", "entropy")
 _SPANS = "array<struct<start:int,end:int,text:string>>"
@@ -60,16 +60,19 @@ def _clog(c: Column) -> Column:
 
 def best_entropy(text: Column, window: int = WINDOW) -> Column:
     """The largest Shannon entropy, in bits, of any window of ``window`` characters of an ASCII text at least that long."""
-    codes = F.transform(F.sequence(F.lit(1), F.length(text)), lambda i: F.ascii(F.substring(text, i, F.lit(1))))
+    codes = F.transform(F.split(text, ""), F.ascii)  # one pass; a substring per place would be quadratic in the run
     zero = F.struct(F.array_repeat(F.lit(0), 128).alias("n"), F.lit(0.0).alias("s"), F.lit(math.inf).alias("least"), F.lit(0).alias("at"), codes.alias("codes"))
 
+    def plus(n: Column, code: Column, by: int) -> Column:
+        return F.concat(F.slice(n, F.lit(1), code), F.array(F.get(n, code) + by), F.slice(n, code + 2, F.lit(127) - code))
+
     def step(acc: Column, code: Column) -> Column:
         at = acc["at"] + 1
         gone = F.when(at > window, F.get(acc["codes"], at - 1 - window)).otherwise(F.lit(-1))
         old_in, old_out = F.get(acc["n"], code), F.coalesce(F.get(acc["n"], gone), F.lit(0))
         same = gone == code
         s = acc["s"] + F.when(same, 0.0).otherwise(_clog(old_in + 1) - _clog(old_in) + F.when(gone >= 0, _clog(old_out - 1) - _clog(old_out)).otherwise(0.0))
-        n = F.when(same, acc["n"]).otherwise(F.transform(acc["n"], lambda v, i: v + F.when(i == code, 1).otherwise(0) - F.when(i == gone, 1).otherwise(0)))
+        n = F.when(same, acc["n"]).when(gone >= 0, plus(plus(acc["n"], code, 1), gone, -1)).otherwise(plus(acc["n"], code, 1))
         return F.struct(n.alias("n"), s.alias("s"), F.when(at >= window, F.least(acc["least"], s)).otherwise(acc["least"]).alias("least"), at.alias("at"), acc["codes"].alias("codes"))
 
     least = F.aggregate(codes, zero, step, lambda acc: acc["least"])

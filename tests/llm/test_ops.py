@@ -98,6 +98,9 @@ def windows(t, w=secrets.WINDOW):
     return max(h(t[i : i + w]) for i in range(len(t) - w + 1))
 
 
+key_like = "aB3dE5fG7hI9jK1lM2nO4"
+
+
 def test_secrets(spark, empty):
     key = "aB3dE5fG7hI9jK1lM2nO4"
     texts = [None, "", "password = 'hunter2hunter2' x", "Token:short", "token:secret = abcdefghijklmn", "AKIAABCDEFGHIJ1234 deadbeefdeadbeef0", "é😀 api_key=0123456789abcdef", f"see {key} end", "z1zzzzzzzzzzzzzzzzzzzzzzzzzzzzz",
@@ -121,6 +124,15 @@ def test_secrets(spark, empty):
     assert secrets.scan(empty).count() == 0 and secrets.redact(empty).count() == 0
 
 
+def test_secrets_in_very_long_runs(spark):
+    r = np.random.default_rng(4)
+    blob = "".join(r.choice(list("abcdefghijklmnopqrstuvwxyzABCDEFGHIJKLMNOPQRSTUVWXYZ0123456789+/"), 200_000))
+    texts = ["ab-" * 60_000, "a/" * 60_000 + "x", blob, "-" * 300_000, "k1 " * 50_000, "é" * 100_000 + f" {key_like} "]
+    docs = spark.createDataFrame([(i, t, None, None, 0) for i, t in enumerate(texts)], DOCS)
+    found = {r.doc_id: r.spans for r in secrets.scan(docs).collect()}
+    assert found == {0: "", 1: "", 2: f"entropy:0:{len(blob)}", 3: "", 4: "", 5: f"entropy:100001:{100_001 + len(key_like)}"}
+
+
 def test_urls(spark):
     urls = [None, "", "no scheme", "HTTP://WWW.Example.NET/en/x?q#f", "https://example.com/de/1", "https://a.org/fr/2", "http://free-bets.example.org/en/1", "http://library.example.com/en/1", "x://h", "http://badexample.com/de/1", "http://net/", "http://é.com/ü"]
     got = {r.page_id: r for r in url_filter.judge(spark.createDataFrame(list(enumerate(urls)), "page_id long, url string")).collect()}
@@ -224,6 +236,13 @@ def test_chat(spark):
     assert (one[1].n_calls, one[1].n_linked, one[1].n_invalid) == (3, 2, 2) and [r.orphan for r in one] == [False] * 4 + [True]
     assert len(got) == len(rows) and {r.line for r in got if r.conv_id == 3} == {'{"content":"a \\"quote\\"\\n","role":"user"}'}
     assert chat.format_chat(df.where("conv_id > 9")).count() == 0
+    odd = '{"tool_calls": [{"name": "search", "id": "a", "arguments": {"query": "x", "": 1, "what?": {}, "it\'s": 2, "a]b.c": [1], "limit": null}}, {"name": "weather", "id": "b", "arguments": [1]}, {"name": "weather", "id": "c"}]}'
+    parsed = chat.calls_of(chat.turns(spark.createDataFrame([(1, 0, "assistant", odd)], df.schema)))
+    assert {r.id: r.problems for r in chat.validate(parsed, chat.schemas(spark)).collect()} == {
+        "a": ["type of limit", "unexpected ", "unexpected a]b.c", "unexpected it's", "unexpected what?"],
+        "b": ["arguments are no object", "missing city"],
+        "c": ["arguments are no object", "missing city"],
+    }
     cyc = spark.createDataFrame([(1, "x", ["y"]), (1, "y", ["x"]), (1, "w", []), (1, "v", ["w"])], "conv_id long, id string, after array<string>")
     assert {r.id: r.level for r in chat.levels(cyc).collect()} == {"x": None, "y": None, "w": 0, "v": 1}
 
