@@ -90,14 +90,15 @@ def levels(calls: DataFrame, most: int = 10_000) -> DataFrame:
 def validate(calls: DataFrame, known: DataFrame) -> DataFrame:
     """(conv_id, id, problems): sorted problems of each call; empty when its arguments fit the tool's schema."""
     args = calls.withColumn("v", F.try_parse_json("arguments"))
-    named = args.select("conv_id", "id", F.col("name").alias("tool"), F.explode_outer(F.map_entries(F.from_json("arguments", "map<string,string>"))).alias("e"), "v")
-    given = named.select("conv_id", "id", "tool", F.col("e.key").alias("arg"), _json_type(F.try_variant_get("v", F.concat(F.lit("$['"), F.regexp_replace("e.key", "'", ""), F.lit("']")), "variant")).alias("is"))
+    # as a map, since not every name of an argument can be written as a path
+    own = F.explode(F.map_entries(F.try_variant_get("v", "$", "map<string,variant>")))
+    given = args.select("conv_id", "id", F.col("name").alias("tool"), own.alias("e")).select("conv_id", "id", "tool", F.col("e.key").alias("arg"), _json_type(F.col("e.value")).alias("is"))
     tools = known.select("tool").distinct()
     unknown = calls.join(tools, calls["name"] == tools["tool"], "left_anti").select("conv_id", "id", F.lit("unknown tool").alias("p"))
     broken = args.where("v IS NULL OR NOT coalesce(schema_of_variant(v) LIKE 'OBJECT%', false)").select("conv_id", "id", F.lit("arguments are no object").alias("p"))
-    typed = given.where("arg IS NOT NULL").join(known, ["tool", "arg"])
+    typed = given.join(known, ["tool", "arg"])
     wrong = typed.where(~((F.col("is") == F.col("type")) | ((F.col("type") == "number") & (F.col("is") == "integer")))).select("conv_id", "id", F.concat(F.lit("type of "), "arg").alias("p"))
-    extra = given.where("arg IS NOT NULL").join(tools, "tool", "left_semi").join(known, ["tool", "arg"], "left_anti").select("conv_id", "id", F.concat(F.lit("unexpected "), "arg").alias("p"))
+    extra = given.join(tools, "tool", "left_semi").join(known, ["tool", "arg"], "left_anti").select("conv_id", "id", F.concat(F.lit("unexpected "), "arg").alias("p"))
     needed = calls.select("conv_id", "id", F.col("name").alias("tool")).join(known.where("required"), "tool").select("conv_id", "id", "arg")
     missing = needed.join(given.select("conv_id", "id", "arg"), ["conv_id", "id", "arg"], "left_anti").select("conv_id", "id", F.concat(F.lit("missing "), "arg").alias("p"))
     every = unknown.union(broken).union(wrong).union(extra).union(missing).groupBy("conv_id", "id").agg(F.array_sort(F.collect_set("p")).alias("problems"))
