@@ -126,8 +126,8 @@ def test_secrets(spark, empty):
 
 def test_secrets_in_very_long_runs(spark):
     r = np.random.default_rng(4)
-    blob = "".join(r.choice(list("abcdefghijklmnopqrstuvwxyzABCDEFGHIJKLMNOPQRSTUVWXYZ0123456789+/"), 200_000))
-    texts = ["ab-" * 60_000, "a/" * 60_000 + "x", blob, "-" * 300_000, "k1 " * 50_000, "é" * 100_000 + f" {key_like} "]
+    blob = "".join(r.choice(list("abcdefghijklmnopqrstuvwxyzABCDEFGHIJKLMNOPQRSTUVWXYZ0123456789+/"), 10_000))
+    texts = ["ab-" * 10_000, "a/" * 10_000 + "x", blob, "-" * 300_000, "k1 " * 50_000, "é" * 100_000 + f" {key_like} "]
     docs = spark.createDataFrame([(i, t, None, None, 0) for i, t in enumerate(texts)], DOCS)
     found = {r.doc_id: r.spans for r in secrets.scan(docs).collect()}
     assert found == {0: "", 1: "", 2: f"entropy:0:{len(blob)}", 3: "", 4: "", 5: f"entropy:100001:{100_001 + len(key_like)}"}
