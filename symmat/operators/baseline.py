@@ -13,8 +13,12 @@ from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
 from ..model import MatrixView, cut
+from ..sources.matrices import with_row_ids
 from .multiply import block_of
 
+#: Rows whose runs are counted together.
+SPAN = 1 << 16
+
 
 def dense_bytes(n: int, m: int) -> int:
     return 8 * n * m
@@ -90,13 +94,29 @@ def _costs(n: int, width: int, distinct: int, held: int, runs: int) -> dict[str,
     return {"offsets": 4 * held + (8 * width + 4) * distinct, "runs": 8 * runs + (8 * width + 4) * distinct, "codes": code * n + 8 * width * distinct, "raw": 8 * n * width}
 
 
+def run_counts(rows: DataFrame) -> DataFrame:
+    """(g, held, runs): rows of each group, and their runs of consecutive row ids of one code.
+
+    Runs are counted per span of rows, and a run that goes on over a span's border is taken off again, so no task holds a group.
+    """
+    own = Window.partitionBy("g", "span").orderBy("row_id")
+    goes_on = (F.lag("code").over(own) == F.col("code")) & (F.lag("row_id").over(own) == F.col("row_id") - 1)
+    seen = rows.withColumn("span", F.floor(F.col("row_id") / SPAN)).withColumn("new", (~F.coalesce(goes_on, F.lit(False))).cast("long"))
+    at = F.struct("row_id", "code")
+    spans = seen.groupBy("g", "span").agg(F.count("*").alias("n"), F.sum("new").alias("runs"), F.min(at).alias("first"), F.max(at).alias("last"))
+    before = F.lag("last").over(Window.partitionBy("g").orderBy("span"))
+    joined = (before["row_id"] == F.col("first.row_id") - 1) & (before["code"] == F.col("first.code"))
+    less = spans.withColumn("less", F.coalesce(joined, F.lit(False)).cast("long"))
+    return less.groupBy("g").agg(F.sum("n").alias("held"), F.sum(F.col("runs") - F.col("less")).alias("runs"))
+
+
 def column_groups(view: MatrixView, sample: int = 20_000, seed: int = 1) -> ColumnGroups:
     """Correlated columns are grouped greedily on a sample while a merge makes the estimated size smaller; each group takes its smallest scheme.
 
     Encoding: the distinct tuples of a group get codes, and each row holds one code a group (0: all zero, not stored).
     """
     m, n = view.m, view.n
-    dense = view.rows.select("row_id", F.transform(F.sequence(F.lit(0), F.lit(m - 1)), lambda c: F.coalesce(F.element_at(F.map_from_arrays("cols", "vals"), c.cast("int")), F.lit(0.0))).alias("v"))
+    dense = view.rows.select("row_id", F.transform(F.sequence(F.lit(0), F.lit(m - 1)), lambda c: F.coalesce(F.get("vals", F.array_position("cols", c.cast("int")).cast("int") - 1), F.lit(0.0))).alias("v"))
     some = dense.orderBy(F.xxhash64("row_id", F.lit(seed))).limit(sample).orderBy("row_id").toPandas()
     x = np.array(some["v"].tolist()) if len(some) else np.zeros((0, m))
     share = n / max(1, len(x))
@@ -136,11 +156,10 @@ def column_groups(view: MatrixView, sample: int = 20_000, seed: int = 1) -> Colu
     named = tuple((g, groups[g][1]) for g in sorted(groups))
     per = F.array(*[F.struct(F.lit(i).alias("g"), F.array(*[F.col("v")[c] for c in cols]).alias("vals")) for i, (cols, _) in enumerate(named)])
     long = dense.select("row_id", F.explode(per).alias("x")).select("row_id", "x.g", "x.vals").where(F.exists("vals", lambda v: v != 0))
-    distinct = long.select("g", "vals").distinct()
-    tuples = cut(distinct.withColumn("code", F.row_number().over(Window.partitionBy("g").orderBy("vals"))))
+    tuples = cut(with_row_ids(long.select("g", "vals").distinct(), ["g", "vals"], "code").select("g", "vals", (F.col("code") + 1).alias("code")))
     rows = cut(long.join(tuples, ["g", "vals"]).select("row_id", "g", "code"))
-    gap = Window.partitionBy("g").orderBy("row_id")
-    facts = {r.g: r for r in rows.withColumn("new", (F.coalesce(F.lag("code").over(gap), F.lit(-1)) != F.col("code")) | (F.coalesce(F.lag("row_id").over(gap), F.lit(-2)) != F.col("row_id") - 1)).groupBy("g").agg(F.count("*").alias("held"), F.count_distinct("code").alias("d"), F.sum(F.col("new").cast("long")).alias("runs")).collect()}
+    d = tuples.groupBy("g").agg(F.count("*").alias("d"))
+    facts = {r.g: r for r in run_counts(rows).join(d, "g").collect()}
     chosen, sizes = [], {}
     for i, (cols, _) in enumerate(named):
         f = facts.get(i)

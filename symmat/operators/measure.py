@@ -6,11 +6,14 @@ import time
 from collections.abc import Callable
 
 import pyarrow as pa
-from pyspark.sql import DataFrame, Window
+from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
 from ..model import Blocks, MatrixView
 
+#: Rows whose symbols are put in order together.
+SPAN = 1 << 14
+
 
 def features(view: MatrixView) -> DataFrame:
     """One row: n, m, t, nonzero_pct, distinct."""
@@ -50,6 +53,24 @@ def operations(g: Blocks) -> DataFrame:
     return g.df.agg(F.sum(F.col("c_len") + F.col("r_len")).alias("compressed"), F.sum("s_len").alias("stream"), (F.sum("n_rows") * g.m).alias("dense"))
 
 
+def _contexts(symbols: DataFrame, k: int) -> tuple[DataFrame, Column]:
+    """``symbols`` and the column of each one's k predecessors within its block, nearest first.
+
+    Spans of rows are numbered on their own; the k symbols before a span come from the tails of the up to k spans before it.
+    """
+    spanned = symbols.withColumn("span", F.floor(F.col("row_id") / SPAN))
+    own = Window.partitionBy("block", "span").orderBy("row_id", "pos")
+    placed = spanned.withColumn("at", F.row_number().over(own)).withColumns({f"p{i}": F.lag("sym", i).over(own) for i in range(1, k + 1)})
+    sizes = placed.groupBy("block", "span").agg(F.max("at").alias("n"))
+    ends = placed.join(sizes, ["block", "span"]).where(F.col("at") > F.col("n") - k)
+    tails = ends.groupBy("block", "span").agg(F.array_sort(F.collect_list(F.struct("at", "sym")))["sym"].alias("tail"))
+    earlier = F.flatten(F.collect_list("tail").over(Window.partitionBy("block").orderBy("span").rowsBetween(-k, -1)))
+    before = tails.select("block", "span", earlier.alias("before"))
+    joined = placed.join(before, ["block", "span"])
+    at_border = [F.get("before", F.size("before") - (i + 1 - F.col("at"))) for i in range(1, k + 1)]
+    return joined, F.concat_ws(",", *[F.coalesce(F.coalesce(f"p{i}", at_border[i - 1]).cast("string"), F.lit("-")) for i in range(1, k + 1)])
+
+
 def entropy(symbols: DataFrame, k: int = 0) -> DataFrame:
     """(total, h): symbols of the stream (marks included) and its order-k empirical entropy in bits; contexts do not cross blocks.
 
@@ -57,8 +78,9 @@ def entropy(symbols: DataFrame, k: int = 0) -> DataFrame:
     """
     marks = symbols.groupBy("block", "row_id").agg((F.max("pos") + 1).alias("pos")).withColumn("sym", F.lit(0).cast("long"))
     every = symbols.select("block", "row_id", "pos", "sym").unionByName(marks.select("block", "row_id", "pos", "sym"))
-    w = Window.partitionBy("block").orderBy("row_id", "pos")
-    context = F.concat_ws(",", *[F.coalesce(F.lag("sym", i).over(w).cast("string"), F.lit("-")) for i in range(1, k + 1)]) if k else F.lit("")
+    context = F.lit("")
+    if k:
+        every, context = _contexts(every, k)
     pair = every.select(context.alias("ctx"), "sym").groupBy("ctx", "sym").agg(F.count("*").alias("c"))
     total = pair.groupBy("ctx").agg(F.sum("c").alias("cc"))
     bits = F.sum(-F.col("c") * F.log2(F.col("c") / F.col("cc")))

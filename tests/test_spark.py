@@ -94,6 +94,25 @@ def test_column_groups(spark, view):
     np.testing.assert_allclose(np.nan_to_num(rows(baseline.groups_left(g, y), 7)), B @ X)
 
 
+def test_runs_over_span_borders(spark, monkeypatch):
+    monkeypatch.setattr(baseline, "SPAN", 4)
+    code = np.repeat(RNG.integers(1, 4, 12), RNG.integers(1, 9, 12))
+    held = RNG.random(len(code)) < 0.8
+    df = spark.createDataFrame([(int(i), 0, int(code[i])) for i in np.flatnonzero(held)], "row_id long, g int, code long")
+    shown = np.where(held, code, 0)
+    want = sum(shown[i] > 0 and (i == 0 or shown[i] != shown[i - 1]) for i in range(len(shown)))
+    assert baseline.run_counts(df).first().asDict() == {"g": 0, "held": int(held.sum()), "runs": int(want)}
+
+
+def test_entropy_over_span_borders(spark, view, monkeypatch):
+    s = encode.stream(view, encode.dictionary(view), blocks=2)
+    want = [measure.entropy(s, k).first() for k in (1, 3)]
+    monkeypatch.setattr(measure, "SPAN", 1)
+    for k, w in zip((1, 3), want):
+        got = measure.entropy(s, k).first()
+        assert got.total == w.total and got.h == pytest.approx(w.h)
+
+
 def test_chooser_keeps_to_its_budget(view):
     g = choose.choose(view, 8 * X.size, 2)
     np.testing.assert_allclose(rows(multiply.right(g, A)), X @ A)
