@@ -4,28 +4,33 @@ Equal vectors are one point. Points within ``BALL`` degrees of a leader form a b
 threshold's angle, so they are linked without a test, and a group of near copies costs a few balls whatever its size.
 NN-descent runs over the leaders: a start graph from random-hyperplane buckets, then rounds in which all neighbours and
 reverse neighbours of a leader meet and propose each other. A list keeps its ``LIST`` nearest leaders and, where they do
-not suffice (a saturated list), every further one whose ball may reach over; an audit compares lists of a fixed sample of
-leaders with brute force, and rounds go on until it is content. Threshold edges between balls are then counted exactly:
-by the triangle inequality where it decides, by cosines of members where it does not.
+not suffice (a saturated list), every further one whose ball may reach over. An audit takes blocks of leaders, by hash,
+until brute force has found ``EDGES`` true edges of theirs or no leader is left; its edges join the graph, so it is exact
+where the audit takes in all. Rounds go on, each with more hash tables, until the graph had ``CONTENT`` of the audit's
+edges of itself; after ``MOST_ROUNDS`` all leaders that are left are compared exactly, block by block. Threshold edges
+between balls are then counted exactly: by the triangle inequality where it decides, by cosines of members where it does not.
 """
 
 from __future__ import annotations
 
 import math
 from collections.abc import Iterator
+from functools import reduce
 
 import numpy as np
 import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from ._common import components, cut, runs
+from ._common import components, cut, parts_for, runs
 from .ann import usable
 
 COSINE = 0.95
 #: Radius of a ball in degrees: twice that is below arccos(COSINE).
 BALL = 9.0
-LIST, TABLES, BLOCK, MOST_ROUNDS, AUDIT, CONTENT = 6, 4, 400, 4, 48, 0.995
+LIST, TABLES, BLOCK, MOST_ROUNDS, CONTENT = 6, 4, 400, 4, 0.995
+#: Leaders of one block of the audit, and the true edges it must have seen.
+AUDIT, EDGES = 4096, 4000
 #: Members of one neighbourhood that meet in one task.
 MEET = 192
 _ANGLE = math.acos(COSINE)
@@ -119,24 +124,40 @@ def _meet(graph: DataFrame, leaders: DataFrame) -> DataFrame:
     return parts.join(known.select("id", "unit", "radius", "worst"), "id")
 
 
-def audit(graph: DataFrame, leaders: DataFrame, sample: int = AUDIT) -> float:
-    """Share of the wide edges of ``sample`` leaders (those of smallest hash), found by brute force, that the graph has; 1 without any."""
-    chosen = leaders.orderBy(F.xxhash64("id"), "id").limit(sample).select("id", "unit", "radius").toPandas()
+def exact(leaders: DataFrame, count: int, block: int) -> DataFrame:
+    """(u, v): all wide edges of the leaders u of one block (of about ``AUDIT``, by hash), by brute force."""
+    blocks = parts_for(count, AUDIT)
+    chosen = leaders.where(F.pmod(F.xxhash64("id"), F.lit(blocks)) == block).select("id", "unit", "radius").toPandas()
     if not len(chosen):
-        return 1.0
-    shared = leaders.sparkSession.sparkContext.broadcast((chosen["id"].to_numpy(), np.array(chosen["unit"].tolist(), float), chosen["radius"].to_numpy()))
+        return leaders.sparkSession.createDataFrame([], "u long, v long")
+    shared = leaders.sparkSession.sparkContext.broadcast((chosen["id"].to_numpy(), np.array(chosen["unit"].tolist(), np.float32), chosen["radius"].to_numpy()))
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         ids, x, r = shared.value
-        for b in batches:
-            s = x @ _matrix(b.column("unit")).T
-            other = b.column("id").to_numpy()
-            i, j = np.nonzero((s >= np.cos(np.minimum(np.pi, _ANGLE + r[:, None] + b.column("radius").to_numpy()[None]))) & (ids[:, None] != other[None]))
-            yield pa.RecordBatch.from_arrays([pa.array(ids[i]), pa.array(other[j])], names=["u", "v"])
+        for batch in batches:
+            for s in range(0, len(batch), 512):
+                b = batch.slice(s, 512)
+                other, far = b.column("id").to_numpy(), b.column("radius").to_numpy()
+                sims = x @ _matrix(b.column("unit"), np.float32).T
+                i, j = np.nonzero(sims >= np.cos(np.minimum(np.pi, _ANGLE + r + far.max() + 1e-4))[:, None].astype(np.float32) - np.float32(1e-6))
+                keep = (sims[i, j] >= np.cos(np.minimum(np.pi, _ANGLE + r[i] + far[j] + 1e-4))) & (ids[i] != other[j])
+                yield pa.RecordBatch.from_arrays([pa.array(ids[i[keep]]), pa.array(other[j[keep]])], names=["u", "v"])
+
+    return leaders.select("id", "unit", "radius").mapInArrow(run, "u long, v long")
+
+
+def audit(leaders: DataFrame, count: int) -> tuple[DataFrame, int, int]:
+    """The true edges (u, v) of the first blocks of leaders, their number, and that of the blocks: enough for ``EDGES`` edges, or all."""
+    true, n, block = None, 0, 0
+    while block < parts_for(count, AUDIT) and (true is None or n < EDGES):
+        met = cut(exact(leaders, count, block))
+        true, n, block = met if true is None else true.union(met), n + met.count(), block + 1
+    return true, n, block
 
-    true = leaders.select("id", "unit", "radius").mapInArrow(run, "u long, v long")
-    n, hit = true.join(graph.select("u", "v", F.lit(1).alias("hit")), ["u", "v"], "left").agg(F.count("*"), F.count("hit")).first()
-    return hit / n if n else 1.0
+
+def _had(graph: DataFrame, true: DataFrame, n: int) -> float:
+    """Share of the ``n`` true edges that the graph has; 1 without any."""
+    return true.join(graph.select("u", "v"), ["u", "v"], "left_semi").count() / n if n else 1.0
 
 
 def _count(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
@@ -168,16 +189,24 @@ def _of_one_length(good: DataFrame, seed_rows: int) -> DataFrame:
     members = cut(covered.join(names, "ball").select("id", "unit", "mult", F.col("name").alias("ball"), "size", "angle", (F.col("id") == F.col("ball")).alias("leads"), "radius"))
     leaders = cut(members.where("leads").select(F.col("ball").alias("id"), "unit", "radius", "size"))
     count = leaders.count()
-    start = None
-    for t in range(TABLES):
-        met = _grouped(_buckets(leaders.withColumn("worst", F.lit(-2.0)), count, t, BLOCK), ["bucket", "part"], _propose, _EDGES)
-        start = met if start is None else start.union(met)
-    graph = _lists(start)
+
+    def met(t: int) -> DataFrame:
+        return _grouped(_buckets(leaders.withColumn("worst", F.lit(-2.0)), count, t, BLOCK), ["bucket", "part"], _propose, _EDGES)
+
+    graph = _lists(reduce(DataFrame.union, map(met, range(TABLES))))
+    true, n, seen = audit(leaders, count)
+    tables, blocks = TABLES, parts_for(count, AUDIT)
     for _ in range(MOST_ROUNDS):
         graph = _lists(graph.union(_grouped(_meet(graph, leaders), ["bucket", "part"], _propose, _EDGES)))
-        if audit(graph, leaders) >= CONTENT:
+        if seen == blocks or _had(graph, true, n) >= CONTENT:  # where the audit took in all leaders, its edges are all there are
             break
-    wide = graph.where("wide").select("u", "v")
+        graph = _lists(reduce(DataFrame.union, map(met, range(tables, 2 * tables)), graph))
+        tables *= 2
+    else:
+        if _had(graph, true, n) < CONTENT:
+            for block in range(seen, blocks):
+                true = true.union(cut(exact(leaders, count, block)))
+    wide = graph.where("wide").select("u", "v").union(true)
     wide = cut(wide.union(wide.select(F.col("v").alias("u"), F.col("u").alias("v"))).distinct())
     far = leaders.select(F.col("id").alias("v"), F.col("unit").alias("lead"), "radius", "size")
     asked = members.select("id", "unit", F.col("ball").alias("u")).join(wide.join(far, "v"), "u").select("id", "unit", F.col("u").alias("own"), F.col("v").alias("far"), "lead", "radius", "size")

@@ -287,6 +287,25 @@ def test_vectors(spark):
     assert ann.search(none).count() == 0 and embed_dedup.near_duplicates(none).count() == 4 and embed_dedup.near_duplicates(df.where("false")).count() == 0
 
 
+def test_scarce_near_vectors_are_all_found(spark, monkeypatch):
+    r = np.random.default_rng(21)
+    x = r.standard_normal((3000, 64))
+    x /= np.linalg.norm(x, axis=1)[:, None]
+    pairs = [(i, 1500 + i) for i in range(0, 1500, 15)]
+    for a, b in pairs:
+        e = r.standard_normal(64)
+        e -= (e @ x[a]) * x[a]
+        x[b] = 0.955 * x[a] + math.sqrt(1 - 0.955**2) * e / np.linalg.norm(e)
+    df = spark.createDataFrame([(i, v.tolist()) for i, v in enumerate(x)], "vec_id long, embedding array<double>")
+    want = {i: (0, i) for i in range(3000)} | {i: (1, a) for a, b in pairs for i in (a, b)}
+    # one audit over all leaders; then a small one that is never content, so that blocks are compared exactly
+    for given in ({"BLOCK": 40, "TABLES": 1}, {"BLOCK": 40, "TABLES": 1, "AUDIT": 500, "EDGES": 10, "MOST_ROUNDS": 1, "CONTENT": 1.1}):
+        for k, v in given.items():
+            monkeypatch.setattr(embed_dedup, k, v)
+        got = {r.vec_id: (r.n_links, r.component_id) for r in embed_dedup.near_duplicates(df).collect()}
+        assert got == want
+
+
 def test_packing(docs, empty):
     tokenizers = pytest.importorskip("tokenizers")
     t = tokenizers.Tokenizer.from_file(packing.vocabulary())
