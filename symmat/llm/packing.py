@@ -10,6 +10,7 @@ from __future__ import annotations
 
 from array import array
 from collections.abc import Iterator
+from unicodedata import normalize
 from zlib import crc32
 
 import numpy as np
@@ -60,8 +61,9 @@ class WordIds:
             part = words[s : s + 2_000]
             ids = np.array(self.tokenizer.encode_batch_fast([" ".join(part)], add_special_tokens=False)[0].ids, "<u4")
             at = np.flatnonzero(self.last[ids]) + 1
-            if len(at) != len(part):
-                raise ValueError("this tokenizer does not mark the ends of words")
+            if len(at) != len(part):  # not one end a word with this tokenizer: each word by itself
+                out |= {w: array("I", e.ids).tobytes() for w, e in zip(part, self.tokenizer.encode_batch_fast(part, add_special_tokens=False))}
+                continue
             raw = ids.tobytes()
             ends = (4 * at).tolist()
             out |= {w: raw[a:b] for w, a, b in zip(part, [0, *ends[:-1]], ends)}
@@ -84,7 +86,8 @@ class WordIds:
         made, other = [], []
         for w in fresh:
             core = w.rstrip(MARKS)
-            if not core or core.isalpha():
+            # letters still when composed and in lower case: some take a combining mark then, which is a unit of its own
+            if not core or core.isalpha() and (core.isascii() or normalize("NFC", core).lower().isalpha()):
                 made.append((w, core.lower() if core.isascii() else core, w[len(core) :]))
             else:
                 other.append(w)

@@ -326,6 +326,17 @@ def test_packing(docs, empty):
     assert packing.pack(empty).count() == 0
 
 
+def test_words_whose_normal_form_is_not_all_letters():
+    tokenizers = pytest.importorskip("tokenizers")
+    t = tokenizers.Tokenizer.from_file(packing.vocabulary())
+    texts = ["in \u0130stanbul, at the \u0130!", "\u0958\u0932\u092e \u0915\u0932 plain words", "\ufb2a Stra\u00dfe e\u0301t\u00e9", None]
+    want = [np.array(t.encode(x or "", add_special_tokens=False).ids, "<u4").tobytes() for x in texts]
+    assert packing.WordIds(packing.vocabulary()).batch(texts) == want
+    ids = packing.WordIds(packing.vocabulary())
+    odd = ["\u0130stanbul", "plain"]  # as if they were letters to the tokenizer
+    assert ids._letters(odd) == {w: np.array(t.encode(w, add_special_tokens=False).ids, "<u4").tobytes() for w in odd}
+
+
 def test_best_fit_against_a_plain_scan():
     n = np.random.default_rng(3).integers(1, 101, 400)
     number, offset = packing.best_fit(n, 100)
