@@ -3,7 +3,8 @@
 The patterns give the base spans. The entropy method looks at maximal runs of key characters of at least ``WINDOW``
 characters, sorts each into a character class, and slides a window over it: counts of the characters in the window and
 the sum of c*log2(c) are updated by the character that leaves and the one that enters. A run whose best window reaches
-its class's threshold adds a span, unless an allow-list pattern fits it or a base span overlaps it. Every text is
+its class's threshold adds a span, unless an allow-list pattern fits all of it or a base span overlaps it; placeholder
+words and repeated characters inside a run take out the windows at them, not the run. Every text is
 scanned whole; the expensive parts run only on texts that hold a candidate.
 """
 
@@ -27,14 +28,22 @@ CLASSES = (
     ("hex", r"^(?=.*[0-9])(?=.*[A-Fa-f])[0-9A-Fa-f]+$", 3.0),
     ("alnum", r"^(?=.*[0-9])(?=.*[A-Za-z])([A-Z0-9]+|[a-z0-9]+)$", 3.4),
     ("mixed", r"^(?=.*[0-9])(?=.*[A-Z])(?=.*[a-z])[A-Za-z0-9+/_=-]+$", 3.7),
-)
-#: Runs that are no secrets: documentation examples, placeholders, UUIDs, one character repeated, path-like and snake- or kebab-case words.
+    ("marked", r"^(?=.*[0-9])(?=.*[A-Za-z])([A-Z0-9+/_=-]+|[a-z0-9+/_=-]+)$", 3.6),
+    ("letters", r"^(?=.*[A-Za-z])([A-Z+/_=-]+|[a-z+/_=-]+)$", 3.9),
+    ("two cases", r"^(?=.*[A-Z])(?=.*[a-z])[A-Za-z+/_=-]+$", 4.0),
+    ("digits", r"^(?=.*[0-9])[0-9+/_=-]+$", 3.5),
+)  # what is left is marks alone, whose five characters cannot reach any of these
+#: Whole runs that are no secrets: UUIDs, path-like, snake- and kebab-case words and short numbers.
 ALLOW = (
-    r"(?i)example|sample|placeholder|changeme|dummy",
     r"^[0-9a-fA-F]{8}-[0-9a-fA-F]{4}-[0-9a-fA-F]{4}-[0-9a-fA-F]{4}-[0-9a-fA-F]{12}$",
-    r"(.)\1{7,}",
-    r"^/?(?:[a-z]++[/_-])++[a-z0-9]*/?$",  # possessive: long runs need no stack
+    r"^/?(?:(?:[a-z]++|[0-9]{1,4}+)[/_-])++[a-z]*+[0-9]{0,4}+/?$",  # possessive: long runs need no stack
 )
+#: Parts of a run that are no secrets, with what is within a window of them: documentation examples and placeholders.
+PLACEHOLDER = r"(?i)example|sample|placeholder|changeme|dummy"
+_ZONE = rf"(?i).{{0,{WINDOW}}}(?:{PLACEHOLDER[4:]}).{{0,{WINDOW}}}"
+#: Windows that hold one character this often in a row do not count.
+REPEATS = 8
+_REPEAT = rf"(.)\1{{{REPEATS - 1},}}+"
 KINDS = ("assign", "access", "hex", "entropy")
 _SPANS = "array<struct<start:int,end:int,text:string>>"
 
@@ -79,15 +88,22 @@ def best_entropy(text: Column, window: int = WINDOW) -> Column:
     return F.lit(math.log2(window)) - least / window
 
 
+def _parts(run: Column) -> Column:
+    """The parts of a run whose windows count: between placeholders and their surroundings, and between repeats."""
+    calm = F.when(run.rlike(PLACEHOLDER), F.regexp_replace(run, _ZONE, "\n")).otherwise(run)
+    side = "$1" * (REPEATS - 1)
+    return F.filter(F.split(F.regexp_replace(calm, _REPEAT, f"{side}\n{side}"), "\n"), lambda part: F.length(part) >= WINDOW)
+
+
 def _suspicious(run: Column) -> Column:
-    """Is this run's best window above its class's threshold, and the run on no allow-list?"""
+    """Is this run on no allow-list, and the best window of its parts above its class's threshold?"""
     need = F.lit(None).cast("double")
     for _, pattern, least in reversed(CLASSES):
         need = F.when(run.rlike(pattern), F.lit(least)).otherwise(need)
     allowed = F.lit(False)
     for pattern in ALLOW:
         allowed = allowed | run.rlike(pattern)
-    return need.isNotNull() & ~allowed & F.when(need.isNotNull(), best_entropy(run) >= need).otherwise(False)
+    return F.when(allowed | need.isNull(), False).otherwise(F.exists(_parts(run), lambda part: best_entropy(part) >= need))
 
 
 def find(docs: DataFrame) -> DataFrame:
