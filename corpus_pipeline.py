@@ -11,6 +11,9 @@ from pyspark.sql import functions as F
 
 from symmat.llm import mixing, near_dup, packing, secrets, toxicity
 
+#: Near copies, on shingles of five words, are as similar as this or more.
+SIMILAR_PERCENT = 80
+
 
 def _toxicity(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
     weights = toxicity.train(docs, spark.read.parquet(f"{sf_dir}/labels.parquet"))
@@ -18,7 +21,7 @@ def _toxicity(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
 
 
 def _near_dedup(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    return near_dup.drop_near_duplicates(docs)
+    return near_dup.drop_near_duplicates(docs, SIMILAR_PERCENT)
 
 
 def _secrets(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:

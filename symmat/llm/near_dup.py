@@ -5,7 +5,7 @@ A signature has ``CHUNKS * WIDTH`` positions of ``BITS`` bits, each the low bits
 to ``ERRORS = 1`` wrong position (pigeonhole), so each signature is filed, for every chunk, under the ``WIDTH`` keys
 that leave one position out: all pairs within that distance share a key. Farther pairs that happen to share one are
 judged as well, since every candidate is confirmed on the full sets. At similarity 0.85, a pair shares no key with a
-chance of about 3e-7.
+chance of about 3e-7, at 0.80 of about 3e-5.
 
 Documents of equal shingle sets are one class, of which only the representative (smallest doc_id) is searched. The
 members of a bucket belong to the bucket's hub, its smallest member; buckets of one hub form one group, so any two that
@@ -28,7 +28,7 @@ from ._common import WordHasher, chunks, components, cut, mix64, runs, utf8, wor
 SHINGLE = 5
 CHUNKS, WIDTH, ERRORS, BITS = 12, 7, 1, 16
 POSITIONS = CHUNKS * WIDTH
-#: Pairs whose signatures differ in more positions are not confirmed: at similarity 0.85, over 6 deviations from the mean.
+#: Pairs whose signatures differ in more positions are not confirmed: at similarity 0.85, over 6 deviations from the mean, at 0.80 4.4.
 FARTHEST = 33
 LINK_PERCENT = 85
 #: Members of a group in one tile.
@@ -135,14 +135,14 @@ def _full_sets(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
             yield pa.RecordBatch.from_arrays([ids.slice(i, j - i), pa.ListArray.from_arrays(to, pa.array(np.concatenate([*own, np.zeros(0, np.uint64)]).view(np.int64)))], names=["id", "set"])
 
 
-def _promising(rows: pa.Table) -> pa.Table:
+def _promising(rows: pa.Table, percent: int) -> pa.Table:
     """Of a tile of (hub, i, j, rep, n_shingles, sig): the members that have a partner near enough to be worth full sets."""
     sig = np.frombuffer(b"".join(rows.column("sig").to_pylist()), np.uint16).reshape(-1, POSITIONS)
     n = rows.column("n_shingles").to_numpy().astype(float)
     apart = np.zeros((len(sig), len(sig)), np.uint8)
     for k in range(POSITIONS):
         apart += sig[:, k, None] != sig[None, :, k]
-    near = (apart <= FARTHEST) & (np.minimum(n[:, None], n[None]) * 100 >= np.maximum(n[:, None], n[None]) * LINK_PERCENT)
+    near = (apart <= FARTHEST) & (np.minimum(n[:, None], n[None]) * 100 >= np.maximum(n[:, None], n[None]) * percent)
     np.fill_diagonal(near, False)
     return rows.select(["hub", "i", "j", "rep"]).filter(pa.array(near.any(axis=1)))
 
@@ -210,7 +210,7 @@ def link(docs: DataFrame, percent: int = LINK_PERCENT) -> tuple[DataFrame, DataF
     placed = groups.join(size, "hub").withColumn("own", F.pmod(F.xxhash64("rep"), "tiles"))
     placed = placed.select("hub", "rep", "own", F.explode(F.sequence(F.lit(0).cast("long"), F.col("tiles") - 1)).alias("other"))
     tiles = placed.select("hub", F.least("own", "other").alias("i"), F.greatest("own", "other").alias("j"), "rep")
-    hopeful = cut(_by_tile(tiles.join(reps, "rep"), _promising, "hub long, i long, j long, rep long"))
+    hopeful = cut(_by_tile(tiles.join(reps, "rep"), lambda tile: _promising(tile, percent), "hub long, i long, j long, rep long"))
     wanted = hopeful.select(F.col("rep").alias("id")).distinct()
     texts = docs.select(F.col("doc_id").cast("long").alias("id"), F.col("text").cast("string")).join(wanted, "id", "left_semi")
     sets = texts.mapInArrow(_full_sets, "id long, set array<long>").withColumnRenamed("id", "rep")

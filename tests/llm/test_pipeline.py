@@ -21,3 +21,14 @@ def test_stages(spark, tmp_path):
     assert len(seen["toxicity"]) == 33 and {r.doc_id for r in seen["minhash_near_dedup"]} == {*range(30), 101, 102}
     assert next(r.text for r in seen["secret_scan"] if r.doc_id == 101).startswith("[SECRET]")
     assert {r.doc_id for r in seen["packing"]} == {r.doc_id for r in seen["mix_sources"]}
+
+
+def test_near_copies_of_similarity_080_to_085_go(spark):
+    words = [f"w{i}" for i in range(600)]
+    a, b = words[:200], words[300:500]
+    edit = b[:60] + ["other"] + b[61:120] + ["another"] + b[121:180] + ["third"] + b[181:]  # 181 of 211 shingles: 0.858
+    edit = edit[:10] + ["fourth"] + edit[11:]  # 176 of 216: 0.815
+    apart = words[500:600] + a[:60]  # 56 of 296 shingles
+    texts = [a, a[:165], b, edit, apart]  # a's beginning: 161 of 196 shingles, 0.821
+    docs = spark.createDataFrame([(i, " ".join(t), "en", "s", 1) for i, t in enumerate(texts)], "doc_id long, text string, lang string, source string, n_chars long")
+    assert {r.doc_id for r in corpus_pipeline._near_dedup(spark, docs, "").collect()} == {0, 2, 4}
