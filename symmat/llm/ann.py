@@ -29,11 +29,16 @@ QUERY_EVERY = 50
 TOP = 5
 
 
-def usable(vectors: DataFrame) -> DataFrame:
-    """(vec_id, embedding array<double>) of the rows that take part: not null, not zero, all components finite."""
+def marked_usable(vectors: DataFrame) -> DataFrame:
+    """(vec_id, embedding array<double>, good) of every row; good are those with an id and a vector that is not null, not zero and finite in all components."""
     v = F.col("embedding").cast("array<double>")
     good = v.isNotNull() & (F.size(v) > 0) & F.forall(v, lambda x: F.coalesce(~F.isnan(x) & (F.abs(x) < float("inf")), F.lit(False))) & F.exists(v, lambda x: x != 0)
-    return vectors.select(F.col("vec_id").cast("long"), v.alias("embedding")).where(F.coalesce(good, F.lit(False)) & F.col("vec_id").isNotNull())
+    return vectors.select(F.col("vec_id").cast("long"), v.alias("embedding"), (F.coalesce(good, F.lit(False)) & F.col("vec_id").cast("long").isNotNull()).alias("good"))
+
+
+def usable(vectors: DataFrame) -> DataFrame:
+    """(vec_id, embedding array<double>) of the rows that take part."""
+    return marked_usable(vectors).where("good").drop("good")
 
 
 def beam_search(x: np.ndarray, links: np.ndarray, entry: int, queries: np.ndarray, beam: int) -> tuple[np.ndarray, np.ndarray]:

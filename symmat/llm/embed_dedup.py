@@ -23,7 +23,7 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from ._common import components, cut, parts_for, runs
-from .ann import usable
+from .ann import marked_usable
 
 COSINE = 0.95
 #: Radius of a ball in degrees: twice that is below arccos(COSINE).
@@ -225,24 +225,29 @@ def near_duplicates(vectors: DataFrame) -> DataFrame:
 
     Vectors that are null, zero or hold null or non-finite components have no links and are their own component, as are
     rows without a vec_id (null component, kept). Equal vectors are linked. Rows that repeat an id count as further
-    vectors. Vectors of another length than the most frequent one are linked with equal ones alone.
+    vectors. Each length is searched by itself; vectors of unlike lengths are not linked.
     """
-    good = cut(usable(vectors))
-    points = good.groupBy("embedding").agg(F.min("vec_id").alias("id"), F.count("*").alias("mult"))
-    lengths = points.groupBy(F.size("embedding").alias("n")).count().orderBy(F.desc("count"), "n").first()
-    ids = vectors.select(F.col("vec_id").cast("long"), F.col("embedding").cast("array<double>").alias("embedding"))
-    if lengths is None:
-        return ids.select("vec_id", F.lit(0).cast("long").alias("n_links"), F.col("vec_id").alias("component_id"), F.lit(True).alias("kept"))
+    marked = cut(marked_usable(vectors))
+    good = marked.where("good")
+    # points have numbers of their own, as unlike vectors may share a vec_id
+    points = cut(good.groupBy("embedding").agg(F.min("vec_id").alias("least"), F.count("*").alias("mult")).withColumn("id", F.monotonically_increasing_id()))
+    lengths = points.groupBy(F.size("embedding").alias("n")).count().orderBy("n").collect()
     big = F.array_max(F.transform("embedding", F.abs))
     scaled = F.transform("embedding", lambda x: x / big)
     norm = F.sqrt(F.aggregate("scaled", F.lit(0.0), lambda a, x: a + x * x))
-    usual = points.where(F.size("embedding") == lengths.n).withColumn("scaled", scaled).withColumn("norm", norm)
-    usual = cut(usual.select("id", F.transform("scaled", lambda x: x / F.col("norm")).alias("unit"), "mult"))
-    found = _of_one_length(usual, lengths["count"])
-    key = points.select(F.col("embedding").alias("e"), F.xxhash64("embedding").alias("h"), "id", "mult").join(found, "id", "left")
-    key = key.select("e", "h", F.coalesce("n_links", F.col("mult") - 1).alias("n"), F.coalesce("component", "id").alias("c"))
+
+    def sized(n: int) -> DataFrame:
+        mine = points.where(F.size("embedding") == n).withColumn("scaled", scaled).withColumn("norm", norm)
+        return cut(mine.select("id", F.transform("scaled", lambda x: x / F.col("norm")).alias("unit"), "mult"))
+
+    # a length of one point has nothing to search
+    found = [_of_one_length(sized(r.n), r["count"]) for r in lengths if r["count"] > 1]
+    none = points.sparkSession.createDataFrame([], "id long, n_links long, component long")
+    key = points.join(reduce(DataFrame.union, found, none), "id", "left").withColumn("n", F.coalesce("n_links", F.col("mult") - 1)).withColumn("root", F.coalesce("component", "id"))
+    names = key.groupBy("root").agg(F.min("least").alias("c"))
+    key = key.join(names, "root").select(F.col("embedding").alias("e"), F.xxhash64("embedding").alias("h"), "n", "c")
     took = good.select("vec_id", "embedding", F.xxhash64("embedding").alias("h"))
     linked = took.join(key, (took["h"] == key["h"]) & (took["embedding"] == key["e"])).select("vec_id", F.col("n").alias("n_links"), F.col("c").alias("component_id"))
-    rest = ids.join(good.select("vec_id").distinct(), "vec_id", "left_anti").select("vec_id", F.lit(0).cast("long").alias("n_links"), F.col("vec_id").alias("component_id"))
+    rest = marked.where("NOT good").select("vec_id", F.lit(0).cast("long").alias("n_links"), F.col("vec_id").alias("component_id"))
     out = linked.union(rest)
     return out.withColumn("kept", F.coalesce(F.col("vec_id") == F.col("component_id"), F.lit(True)))

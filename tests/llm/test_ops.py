@@ -320,6 +320,19 @@ def test_scarce_near_vectors_are_all_found(spark, monkeypatch):
         assert got == want
 
 
+def test_vectors_of_two_lengths_and_repeated_ids(spark):
+    r = np.random.default_rng(31)
+    wide, slim = r.standard_normal((40, 24)), r.standard_normal((30, 12))
+    wide[20] = wide[0] + 0.05 * r.standard_normal(24)
+    slim[7], slim[9] = slim[3] + 0.05 * r.standard_normal(12), slim[4] * 2
+    rows = [(i, v.tolist()) for i, v in enumerate(wide)] + [(100 + i, v.tolist()) for i, v in enumerate(slim)]
+    rows += [(5, None), (5, slim[11].tolist()), (6, r.standard_normal(24).tolist()), (500, [1.0, 2.0, 3.0]), (None, None)]
+    got = embed_dedup.near_duplicates(spark.createDataFrame(rows, "vec_id long, embedding array<double>")).collect()
+    linked = {0: (1, 0), 20: (1, 0), 103: (1, 103), 107: (1, 103), 104: (1, 104), 109: (1, 104), 111: (1, 5)}
+    want = [(i, *linked.get(i, (0, i))) for i, _ in rows[:-5]] + [(5, 0, 5), (5, 1, 5), (6, 0, 6), (500, 0, 500), (None, 0, None)]
+    assert Counter((x.vec_id, x.n_links, x.component_id) for x in got) == Counter(want)
+
+
 def test_packing(docs, empty):
     tokenizers = pytest.importorskip("tokenizers")
     t = tokenizers.Tokenizer.from_file(packing.vocabulary())
