@@ -55,72 +55,169 @@ def from_marked(marked: np.ndarray, rules: np.ndarray, space: int) -> Grammar:
     return Grammar(rules, marked[~mark], row[~mark], int(mark.sum()), space)
 
 
-def build(symbols: np.ndarray, row: np.ndarray, n: int, space: int, theta: float = 1.0, min_count: int = 2, max_rules: int | None = None) -> Grammar:
-    """Pair replacement in rounds: all pairs of at least ``theta`` times the best count that share no symbol are replaced at once.
+class _Pairs:
+    """Pairs that still repeat: their counts, where they occur, and a queue of buckets by count.
+
+    A pair lies in the bucket of a count it once had and moves down when it is met there; a list of occurrences is read
+    once, when its pair is replaced, and skips positions that hold another pair by then. All work is thus in proportion
+    to the symbols, but for the sorting of keys.
+    """
 
-    With theta = 1 only equally frequent pairs go together, which is exact replacement under one tie order. Only positions
-    whose pair can still repeat are counted: a pair seen once stays out until a neighbour changes.
+    def __init__(self, least: int, room: int) -> None:
+        self.least, self.size, self.used = least, 0, 0
+        self.count, self.first, self.n = (np.zeros(1024, np.int64) for _ in range(3))
+        self.left, self.right = np.zeros(1024, np.int64), np.zeros(1024, np.int64)
+        self.where = np.zeros(max(16, room), np.int32)
+        self.buckets: dict[int, list[np.ndarray]] = {}
+
+    def add(self, key: np.ndarray, pos: np.ndarray, of: np.ndarray) -> None:
+        """Pairs ``key`` at positions ``pos`` become known; ``of`` (position -> pair, -1 for none) is brought up to date."""
+        order = np.argsort(key, kind="stable")
+        key, pos = key[order], pos[order]
+        edge = np.flatnonzero(np.concatenate([[True], key[1:] != key[:-1], [True]])) if len(key) else np.zeros(1, np.int64)
+        n = np.diff(edge)
+        good = n >= self.least
+        of[pos] = -1
+        held = np.repeat(good, n)
+        pos, n, key = pos[held], n[good], key[edge[:-1]][good]
+        if not len(n):
+            return
+        new = np.arange(self.size, self.size + len(n))
+        self._grow(len(n), len(pos))
+        at = slice(self.size, self.size + len(n))
+        self.count[at] = self.n[at] = n
+        self.first[at] = self.used + np.cumsum(n) - n
+        self.left[at], self.right[at] = key >> 32, key & 0xFFFFFFFF
+        self.where[self.used : self.used + len(pos)] = pos
+        self.size, self.used = self.size + len(n), self.used + len(pos)
+        of[pos] = np.repeat(new, n)
+        self.push(new)
+
+    def _grow(self, pairs: int, places: int) -> None:
+        if self.size + pairs > len(self.count):
+            more = max(pairs, len(self.count))
+            for name in ("count", "first", "n", "left", "right"):
+                setattr(self, name, np.append(getattr(self, name), np.zeros(more, np.int64)))
+        if self.used + places > len(self.where):
+            self.where = np.append(self.where, np.zeros(max(places, len(self.where) // 2), np.int32))
+
+    def push(self, pairs: np.ndarray) -> None:
+        count = self.count[pairs]
+        pairs, count = pairs[count >= self.least], count[count >= self.least]
+        order = np.argsort(count, kind="stable")
+        pairs, count = pairs[order], count[order]
+        edge = np.flatnonzero(np.concatenate([[True], count[1:] != count[:-1], [True]])) if len(pairs) else [0]
+        for a, b in zip(edge[:-1], edge[1:]):
+            self.buckets.setdefault(int(count[a]), []).append(pairs[a:b])
+
+    def take(self, level: int) -> np.ndarray:
+        """The pairs of exactly this count; others of the bucket move to theirs."""
+        held = self.buckets.pop(level, None)
+        if held is None:
+            return np.zeros(0, np.int64)
+        pairs = np.concatenate(held)
+        same = self.count[pairs] == level
+        self.push(pairs[~same])
+        return pairs[same]
+
+    def occurrences(self, pairs: np.ndarray, of: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
+        """Positions of ``pairs``, and which of them each holds."""
+        n = self.n[pairs]
+        which = np.repeat(np.arange(len(pairs)), n)
+        pos = self.where[np.repeat(self.first[pairs] - (np.cumsum(n) - n), n) + np.arange(len(which))]
+        now = of[pos] == pairs[which]
+        return pos[now], which[now]
+
+
+def _lot(pairs: np.ndarray) -> np.ndarray:
+    """A fixed shuffle of pair numbers, for ties."""
+    x = pairs.astype(np.uint64) * np.uint64(0x9E3779B97F4A7C15)
+    return ((x ^ (x >> np.uint64(29))) >> np.uint64(1)).astype(np.int64)
+
+
+def replace_pairs(symbols: np.ndarray, row: np.ndarray, theta: float = 1.0, min_count: int = 2, max_rules: int | None = None) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
+    """Pair replacement of dense symbols 0..u-1; rules in the order made (symbols u, u+1, ...), what is left, and its rows.
+
+    A step takes the pairs of the best count (from ``theta`` times it on), and of pairs that overlap somewhere all but the
+    first by count and lot; the others are replaced at once. With theta = 1 this is exact replacement under one order of
+    ties: taken one after the other, each would still be the most frequent. Occurrences are linked, and only pairs beside a
+    replaced one are counted anew.
     """
     length = len(symbols)
-    s = symbols.astype(np.int64).copy()
-    index = np.arange(length)
-    after = np.where(np.append(row[1:], -1) == row, index + 1, length) if length else index
-    before = np.where(np.append(-1, row[:-1]) == row, index - 1, -1) if length else index
-    after, before = np.append(after, length), np.append(before, -1)
-    s = np.append(s, 0)
-    alive = np.append(after[:-1] < length, False)
+    u = int(symbols.max()) + 1 if length else 0
+    s = np.append(symbols, 0).astype(np.int32)
+    ends = np.append(row[1:] != row[:-1], True) if length else np.zeros(0, bool)
+    after = np.append(np.where(ends, length, np.arange(1, length + 1)), length).astype(np.int32)
+    before = np.append(np.where(np.append(True, ends[:-1]), -1, np.arange(-1, length - 1)), -1).astype(np.int32) if length else np.array([-1], np.int32)
+    of = np.full(length + 1, -1, np.int32)
     gone = np.zeros(length + 1, bool)
-    rules: list[tuple[int, int]] = []
-    top, rounds = space, 0
-    while max_rules is None or len(rules) < max_rules:
-        pos = np.flatnonzero(alive)
-        if not len(pos):
-            break
-        left, right = s[pos], s[after[pos]]
-        # a key of two symbols needs them below 2**31; larger ids are renumbered for counting
-        if top >= 1 << 31:
-            _, both = np.unique(np.concatenate([left, right]), return_inverse=True)
-            key = both[: len(pos)] * (int(both.max()) + 1) + both[len(pos) :]
-        else:
-            key = (left << 31) | right
-        ordered = np.sort(key)
-        edge = np.flatnonzero(np.concatenate([[True], ordered[1:] != ordered[:-1], [True]]))
-        pairs, count = ordered[edge[:-1]], np.diff(edge)
-        best = int(count.max())
-        if best < min_count:
-            break
-        rounds += 1
-        if rounds % 8 == 1:
-            alive[pos[count[np.searchsorted(pairs, key)] < min_count]] = False
-        pool = np.flatnonzero(count >= max(min_count, int(np.ceil(theta * best - 1e-9))))
-        pool = pool[np.argsort(-count[pool], kind="stable")]
-        first = np.empty(len(pairs), np.int64)
-        some = np.isin(key, pairs[pool]) if len(pool) > 64 else np.logical_or.reduce([key == k for k in pairs[pool]])
-        held = np.flatnonzero(some)
-        first[np.searchsorted(pairs, key[held])] = held
-        taken: set[int] = set()
-        new = np.zeros(len(pairs), np.int64)
-        for p, a, b in zip(pool.tolist(), left[first[pool]].tolist(), right[first[pool]].tolist()):
-            if a not in taken and b not in taken:
-                taken.update((a, b))
-                rules.append((a, b))
-                top += 1
-                new[p] = top
-                if max_rules is not None and len(rules) >= max_rules:
-                    break
-        to = new[np.searchsorted(pairs, key[held])]
-        at, to = pos[held[to > 0]], to[to > 0]
-        out = after[at]
-        s[at] = to
-        gone[out], alive[out] = True, False
-        after[at] = after[out]
-        before[after[at]] = np.where(after[at] < length, at, before[after[at]])
-        alive[at] = after[at] < length
-        back = before[at]
-        alive[back[back >= 0]] = True
-        alive &= ~gone
+    pairs = _Pairs(min_count, length)
+    start = np.flatnonzero(~ends)
+    pairs.add(s[start].astype(np.int64) << 32 | s[start + 1], start, of)
+    made: list[np.ndarray] = []
+    total, level = 0, max(pairs.buckets, default=0)
+    rank = np.zeros(0, np.int64)
+    while level >= min_count and (max_rules is None or total < max_rules):
+        pool = pairs.take(level)
+        if not len(pool):
+            level -= 1
+            continue
+        if theta < 1:
+            down = range(level - 1, max(min_count, int(np.ceil(theta * level - 1e-9))) - 1, -1)
+            pool = np.concatenate([pool, *(pairs.take(c) for c in down if c in pairs.buckets)])
+        pos, which = pairs.occurrences(pool, of)
+        chosen = np.ones(len(pool), bool)
+        if len(pool) > 1:
+            if len(rank) < pairs.size:
+                rank = np.full(2 * pairs.size, -1, np.int64)
+            rank[pool] = np.arange(len(pool))
+            beside = of[after[pos]]
+            next_to = np.where(beside >= 0, rank[np.maximum(beside, 0)], -1)
+            meet = next_to >= 0
+            a, b = which[meet], next_to[meet]
+            rank[pool] = -1
+            weight = pairs.count[pool]
+            lot = _lot(pool)
+            first = (weight[a] > weight[b]) | ((weight[a] == weight[b]) & ((lot[a] < lot[b]) | ((lot[a] == lot[b]) & (a < b))))
+            chosen[np.where(first, b, a)] = False
+        at = np.flatnonzero(chosen)
+        at = at[np.lexsort((pairs.right[pool[at]], pairs.left[pool[at]]))]
+        if max_rules is not None:
+            at = at[: max_rules - total]
+        number = np.full(len(pool), -1, np.int64)
+        number[at] = u + total + np.arange(len(at))
+        made.append(np.stack([pairs.left[pool[at]], pairs.right[pool[at]]], axis=1))
+        total += len(at)
+        to = number[which]
+        i, to = pos[to >= 0], to[to >= 0]
+        j = after[i]
+        old = np.concatenate([before[i], j])
+        old = old[old >= 0]
+        old = np.unique(old[of[old] >= 0])
+        lost, times = np.unique(of[old], return_counts=True)
+        pairs.count[lost] -= times
+        of[j] = -1
+        of[i] = -1
+        s[i], gone[j] = to, True
+        k = after[j]
+        after[i] = k
+        before[k] = i  # the cell past the end takes what has no follower
+        before[length] = -1
+        h = before[i]
+        touched = np.unique(np.concatenate([i[k < length], h[h >= 0]]))
+        pairs.count[pool[at]] = 0
+        pairs.add(s[touched].astype(np.int64) << 32 | s[after[touched]], touched, of)
+        pairs.push(pool[number < 0])
     keep = ~gone[:length]
-    return level_order(Grammar(np.array(rules, np.int64).reshape(-1, 2), s[:length][keep], row[keep], n, space))
+    return np.concatenate([*made, np.zeros((0, 2), np.int64)]).astype(np.int64), s[:length][keep].astype(np.int64), row[keep]
+
+
+def build(symbols: np.ndarray, row: np.ndarray, n: int, space: int, theta: float = 1.0, min_count: int = 2, max_rules: int | None = None) -> Grammar:
+    """Pair replacement (see ``replace_pairs``) of one block; rules come out by level. Symbol ids may be of any size."""
+    used, dense = np.unique(symbols, return_inverse=True)
+    rules, c, left = replace_pairs(dense, np.asarray(row), theta, max(2, min_count), max_rules)
+    wide = np.concatenate([used, space + 1 + np.arange(len(rules))]).astype(np.int64)
+    return level_order(Grammar(wide[rules].reshape(-1, 2), wide[c] if len(c) else np.zeros(0, np.int64), left, n, space))
 
 
 def build_by_heap(symbols: np.ndarray, row: np.ndarray, n: int, space: int) -> Grammar:

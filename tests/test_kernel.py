@@ -1,12 +1,14 @@
 """Worked examples and invariants of the kernels, without Spark."""
 
+import time
+
 import numpy as np
 import pytest
 from hypothesis import given, settings
 from hypothesis import strategies as st
 
 from symmat.operators import codec
-from symmat.operators.kernel import METHODS, Grammar, Ready, check, expand, normalise, prune_useless
+from symmat.operators.kernel import METHODS, Grammar, Ready, check, expand, normalise, prune_useless, replace_pairs
 
 # The worked 6 x 5 matrix.
 MATRIX = np.array([
@@ -73,6 +75,55 @@ def test_pair_replacement_is_exact_step_by_step():
     assert steps == len(heap.rules) and sum(map(len, lines)) == len(heap.c)
 
 
+@pytest.mark.parametrize("n,m,k,theta", [(60, 6, 2, 1.0), (80, 9, 1, 1.0), (200, 5, 4, 1.0), (50, 12, 1, 1.0), (80, 9, 1, 0.5)])
+def test_each_rule_was_among_the_most_frequent_pairs(n, m, k, theta):
+    """The rules in the order they are made, one after the other over plain rows, all pairs counted at each."""
+    x = np.random.default_rng(n + m).integers(0, k + 1, (n, m)).astype(float)
+    s, r, _ = stream(x)
+    _, dense = np.unique(s, return_inverse=True)
+    rules, c, row = replace_pairs(dense, r, theta)
+    lines = [dense[r == i].tolist() for i in range(n)]
+    new, best = int(dense.max()), None
+    for a, b in rules.tolist():
+        count: dict = {}
+        for line in lines:
+            for p in zip(line, line[1:]):
+                count[p] = count.get(p, 0) + 1
+        top = max(count.values())
+        assert count[a, b] >= 2 and (count[a, b] == top if theta == 1 else count[a, b] >= theta * top - 1)
+        new += 1
+        for line in lines:
+            for i in range(len(line) - 1):
+                if (line[i], line[i + 1]) == (a, b):
+                    line[i : i + 2] = [new]
+                    break
+    assert [y for line in lines for y in line] == c.tolist() and [i for i, line in enumerate(lines) for _ in line] == row.tolist()
+
+
+def test_building_takes_time_in_proportion_to_the_symbols():
+    def seconds(n):
+        rng = np.random.default_rng(1)
+        x = rng.integers(0, 12, (n, 8)) * (rng.random((n, 8)) < 0.8)
+        s, r, v = stream(x.astype(float))
+        start = time.process_time()
+        g = METHODS["exact"](s, r, n, len(v) * 8)
+        took = time.process_time() - start
+        assert len(g.rules)
+        return took
+
+    seconds(2_000)
+    assert seconds(80_000) < 8 * seconds(20_000) + 0.5  # four times the rows
+
+
+@pytest.mark.parametrize("limit", [0, 1, 7])
+def test_a_limit_of_rules_holds(limit):
+    s, r, v = stream(np.random.default_rng(3).integers(0, 2, (40, 8)).astype(float))
+    g = METHODS["exact"](s, r, 40, len(v) * 8, max_rules=limit)
+    assert len(g.rules) == limit and np.array_equal(expand(g)[0], s)
+    wide = METHODS["exact"](s + (1 << 40), r, 40, (1 << 40) + len(v) * 8)
+    assert np.array_equal(expand(wide)[0], s + (1 << 40))
+
+
 @settings(max_examples=40, deadline=None)
 @given(st.integers(0, 2**32 - 1), st.integers(0, 30), st.integers(1, 8), st.integers(1, 4), st.sampled_from(sorted(METHODS)))
 def test_grammars_and_codecs_lose_nothing(seed, n, m, k, method):
