@@ -7,6 +7,7 @@ import zlib
 from collections import Counter, defaultdict
 
 import numpy as np
+import pyarrow as pa
 import pytest
 
 from symmat.llm import ann, chat, embed_dedup, mixing, near_dup, packing, secrets, sharding, toxicity, url_filter
@@ -353,15 +354,23 @@ def test_packing(docs, empty):
     assert packing.pack(empty).count() == 0
 
 
-def test_words_whose_normal_form_is_not_all_letters():
-    tokenizers = pytest.importorskip("tokenizers")
-    t = tokenizers.Tokenizer.from_file(packing.vocabulary())
-    texts = ["in \u0130stanbul, at the \u0130!", "\u0958\u0932\u092e \u0915\u0932 plain words", "\ufb2a Stra\u00dfe e\u0301t\u00e9", None]
-    want = [np.array(t.encode(x or "", add_special_tokens=False).ids, "<u4").tobytes() for x in texts]
-    assert packing.WordIds(packing.vocabulary()).batch(texts) == want
-    ids = packing.WordIds(packing.vocabulary())
-    odd = ["\u0130stanbul", "plain"]  # as if they were letters to the tokenizer
-    assert ids._letters(odd) == {w: np.array(t.encode(w, add_special_tokens=False).ids, "<u4").tobytes() for w in odd}
+def test_ids_equal_the_librarys(monkeypatch):
+    pytest.importorskip("tokenizers")
+    words = packing.WordIds(packing.vocabulary())
+    plain = lambda texts: [e.ids for e in words.tokenizer.encode_batch_fast([x or "" for x in texts], add_special_tokens=False)]
+    ours = lambda texts: [x.tolist() for _, x in words.texts(pa.array(texts, pa.string()))]
+    texts = ["in \u0130stanbul, at the \u0130!", "\u0958\u0932\u092e \u0915\u0932 plain words", "\ufb2a Stra\u00dfe e\u0301t\u00e9", None, "", " \n", "x<|endoftext|>y <|ENDOFTEXT|>", "don't we'll I'M 'tis o'clock rock'n'roll ..'s l'\u00e9t\u00e9"]
+    texts += ["a" * n for n in range(1, 80)] + ["ab" * n for n in range(20, 40)] + ["-" * n for n in range(60, 70)]
+    r = np.random.default_rng(3)
+    signs = [*"abcdefgstrelvmTSRE  \t\n\x0b\x0c\r0123.,!-_<|>'\u2019\u00e9\u00c9\u00df\u00e8\u00d7\u00f7\u0178\u0152\u00ff\u0130\u0301\x1c\x1f\x85\xa0\u4e2d\u00b2\u00aa\u017f\u212a\x00\x7f\U0001f600", "'ll ", "'re", " the", "tion", "<|endoftext|>"]
+    texts += ["".join(r.choice(signs, r.integers(0, 40))) for _ in range(3000)]
+    want = plain(texts)
+    assert ours(texts) == want
+    monkeypatch.setattr(packing, "BLOCK", 100)  # many blocks, and texts that are cut between words
+    long = [" ".join(x for x in texts if x), "a" * 500]
+    assert ours(texts) == want and ours(long) == plain(long)
+    words.merges = None  # a file of another kind
+    assert ours(texts) == want
 
 
 def test_best_fit_against_a_plain_scan():
