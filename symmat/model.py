@@ -6,11 +6,16 @@ import tempfile
 import uuid
 from dataclasses import dataclass, field, replace
 
-from pyspark.sql import DataFrame, SparkSession
+import numpy as np
+import pandas as pd
+from pyspark import StorageLevel
+from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 #: Arrays of a value dictionary or vector up to this size may be broadcast; beyond it dictionaries are kept per block.
 BROADCAST_BYTES = 64 << 20
+#: Block borders up to so many are compared in one expression; more are searched in Arrow batches.
+EDGES = 128
 BLOCK_SCHEMA = (
     "block int, n_rows long, row_ids array<long>, codec string, width int, space long, c_len long, r_len long, s_len long, depth int,"
     " c binary, r binary, v array<double>, c_bytes long, r_bytes long, v_bytes long"
@@ -38,12 +43,44 @@ class MatrixView:
     names: tuple[str, ...] = ()
     memo: dict = field(default_factory=dict, compare=False)
 
+    def _count(self) -> None:
+        if "n" not in self.memo:
+            r = self.rows.agg(F.count("*").alias("n"), F.min("row_id").alias("low"), F.max("row_id").alias("high")).first()
+            self.memo.update(n=r.n, low=r.low, high=r.high)
+
     @property
     def n(self) -> int:
-        if "n" not in self.memo:
-            self.memo["n"] = self.rows.count()
+        self._count()
         return self.memo["n"]
 
+    def block_of(self, blocks: int) -> Column:
+        """The block (0-based) of a row by its row_id: ``blocks`` ranges of rows, as even as can be; fewer where there are fewer rows.
+
+        Ids 0..n-1 are divided. Any others (gaps, huge, negative) are numbered once, and the first id of each block decides.
+        """
+        n = self.n
+        per = max(1, -(-n // blocks))
+        if blocks <= 1 or n <= 1:
+            return F.lit(0)
+        if (self.memo["low"], self.memo["high"]) == (0, n - 1):
+            return F.floor(F.expr(f"row_id DIV {per}L")).cast("int")
+        if ("edges", per) not in self.memo:
+            from .sources.matrices import with_row_ids
+
+            numbered = with_row_ids(self.rows.select(F.col("row_id").alias("key")), ["key"], "at")
+            firsts = numbered.where((F.col("at") > 0) & (F.pmod("at", F.lit(per)) == 0)).orderBy("at")  # a number per block
+            self.memo["edges", per] = [r.key for r in firsts.select("key").collect()]
+        edges = self.memo["edges", per]
+        if len(edges) <= EDGES:
+            return F.size(F.filter(F.array(*[F.lit(e).cast("long") for e in edges]), lambda e: e <= F.col("row_id")))
+        bounds = np.array(edges, np.int64)
+
+        @F.pandas_udf("int")
+        def placed(ids: pd.Series) -> pd.Series:
+            return pd.Series(np.searchsorted(bounds, ids.to_numpy(), side="right").astype(np.int32))
+
+        return placed("row_id")
+
     @property
     def cells(self) -> DataFrame:
         """The long form (row_id, col, val) of the nonzero cells."""
@@ -61,31 +98,48 @@ class MatrixView:
         return MatrixView(self.rows.where(condition), self.m, self.names)
 
 
-@dataclass(frozen=True)
+@dataclass(frozen=True, eq=False)
 class Blocks:
     """A matrix as compressed row blocks (schema BLOCK_SCHEMA), with its value dictionary: an array shared by all blocks, or one in each block."""
 
     df: DataFrame
     m: int
     codec: str
-    values: tuple | None = None
+    values: np.ndarray | None = None
     uid: str = field(default_factory=lambda: uuid.uuid4().hex)
+    memo: dict = field(default_factory=dict)
+
+    @property
+    def shared(self):
+        """The dictionary as a broadcast, sent once however many products follow."""
+        if "values" not in self.memo:
+            self.memo["values"] = self.df.sparkSession.sparkContext.broadcast(None if self.values is None else np.asarray(self.values, float))
+        return self.memo["values"]
 
     def save(self, path: str) -> None:
-        """Parquet partitioned by block, beside the shared dictionary and the width of the matrix."""
+        """Parquet, a folder per block, beside the shared dictionary and the width of the matrix."""
         spark = self.df.sparkSession
-        self.df.write.mode("overwrite").parquet(f"{path}/blocks")
+        self.df.withColumn("part", F.col("block")).write.mode("overwrite").partitionBy("part").parquet(f"{path}/blocks")
         meta = [(self.m, self.codec, None if self.values is None else [float(v) for v in self.values])]
         spark.createDataFrame(meta, "m int, codec string, values array<double>").coalesce(1).write.mode("overwrite").parquet(f"{path}/meta")
 
     @staticmethod
-    def load(spark: SparkSession, path: str) -> Blocks:
+    def load(spark: SparkSession, path: str, blocks: list[int] | None = None) -> Blocks:
+        """The blocks saved at ``path``, or only those of these numbers (other folders are not read)."""
         meta = spark.read.parquet(f"{path}/meta").first()
-        return Blocks(spark.read.parquet(f"{path}/blocks"), meta["m"], meta["codec"], None if meta["values"] is None else tuple(meta["values"]))
+        df = spark.read.parquet(f"{path}/blocks")
+        df = (df if blocks is None else df.where(F.col("part").isin(blocks))).drop("part")
+        return Blocks(df, meta["m"], meta["codec"], None if meta["values"] is None else np.array(meta["values"]))
 
     def prepared(self) -> Blocks:
-        """The same blocks, materialised once for repeated products."""
-        return replace(self, df=cut(self.df))
+        """The same blocks, materialised once for repeated products: in the checkpoint folder, and kept in memory where it suffices."""
+        return replace(self, df=cut(self.df).persist(StorageLevel.MEMORY_AND_DISK))
+
+    def release(self) -> None:
+        """Give back memory and the broadcast dictionary."""
+        self.df.unpersist()
+        if "values" in self.memo:
+            self.memo.pop("values").unpersist()
 
     def explain(self) -> DataFrame:
         """Shape of every block: rows, symbols before and after, rules, depth, width, bytes."""

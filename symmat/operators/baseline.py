@@ -14,7 +14,6 @@ from pyspark.sql import functions as F
 
 from ..model import MatrixView, cut
 from ..sources.matrices import with_row_ids
-from .multiply import block_of
 
 #: Rows whose runs are counted together.
 SPAN = 1 << 16
@@ -64,7 +63,7 @@ def byte_sizes(view: MatrixView, names: tuple[str, ...] = ("gzip", "xz"), blocks
         data = dense.tobytes()
         return pa.table({"block": pa.array([key[0].as_py()] * len(names), pa.int32()), "method": list(names), "bytes": [COMPRESSORS[x](data) for x in names]})
 
-    return view.rows.withColumn("block", block_of(view, blocks)).groupBy("block").applyInArrow(work, "block int, method string, bytes long")
+    return view.rows.withColumn("block", view.block_of(blocks)).groupBy("block").applyInArrow(work, "block int, method string, bytes long")
 
 
 def sparse_sizes(view: MatrixView) -> DataFrame:

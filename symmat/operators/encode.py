@@ -4,6 +4,8 @@ from __future__ import annotations
 
 from collections.abc import Sequence
 
+import numpy as np
+import pyarrow as pa
 from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
@@ -37,13 +39,17 @@ def stream(view: MatrixView, codes: DataFrame | None = None, order: Sequence[int
     """The symbol stream (block, row_id, pos, sym); the row key stands for the row mark.
 
     ``order``: None, one permutation for all rows (position -> column), a DataFrame (block, col, rank) with one per block,
-    or 'row_greedy' (each row on its own: frequent symbols first, so equal ones line up).
+    'row_greedy' (each row on its own: frequent symbols first, so equal ones line up), or 'row_partner' (each row on its own:
+    every symbol next to the one that it meets in most rows).
     """
+    if isinstance(order, str) and order not in ("row_greedy", "row_partner"):
+        raise ValueError(order)
     codes = dictionary(view) if codes is None else codes
-    per_block = max(1, -(-view.n // blocks))
-    cells = view.cells.join(codes, F.col("val") == F.col("value")).select((F.col("row_id") / per_block).cast("int").alias("block"), "row_id", "col", symbol_of(F.col("code"), F.col("col"), view.m).alias("sym"))
+    cells = view.cells.join(codes, F.col("val") == F.col("value")).select(view.block_of(blocks).alias("block"), "row_id", "col", symbol_of(F.col("code"), F.col("col"), view.m).alias("sym"))
     if order is None:
         cells = cells.withColumn("rank", F.col("col"))
+    elif order == "row_partner":
+        return _by_partner(cells)
     elif isinstance(order, str):
         often = cells.groupBy("sym").agg((-F.count("*")).alias("rank"))
         cells = cells.join(often, "sym")
@@ -56,6 +62,38 @@ def stream(view: MatrixView, codes: DataFrame | None = None, order: Sequence[int
     return cells.select("block", "row_id", at.alias("pos"), "sym")
 
 
+def _by_partner(cells: DataFrame) -> DataFrame:
+    """Each row led by its most frequent symbol; after a symbol comes its best partner of those left in the row.
+
+    Partners are counted over all rows: pairs are made inside the row, combined on the map side, and join the row's own
+    pairs again by key, so a row's task sees only its own symbols and their counts.
+    """
+    rows = cells.groupBy("block", "row_id").agg(F.array_sort(F.collect_list("sym")).alias("syms"))
+    ahead = F.transform("syms", lambda a, i: F.struct(a.alias("a"), F.slice("syms", i + 2, F.size("syms")).alias("rest")))
+    pairs = rows.select("block", "row_id", F.explode(ahead).alias("x")).select("block", "row_id", "x.a", F.explode("x.rest").alias("b"))
+    often = pairs.groupBy("a", "b").agg(F.count("*").alias("n"))
+    single = cells.groupBy("sym").agg(F.count("*").alias("n"))
+    met = pairs.join(often, ["a", "b"]).groupBy("block", "row_id").agg(F.collect_list(F.struct("n", "a", "b")).alias("met"))
+    own = cells.join(single, "sym").groupBy("block", "row_id").agg(F.array_sort(F.collect_list(F.struct((-F.col("n")).alias("n"), "sym"))).alias("own"))
+    both = own.join(met, ["block", "row_id"], "left").select("block", "row_id", F.col("own.sym").alias("syms"), F.coalesce("met", F.array().cast("array<struct<n:bigint,a:bigint,b:bigint>>")).alias("met"))
+
+    def step(acc: Column, _: Column) -> Column:
+        last = F.element_at(acc["out"], -1)
+        near = F.filter("met", lambda e: ((e["a"] == last) & F.array_contains(acc["left"], e["b"])) | ((e["b"] == last) & F.array_contains(acc["left"], e["a"])))
+        best = F.array_max(F.transform(near, lambda e: F.struct(e["n"].alias("n"), (-F.when(e["a"] == last, e["b"]).otherwise(e["a"])).alias("s"))))
+        pick = -best["s"]
+        return F.struct(F.array_append(acc["out"], pick).alias("out"), F.array_remove(acc["left"], pick).alias("left"))
+
+    start = F.struct(F.slice("syms", 1, 1).alias("out"), F.slice("syms", 2, F.size("syms")).alias("left"))
+    line = F.aggregate(F.slice("syms", 2, F.size("syms")), start, step, lambda acc: acc["out"])
+    return both.select("block", "row_id", F.posexplode(line).alias("pos", "sym"))
+
+
+def row_marks(view: MatrixView, blocks: int = 1) -> DataFrame:
+    """(block, row_id, pos, sym = 0): the mark behind every row, rows without symbols included."""
+    return view.rows.select(view.block_of(blocks).alias("block"), "row_id", F.size("cols").alias("pos"), F.lit(0).cast("long").alias("sym"))
+
+
 def decode_stream(symbols: DataFrame, codes: DataFrame, m: int) -> DataFrame:
     """The long matrix (row_id, col, val) back from the stream."""
     own = symbols.select("row_id", code_of(F.col("sym"), m).alias("code"), column_of(F.col("sym"), m).alias("col"))
@@ -93,7 +131,7 @@ def csr_pointers(view: MatrixView, per_chunk: int = 65_536) -> DataFrame:
 
 def csr(view: MatrixView, blocks: int = 1) -> DataFrame:
     """Per block: nz array<double>, idx array<int>, first array<long> (positions inside the block)."""
-    return _csr(view, blocks, "vals", None)
+    return _csr(view, blocks, "vals", pa.float64())
 
 
 def csr_iv(view: MatrixView, codes: DataFrame | None = None, blocks: int = 1) -> DataFrame:
@@ -101,13 +139,19 @@ def csr_iv(view: MatrixView, codes: DataFrame | None = None, blocks: int = 1) ->
     codes = dictionary(view) if codes is None else codes
     coded = view.cells.join(codes, F.col("val") == F.col("value")).groupBy("row_id").agg(F.array_sort(F.collect_list(F.struct("col", "code"))).alias("x"))
     rows = view.rows.select("row_id").join(coded, "row_id", "left").select("row_id", F.coalesce(F.col("x.col"), F.array().cast("array<int>")).alias("cols"), F.coalesce(F.col("x.code"), F.array().cast("array<bigint>")).alias("codes"))
-    return _csr(MatrixView(rows, view.m, memo={"n": view.n}), blocks, "codes", "array<int>")
+    view.n  # noqa: B018  the same rows, counted once
+    return _csr(MatrixView(rows, view.m, memo=view.memo), blocks, "codes", pa.int32())
+
+
+def _csr(view: MatrixView, blocks: int, what: str, kind: pa.DataType) -> DataFrame:
+    """A block's rows meet in one task, where its arrays are laid end to end."""
 
+    def work(key: tuple, rows: pa.Table) -> pa.Table:
+        rows = rows.sort_by("row_id")
+        cols, held = rows.column("cols").combine_chunks(), rows.column(what).combine_chunks()
+        ends = cols.offsets.to_numpy().astype(np.int64)
+        lists = [held.flatten().cast(kind), cols.flatten().cast(pa.int32()), pa.array(ends - ends[0])]
+        return pa.table([pa.array([key[0].as_py()], pa.int32()), *(pa.ListArray.from_arrays(pa.array([0, len(x)], pa.int32()), x) for x in lists)], names=["block", "nz", "idx", "first"])
 
-def _csr(view: MatrixView, blocks: int, what: str, kind: str | None) -> DataFrame:
-    per_block = max(1, -(-view.n // blocks))
-    rows = view.rows.groupBy((F.col("row_id") / per_block).cast("int").alias("block")).agg(F.array_sort(F.collect_list(F.struct("row_id", "cols", what))).alias("x"))
-    sizes = F.transform(F.col("x.cols"), lambda c: F.size(c).cast("long"))
-    first = F.aggregate(sizes, F.array(F.lit(0).cast("long")), lambda a, s: F.array_append(a, F.element_at(a, -1) + s))
-    nz = F.flatten(F.col(f"x.{what}"))
-    return rows.select("block", (nz.cast(kind) if kind else nz).alias("nz"), F.flatten(F.col("x.cols")).alias("idx"), first.alias("first"))
+    number = "double" if kind == pa.float64() else "int"
+    return view.rows.select(view.block_of(blocks).alias("block"), "row_id", "cols", what).groupBy("block").applyInArrow(work, f"block int, nz array<{number}>, idx array<int>, first array<long>")

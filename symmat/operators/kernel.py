@@ -446,12 +446,17 @@ class Ready:
     def __init__(self, g: Grammar, m: int, values: np.ndarray) -> None:
         used = np.unique(np.concatenate([g.c[g.c <= g.space], g.rules[g.rules <= g.space]]))
         dense = lambda x: np.where(x > g.space, x - g.space - 1 + len(used), np.searchsorted(used, x))
-        self.c, self.rules, self.row, self.n, self.m = dense(g.c), dense(g.rules), g.row, g.n, m
+        small = lambda a: a.astype(np.int32) if g.n_max < 1 << 31 or not len(a) or int(a.max()) < 1 << 31 else a
+        self.c, self.rules, self.row, self.n, self.m = small(dense(g.c)), small(dense(g.rules)), small(g.row), g.n, m
         self.col = (used - 1) % m if len(used) else used
         self.value = values[(used - 1) // m] if len(used) else np.zeros(0)
         self.bounds = np.searchsorted(g.levels, np.arange(1, (g.levels.max() if len(g.rules) else 0) + 2))
         self.used = used
 
+    @property
+    def nbytes(self) -> int:
+        return sum(a.nbytes for a in (self.c, self.rules, self.row, self.col, self.value, self.used, self.bounds))
+
     def symbol_values(self, x: np.ndarray) -> np.ndarray:
         """Val of every terminal and rule: each level is one vector addition. ``x``: m, or m x k."""
         t = len(self.used)

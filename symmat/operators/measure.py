@@ -5,6 +5,7 @@ from __future__ import annotations
 import time
 from collections.abc import Callable
 
+import numpy as np
 import pyarrow as pa
 from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
@@ -71,12 +72,14 @@ def _contexts(symbols: DataFrame, k: int) -> tuple[DataFrame, Column]:
     return joined, F.concat_ws(",", *[F.coalesce(F.coalesce(f"p{i}", at_border[i - 1]).cast("string"), F.lit("-")) for i in range(1, k + 1)])
 
 
-def entropy(symbols: DataFrame, k: int = 0) -> DataFrame:
+def entropy(symbols: DataFrame, k: int = 0, marks: DataFrame | None = None) -> DataFrame:
     """(total, h): symbols of the stream (marks included) and its order-k empirical entropy in bits; contexts do not cross blocks.
 
-    ``symbols``: (block, row_id, pos, sym). A mark follows each row; only rows that have symbols are seen.
+    ``symbols``: (block, row_id, pos, sym). ``marks``: the mark behind each row (``encode.row_marks``), so that empty rows
+    count; without it, only rows that have symbols get one.
     """
-    marks = symbols.groupBy("block", "row_id").agg((F.max("pos") + 1).alias("pos")).withColumn("sym", F.lit(0).cast("long"))
+    if marks is None:
+        marks = symbols.groupBy("block", "row_id").agg((F.max("pos") + 1).alias("pos")).withColumn("sym", F.lit(0).cast("long"))
     every = symbols.select("block", "row_id", "pos", "sym").unionByName(marks.select("block", "row_id", "pos", "sym"))
     context = F.lit("")
     if k:
@@ -103,18 +106,55 @@ def memory_model(g: Blocks, n: int) -> dict[str, float]:
     return parts | {"total": total, "pct": size_pct(total, n, g.m), "gap_pct": size_pct(total - parts["encoded"], n, g.m)}
 
 
-def worker_peaks(g: Blocks) -> DataFrame:
-    """(pid, peak_kb): the largest resident size so far of each Python worker that holds blocks."""
+def product_peaks(g: Blocks, rounds: int = 1) -> DataFrame:
+    """(block, codec, base_kb, encoded_kb, peak_kb): each block's largest resident size while it is decoded and multiplied by both sides.
 
-    def run(batches):
-        import os
-        import resource
-
-        for _ in batches:
-            pass
-        yield pa.RecordBatch.from_arrays([pa.array([os.getpid()]), pa.array([int(resource.getrusage(resource.RUSAGE_SELF).ru_maxrss)])], names=["pid", "peak_kb"])
+    Every block is run in a process of its own, started afresh, whose peak is its own: base_kb is that process before it
+    holds the block, encoded_kb with the encoded block, peak_kb after ``rounds`` of right and left products.
+    """
+    m, shared = g.m, g.shared
 
-    return g.df.mapInArrow(run, "pid long, peak_kb long").groupBy("pid").agg(F.max("peak_kb").alias("peak_kb"))
+    def run(batches):
+        import pickle
+        import subprocess
+        import sys
+
+        for batch in batches:
+            for i in range(len(batch)):
+                one = batch.slice(i, 1)
+                sink = pa.BufferOutputStream()
+                with pa.ipc.new_stream(sink, one.schema) as writer:
+                    writer.write_batch(one)
+                load = pickle.dumps((sink.getvalue().to_pybytes(), m, shared.value, rounds, sys.path))
+                code = "import pickle, sys; load = pickle.load(sys.stdin.buffer); sys.path[:] = load[4]; from symmat.operators.measure import peak_of_block; print(*peak_of_block(*load[:4]))"
+                said = subprocess.run([sys.executable, "-c", code], input=load, capture_output=True, check=True).stdout.split()
+                base, held, peak = (int(x) for x in said[-3:])
+                yield pa.RecordBatch.from_arrays([one.column("block"), one.column("codec"), *(pa.array([x], pa.int64()) for x in (base, held, peak))], names=["block", "codec", "base_kb", "encoded_kb", "peak_kb"])
+
+    return g.df.mapInArrow(run, "block int, codec string, base_kb long, encoded_kb long, peak_kb long")
+
+
+def _resident_peak() -> int:
+    """Largest resident size of this process so far, in kB."""
+    with open("/proc/self/status") as f:
+        return next(int(line.split()[1]) for line in f if line.startswith("VmHWM"))
+
+
+def peak_of_block(load: bytes, m: int, values: np.ndarray | None, rounds: int) -> tuple[int, int, int]:
+    """Peaks of this process before, with, and after products on the one block in ``load``."""
+    from . import codec
+    from .kernel import Ready
+    from .multiply import _grammar, _numbers
+
+    codec.decode("gpack", b"", b"", 1, 0, 0, 1)
+    base = _resident_peak()
+    batch = next(iter(pa.ipc.open_stream(load)))
+    held = _resident_peak()
+    own = _numbers(batch, 0, "v")
+    for _ in range(rounds):
+        ready = Ready(_grammar(batch, 0), m, values if own is None else own)
+        ready.left(ready.right(np.ones(m)))
+    return base, held, _resident_peak()
 
 
 def improvement(before: float, after: float) -> float:

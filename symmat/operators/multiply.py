@@ -15,6 +15,8 @@ from ..model import BLOCK_SCHEMA, BROADCAST_BYTES, Blocks, MatrixView
 from . import codec as codecs
 from .kernel import METHODS, Grammar, Ready, expand, normalise
 
+#: Bytes of symbols that one block holds; several times that is a block's peak while its grammar is built.
+TARGET_BYTES = 64 << 20
 _ARROW = pa.schema([
     ("block", pa.int32()), ("n_rows", pa.int64()), ("row_ids", pa.list_(pa.int64())), ("codec", pa.string()), ("width", pa.int32()), ("space", pa.int64()), ("c_len", pa.int64()), ("r_len", pa.int64()),
     ("s_len", pa.int64()), ("depth", pa.int32()), ("c", pa.binary()), ("r", pa.binary()), ("v", pa.list_(pa.float64())), ("c_bytes", pa.int64()), ("r_bytes", pa.int64()), ("v_bytes", pa.int64()),
@@ -54,18 +56,21 @@ def shared_values(view: MatrixView) -> np.ndarray | None:
     return np.sort(few) if len(few) * 8 <= BROADCAST_BYTES else None
 
 
-def block_of(view: MatrixView, blocks: int):
-    return (F.col("row_id") / max(1, -(-view.n // blocks))).cast("int")
+def block_count(view: MatrixView, target_bytes: int = TARGET_BYTES) -> int:
+    """Blocks so that none holds much more than ``target_bytes`` of symbols (4 bytes each)."""
+    cells = view.rows.agg(F.sum(F.size("cols") + 1)).first()[0] or 0
+    return max(1, -(-4 * cells // target_bytes))
 
 
-def compress(view: MatrixView, blocks: int = 1, codec: str = "gpack", method: str = "exact", scope: str = "global", order: Sequence[int] | dict[int, Sequence[int]] | None = None, row_normal: bool = False, **options) -> Blocks:
+def compress(view: MatrixView, blocks: int | None = 1, codec: str = "gpack", method: str = "exact", scope: str = "global", order: Sequence[int] | dict[int, Sequence[int]] | None = None, row_normal: bool = False, **options) -> Blocks:
     """Row blocks of ``view``, compressed: one shuffle brings a block's rows to one task, where its grammar is built and encoded.
 
-    ``scope``: one dictionary for all blocks (checked to be small enough to broadcast, else as 'block'), or one per block.
+    ``blocks``: how many; None for blocks of bounded size (``block_count``). ``scope``: one dictionary for all blocks (checked to be small enough to broadcast, else as 'block'), or one per block.
     ``order``: a permutation of the columns, or one per block; decoding and products do not need it. codec 'stream' keeps
     the symbols as they are.
     """
     spark, m = view.rows.sparkSession, view.m
+    blocks = block_count(view) if blocks is None else blocks
     values = shared_values(view) if scope == "global" else None
     shared = spark.sparkContext.broadcast((values, {k: np.array(o) for k, o in order.items()} if isinstance(order, dict) else None if order is None else np.array(order)))
 
@@ -81,46 +86,63 @@ def compress(view: MatrixView, blocks: int = 1, codec: str = "gpack", method: st
             g = normalise(g) if row_normal else g
         return pa.Table.from_pylist([pack_block(b, ids, len(sym) + len(ids), g, codec, used if v is None else None)], _ARROW)
 
-    made = view.rows.withColumn("block", block_of(view, blocks)).groupBy("block").applyInArrow(work, BLOCK_SCHEMA)
-    return Blocks(made, m, codec, None if values is None else tuple(values.tolist()))
+    made = view.rows.withColumn("block", view.block_of(blocks)).groupBy("block").applyInArrow(work, BLOCK_SCHEMA)
+    return Blocks(made, m, codec, values)
 
 
-#: Decoded blocks that a worker keeps between products.
+#: Blocks that a worker keeps decoded between products, and the bytes they may take.
 _READY: OrderedDict[tuple[str, int], tuple[Ready, np.ndarray]] = OrderedDict()
-_KEEP = 16
+KEEP_BYTES = 512 << 20
 
 
-def _grammar(row: dict) -> Grammar:
-    return codecs.decode(row["codec"], row["c"], row["r"], row["width"], row["c_len"], row["r_len"], row["space"])
+def _at(batch: pa.RecordBatch, i: int, name: str):
+    return batch.column(name)[i].as_py()
 
 
-def _ready(uid: str, row: dict, m: int, values: np.ndarray | None) -> tuple[Ready, np.ndarray]:
-    key = (uid, row["block"])
-    if key not in _READY:
-        v = np.array(row["v"]) if row["v"] is not None else values
-        _READY[key] = (Ready(_grammar(row), m, v), np.array(row["row_ids"], np.int64))
-        while len(_READY) > _KEEP:
-            _READY.popitem(last=False)
-    _READY.move_to_end(key)
-    return _READY[key]
+def _numbers(batch: pa.RecordBatch, i: int, name: str) -> np.ndarray | None:
+    cell = batch.column(name)[i]
+    return cell.values.to_numpy(zero_copy_only=False) if cell.is_valid else None
 
 
-def _each(g: Blocks, shared):
+def _grammar(batch: pa.RecordBatch, i: int) -> Grammar:
+    return codecs.decode(*(_at(batch, i, k) for k in ("codec", "c", "r", "width", "c_len", "r_len", "space")))
+
+
+def _ready(g_uid: str, batch: pa.RecordBatch, i: int, m: int, values: np.ndarray | None) -> tuple[Ready, np.ndarray]:
+    """Block i of a batch, decoded. Kept while there is room: blocks of other matrices make room, oldest first; of one matrix
+    those met first stay, so that scan after scan finds the same ones."""
+    key = (g_uid, _at(batch, i, "block"))
+    if key in _READY:
+        return _READY[key]
+    own = _numbers(batch, i, "v")
+    found = Ready(_grammar(batch, i), m, values if own is None else own), _numbers(batch, i, "row_ids").astype(np.int64)
+    size = found[0].nbytes + found[1].nbytes
+    held = sum(r.nbytes + ids.nbytes for r, ids in _READY.values())
+    for other in [k for k in _READY if k[0] != g_uid]:
+        if held + size <= KEEP_BYTES:
+            break
+        r, ids = _READY.pop(other)
+        held -= r.nbytes + ids.nbytes
+    if held + size <= KEEP_BYTES:
+        _READY[key] = found
+    return found
+
+
+def _each(g: Blocks, extra):
     """Runs over the blocks of a task: (block number, ready block, row ids, what was broadcast)."""
-    uid, m = g.uid, g.m
+    uid, m, shared = g.uid, g.m, g.shared
 
     def blocks(batches: Iterator[pa.RecordBatch]):
-        values, extra = shared.value
         for batch in batches:
-            for row in batch.to_pylist():
-                ready, ids = _ready(uid, row, m, values)
-                yield row["block"], ready, ids, extra
+            for i in range(len(batch)):
+                ready, ids = _ready(uid, batch, i, m, shared.value)
+                yield _at(batch, i, "block"), ready, ids, extra.value
 
     return blocks
 
 
 def _broadcast(g: Blocks, extra):
-    return g.df.sparkSession.sparkContext.broadcast((None if g.values is None else np.array(g.values), extra))
+    return g.df.sparkSession.sparkContext.broadcast(extra)
 
 
 def right(g: Blocks, x: np.ndarray) -> DataFrame:
@@ -131,68 +153,97 @@ def right(g: Blocks, x: np.ndarray) -> DataFrame:
     def run(batches):
         for _, ready, ids, vec in each(batches):
             y = ready.right(vec)
-            out = pa.array(y) if y.ndim == 1 else pa.array(y.tolist(), pa.list_(pa.float64()))
+            out = pa.array(y) if y.ndim == 1 else _lists(y)
             yield pa.RecordBatch.from_arrays([pa.array(ids), out], names=["row_id", "y"])
 
     return g.df.mapInArrow(run, "row_id long, y double" if x.ndim == 1 else "row_id long, y array<double>")
 
 
-def _partials(g: Blocks, work, extra) -> DataFrame:
-    """One m-vector per task: the sum over its blocks, in block order."""
-    each = _each(g, _broadcast(g, extra))
-    m = g.m
+def _lists(y: np.ndarray) -> pa.Array:
+    return pa.ListArray.from_arrays(np.arange(len(y) + 1, dtype=np.int32) * y.shape[1], pa.array(y.ravel()))
+
+
+def _partials(g: Blocks, work, extra, width: int) -> DataFrame:
+    """One vector of ``width`` numbers per task: the sum over its blocks, in block order."""
+    each = _each(g, extra)
 
     def run(batches):
-        total, first = np.zeros(m), None
+        total, first = np.zeros(width), None
         for block, ready, ids, vec in each(batches):
             total, first = total + work(ready, ids, vec, block), block if first is None else first
         if first is not None:
-            yield pa.RecordBatch.from_arrays([pa.array([first], pa.int32()), pa.array([total.tolist()], pa.list_(pa.float64()))], names=["block", "x"])
+            yield pa.RecordBatch.from_arrays([pa.array([first], pa.int32()), _lists(total[None])], names=["block", "x"])
 
     return g.df.mapInArrow(run, "block int, x array<double>")
 
 
-def _sum(parts: DataFrame, m: int) -> np.ndarray:
-    """The sum of the partial vectors, in block order; where they would weigh too much on the driver, first per group of blocks."""
-    if parts.rdd.getNumPartitions() * m * 8 > BROADCAST_BYTES:
+def _sum(g: Blocks, work, extra, width: int) -> np.ndarray:
+    """The sum of the tasks' partial vectors, in block order; where they would weigh too much on the driver, first per position.
+
+    What was broadcast for it is given back at the end.
+    """
+    shared = _broadcast(g, extra)
+    parts = _partials(g, work, shared, width)
+    if parts.rdd.getNumPartitions() * width * 8 > BROADCAST_BYTES:
         col = parts.select("block", F.posexplode("x").alias("col", "x")).groupBy("col").agg(F.sum("x").alias("x"))
-        out = np.zeros(m)
+        out = np.zeros(width)
         for r in col.toLocalIterator():
             out[r.col] = r.x
-        return out
-    return sum((np.array(r.x) for r in sorted(parts.collect(), key=lambda r: r.block)), np.zeros(m))
+    else:
+        out = sum((np.array(r.x) for r in sorted(parts.collect(), key=lambda r: r.block)), np.zeros(width))
+    shared.unpersist()
+    return out
 
 
 def left(g: Blocks, y: DataFrame) -> DataFrame:
-    """y'M on the blocks, y as (row_id, y): (col, x). Each block meets its part of y by a join on the block; then b*m partial sums are added."""
+    """y'M on the blocks: (col, x); y as (row_id, y), or (row_id, y array of k) for k vectors at once, x then being an array.
+
+    Each block meets its part of y by a join on the block; then b*m partial sums are added.
+    """
+    many = dict(y.dtypes)["y"].startswith("array")
     spans = g.df.select("block", F.explode("row_ids").alias("row_id"))
     own = spans.join(y, "row_id").groupBy("block").agg(F.array_sort(F.collect_list(F.struct("row_id", "y"))).alias("ys"))
     joined = g.df.join(own.select("block", F.col("ys.y").alias("ys"), F.col("ys.row_id").alias("yids")), "block", "left")
-    each_values, uid, m = _broadcast(g, None), g.uid, g.m
+    shared, uid, m = g.shared, g.uid, g.m
 
     def run(batches):
         for batch in batches:
-            for row in batch.to_pylist():
-                ready, ids = _ready(uid, row, m, each_values.value[0])
-                part = np.zeros(len(ids))
-                part[np.searchsorted(ids, row["yids"] or [])] = row["ys"] or []
-                yield pa.RecordBatch.from_arrays([pa.array(np.arange(m, dtype=np.int32)), pa.array(ready.left(part))], names=["col", "x"])
-
-    return joined.mapInArrow(run, "col int, x double").groupBy("col").agg(F.sum("x").alias("x"))
+            for i in range(len(batch)):
+                ready, ids = _ready(uid, batch, i, m, shared.value)
+                at, given = _numbers(batch, i, "yids"), batch.column("ys")[i]
+                if at is None:
+                    continue
+                if many:
+                    vec = given.values.flatten().to_numpy(zero_copy_only=False).reshape(len(at), -1)
+                    part = np.zeros((len(ids), vec.shape[1]))
+                else:
+                    vec, part = given.values.to_numpy(zero_copy_only=False), np.zeros(len(ids))
+                part[np.searchsorted(ids, at)] = vec
+                x = ready.left(part)
+                if not many:
+                    yield pa.RecordBatch.from_arrays([pa.array(np.arange(m, dtype=np.int32)), pa.array(x)], names=["col", "x"])
+                else:
+                    k = x.shape[1]
+                    yield pa.RecordBatch.from_arrays([pa.array(np.repeat(np.arange(m, dtype=np.int32), k)), pa.array(np.tile(np.arange(k, dtype=np.int32), m)), pa.array(x.ravel())], names=["col", "at", "x"])
+
+    if not many:
+        return joined.mapInArrow(run, "col int, x double").groupBy("col").agg(F.sum("x").alias("x"))
+    each = joined.mapInArrow(run, "col int, at int, x double").groupBy("col", "at").agg(F.sum("x").alias("x"))
+    return each.groupBy("col").agg(F.transform(F.array_sort(F.collect_list(F.struct("at", "x"))), lambda e: e["x"]).alias("x"))
 
 
 def left_by(g: Blocks, y_of) -> np.ndarray:
     """y'M where y is a function of the row ids (a vectorised formula, importable on the workers): nothing but m numbers a task travels."""
-    return _sum(_partials(g, lambda ready, ids, f, _: ready.left(f(ids).astype(float)), y_of), g.m)
+    return _sum(g, lambda ready, ids, f, _: ready.left(f(ids).astype(float)), y_of, g.m)
 
 
 def gram_apply(g: Blocks, x: np.ndarray) -> np.ndarray:
     """M'(Mx) in one pass: each block's y stays in its task."""
-    return _sum(_partials(g, lambda ready, ids, v, _: ready.left(ready.right(v)), np.asarray(x, float)), g.m)
+    return _sum(g, lambda ready, ids, v, _: ready.left(ready.right(v)), np.asarray(x, float), g.m)
 
 
 def iterate(g: Blocks, x0: np.ndarray, rounds: int = 500) -> tuple[np.ndarray, list[float]]:
-    """Rounds of y = Mx, z = y'M, x = z / max|z|; the norms too. A zero z ends it with x = 0. One broadcast and one reduction a round."""
+    """Rounds of y = Mx, z = y'M, x = z / max|z|; the norms too. A zero z ends it with x = 0. A round broadcasts x and adds the tasks' vectors; the dictionary was sent before."""
     x, norms = np.asarray(x0, float), []
     for _ in range(rounds):
         z = gram_apply(g, x)
@@ -234,30 +285,56 @@ def row_sums(g: Blocks) -> DataFrame:
     return right(g, np.ones(g.m))
 
 
+def norms(g: Blocks) -> DataFrame:
+    """(col, x): the Euclidean norm of every column, from how many rows hold each terminal: the grammar is walked once."""
+    squares = symbol_sums(g, ones).groupBy("col").agg(F.sqrt(F.sum(F.col("val") * F.col("val") * F.col("total"))).alias("x"))
+    every = g.df.sparkSession.range(g.m).select(F.col("id").cast("int").alias("col"))
+    return every.join(squares, "col", "left").select("col", F.coalesce("x", F.lit(0.0)).alias("x"))
+
+
+def transposed(g: Blocks) -> Transposed:
+    """M' without moving a cell: its right product is the left product of M, and the other way round."""
+    return Transposed(g)
+
+
+class Transposed:
+    def __init__(self, g: Blocks) -> None:
+        self.blocks = g
+
+    def right(self, y: DataFrame) -> DataFrame:
+        return left(self.blocks, y)
+
+    def left(self, x: np.ndarray) -> DataFrame:
+        return right(self.blocks, x)
+
+    def transposed(self) -> Blocks:
+        return self.blocks
+
+
 def scale(g: Blocks, factor: float) -> Blocks:
     """factor * M: only the dictionary changes. (A factor of zero would make stored cells zero, and is refused.)"""
     if factor == 0 or not math.isfinite(factor):
         raise ValueError("factor must be finite and not zero")
     df = g.df.withColumn("v", F.transform("v", lambda v: v * factor))
-    return Blocks(df, g.m, g.codec, None if g.values is None else tuple(v * factor for v in g.values))
+    return Blocks(df, g.m, g.codec, None if g.values is None else np.asarray(g.values) * factor)
 
 
 def decode(g: Blocks, ids: Sequence[int] | None = None) -> DataFrame:
     """The long matrix (row_id, col, val), or only the rows ``ids``: blocks are pruned by their row ids, rows before expansion."""
     df = g.df if ids is None else g.df.where(F.arrays_overlap("row_ids", F.lit(list(ids))))
-    shared, m = _broadcast(g, None if ids is None else np.array(list(ids))), g.m
+    shared, m, wanted = g.shared, g.m, None if ids is None else np.array(list(ids))
 
     def run(batches):
-        values, wanted = shared.value
         for batch in batches:
-            for row in batch.to_pylist():
-                gr, own = _grammar(row), np.array(row["row_ids"], np.int64)
+            for i in range(len(batch)):
+                gr, own = _grammar(batch, i), _numbers(batch, i, "row_ids").astype(np.int64)
                 c, r = gr.c, gr.row
                 if wanted is not None:
                     keep = np.isin(own[r], wanted)
                     c, r = c[keep], r[keep]
                 c, r = expand(gr, c, r)
-                v = np.array(row["v"]) if row["v"] is not None else values
+                v = _numbers(batch, i, "v")
+                v = shared.value if v is None else v
                 yield pa.RecordBatch.from_arrays([pa.array(own[r]), pa.array(((c - 1) % m).astype(np.int32)), pa.array(v[(c - 1) // m] if len(c) else np.zeros(0))], names=["row_id", "col", "val"])
 
     return df.mapInArrow(run, "row_id long, col int, val double")
@@ -265,8 +342,7 @@ def decode(g: Blocks, ids: Sequence[int] | None = None) -> DataFrame:
 
 def symbol_sums(g: Blocks, y_of) -> DataFrame:
     """(col, val, total): for each distinct terminal, the sum of y over the rows that hold it, by one backward pass a block."""
-    shared = _broadcast(g, y_of)
-    each = _each(g, shared)
+    each = _each(g, _broadcast(g, y_of))
 
     def run(batches):
         for _, ready, ids, f in each(batches):

@@ -308,7 +308,7 @@ def blockwise(view: MatrixView, blocks: int = 16, algorithms: tuple[str, ...] =
     """
     from ..model import BLOCK_SCHEMA, Blocks, cut
     from .kernel import METHODS
-    from .multiply import _ARROW, block_of, block_symbols, pack_block, shared_values
+    from .multiply import _ARROW, block_symbols, pack_block, shared_values
 
     values, m = shared_values(view), view.m
     names = (*algorithms, "identity") if fallback else algorithms
@@ -325,7 +325,7 @@ def blockwise(view: MatrixView, blocks: int = 16, algorithms: tuple[str, ...] =
             out.append(pack_block(key[0].as_py(), ids, len(sym) + len(ids), g, codec, None if shared.value is not None else used) | {"algorithm": name})
         return pa.Table.from_pylist(out, _ARROW.append(pa.field("algorithm", pa.string())))
 
-    made = cut(view.rows.withColumn("block", block_of(view, blocks)).groupBy("block").applyInArrow(work, BLOCK_SCHEMA + ", algorithm string"))
+    made = cut(view.rows.withColumn("block", view.block_of(blocks)).groupBy("block").applyInArrow(work, BLOCK_SCHEMA + ", algorithm string"))
     totals = {r.algorithm: r.b for r in made.groupBy("algorithm").agg(F.sum(F.col("c_bytes") + F.col("r_bytes") + F.col("v_bytes")).alias("b")).collect()}
     best = min(names, key=lambda a: (totals.get(a, 0), names.index(a)))
-    return Blocks(made.where(F.col("algorithm") == best).drop("algorithm"), m, codec, None if values is None else tuple(values.tolist())), totals
+    return Blocks(made.where(F.col("algorithm") == best).drop("algorithm"), m, codec, values), totals

@@ -10,15 +10,7 @@ from ..model import BLOCK_SCHEMA, Blocks, MatrixView, cut
 from ..operators import measure, multiply
 from ..operators.codec import NAMES
 from ..operators.kernel import METHODS, Grammar
-
-#: Bytes of symbols (4 each) that one block holds; several times that is a block's peak while its grammar is built.
-TARGET_BYTES = 64 << 20
-
-
-def block_count(view: MatrixView, target_bytes: int = TARGET_BYTES) -> int:
-    cells = view.rows.agg(F.sum(F.size("cols") + 1)).first()[0] or 0
-    return max(1, -(-4 * cells // target_bytes))
-
+from ..operators.multiply import block_count  # noqa: F401
 
 def candidates(view: MatrixView, blocks: int, codecs: tuple[str, ...] = NAMES, rounds: int = 1) -> Blocks:
     """Every block under every codec, with the seconds of a fused product: BLOCK_SCHEMA, seconds. The grammar is built once a block."""
@@ -44,8 +36,8 @@ def candidates(view: MatrixView, blocks: int, codecs: tuple[str, ...] = NAMES, r
             out.append(packed | {"seconds": (time.perf_counter() - start) / rounds})
         return pa.Table.from_pylist(out, multiply._ARROW.append(pa.field("seconds", pa.float64())))
 
-    made = view.rows.withColumn("block", multiply.block_of(view, blocks)).groupBy("block").applyInArrow(work, BLOCK_SCHEMA + ", seconds double")
-    return Blocks(cut(made), m, "mixed", None if values is None else tuple(values.tolist()))
+    made = view.rows.withColumn("block", view.block_of(blocks)).groupBy("block").applyInArrow(work, BLOCK_SCHEMA + ", seconds double")
+    return Blocks(cut(made), m, "mixed", values)
 
 
 def choose(view: MatrixView, budget_bytes: int, blocks: int = 1, per_block: bool = True) -> Blocks:

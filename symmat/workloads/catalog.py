@@ -365,7 +365,7 @@ def _(spark, d):
 
 @_query("peak_memory")
 def _(spark, d):
-    return measure.worker_peaks(multiply.compress(standins.view(spark, d, "star_codes"), BLOCKS))
+    return measure.product_peaks(multiply.compress(standins.view(spark, d, "star_codes"), BLOCKS))
 
 
 @_query("chooser_right", _right_sql("star_codes"))
@@ -408,7 +408,7 @@ def _(spark, d):
 @_query("cube_size_report", f"{_cells('lineitem_onehot')} SELECT coalesce(block::INTEGER, -1) AS block, coalesce(col::INTEGER, -1) AS col, count(*)::BIGINT AS n FROM (SELECT row_id // (SELECT ((count(*) + 3) // 4) FROM lineitem) AS block, col FROM cells) z GROUP BY CUBE (block, col)")
 def _(spark, d):
     v = standins.view(spark, d, "lineitem_onehot")
-    return v.cells.select(multiply.block_of(v, 4).alias("block"), "col").cube("block", "col").agg(F.count("*").alias("n")).select(F.coalesce("block", F.lit(-1)).alias("block"), F.coalesce("col", F.lit(-1)).alias("col"), "n")
+    return v.cells.select(v.block_of(4).alias("block"), "col").cube("block", "col").agg(F.count("*").alias("n")).select(F.coalesce("block", F.lit(-1)).alias("block"), F.coalesce("col", F.lit(-1)).alias("col"), "n")
 
 
 _HALF = "h AS (SELECT DISTINCT col, val, row_id < (SELECT (count(*) + 1) // 2 FROM lineitem) AS first FROM cells)"

@@ -109,7 +109,7 @@ def entropy_slack(spark: SparkSession, sf_dir: str, names: tuple[str, ...] = ("s
     for name in names:
         v = standins.view(spark, sf_dir, name)
         s = encode.stream(v)
-        bits = 8 * (measure.size(g := multiply.compress(v, 1, "gans")) - 8 * len(g.values or ()))
+        bits = 8 * (measure.size(g := multiply.compress(v, 1, "gans")) - 8 * len(g.values))
         for k in orders:
             e = measure.entropy(s, k).first()
             rows += [(name, f"order {k}", "bound_bits", e.total * e.h), (name, f"order {k}", "grammar_bits", bits), (name, f"order {k}", "slack", bits / max(1e-9, e.total * e.h))]
