@@ -3,9 +3,11 @@
 The patterns give the base spans. The entropy method looks at maximal runs of key characters of at least ``WINDOW``
 characters, sorts each into a character class, and slides a window over it: counts of the characters in the window and
 the sum of c*log2(c) are updated by the character that leaves and the one that enters. A run whose best window reaches
-its class's threshold adds a span, unless an allow-list pattern fits all of it or a base span overlaps it; placeholder
-words and repeated characters inside a run take out the windows at them, not the run. Every text is
-scanned whole; the expensive parts run only on texts that hold a candidate.
+its class's threshold adds a span, unless an allow-list pattern fits all of it; placeholder words and repeated characters
+inside a run take out the windows at them, not the run. What an assignment covers is no part of a run, and a run that is
+an access or hex span as a whole adds nothing; a run that such a span is only a part of is judged as a whole. Every text
+is scanned whole; the expensive parts run only on texts that hold a candidate. Running sums over matches go by groups of
+``GROUP``, so a text of very many matches takes time in proportion to them.
 """
 
 from __future__ import annotations
@@ -15,6 +17,8 @@ import math
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
+from ._common import unused
+
 #: Patterns of the base spans.
 ASSIGN = r"""(?i:(password|passwd|secret|token|api_?key))["']?\x20*[:=]\x20*["']?([A-Za-z0-9+/_.=-]+)"""
 ACCESS = r"AKIA[A-Z0-9]{14,}"
@@ -45,22 +49,56 @@ _ZONE = rf"(?i).{{0,{WINDOW}}}(?:{PLACEHOLDER[4:]}).{{0,{WINDOW}}}"
 REPEATS = 8
 _REPEAT = rf"(.)\1{{{REPEATS - 1},}}+"
 KINDS = ("assign", "access", "hex", "entropy")
+#: Matches whose positions are summed up together.
+GROUP = 128
 _SPANS = "array<struct<start:int,end:int,text:string>>"
 
 
+def _let(value: Column, body) -> Column:
+    """``body`` of ``value``, which is evaluated once: within a lambda, a plain column would be evaluated at every element."""
+    return F.element_at(F.transform(F.array(value), body), 1)
+
+
+def _grouped(items: Column) -> Column:
+    """An array (a lambda's variable) in groups of ``GROUP``; one empty group if it is empty."""
+    last = F.greatest(F.floor((F.size(items) - 1) / GROUP), F.lit(0)).cast("int")
+    return F.transform(F.sequence(F.lit(0), last), lambda g: F.slice(items, g * GROUP + 1, GROUP))
+
+
 def spans(text: Column, pattern: str) -> Column:
     """Leftmost non-overlapping matches of ``pattern`` as (start, end, text), in code points, end exclusive."""
     found = F.regexp_extract_all(text, F.lit(pattern), F.lit(0))
     between = F.split(text, pattern, -1)
-    steps = F.zip_with(found, F.slice(between, F.lit(1), F.size(found)), lambda m, gap: F.struct(F.length(gap).alias("gap"), m.alias("text")))
+    steps = F.zip_with(found, F.slice(between, F.lit(1), F.size(found)), lambda m, gap: F.struct(F.length(gap).alias("gap"), F.length(m).alias("size"), m.alias("text")))
+
+    def total(acc: Column, x: Column) -> Column:
+        return acc + x["gap"] + x["size"]
+
+    def after(acc: Column, group: Column) -> Column:
+        return F.array_append(acc, F.aggregate(group, F.element_at(acc, -1), total))
 
     def step(acc: Column, x: Column) -> Column:
         start = acc["at"] + x["gap"]
-        end = start + F.length(x["text"])
+        end = start + x["size"]
         return F.struct(end.alias("at"), F.array_append(acc["out"], F.struct(start.alias("start"), end.alias("end"), x["text"].alias("text"))).alias("out"))
 
-    every = F.aggregate(steps, F.struct(F.lit(0).alias("at"), F.array().cast(_SPANS).alias("out")), step, lambda acc: acc["out"])
-    return F.when(text.rlike(pattern), every).otherwise(F.array().cast(_SPANS))
+    def inside(group: Column, at: Column) -> Column:
+        return F.aggregate(group, F.struct(at.alias("at"), F.array().cast(_SPANS).alias("out")), step, lambda acc: acc["out"])
+
+    def placed(groups: Column) -> Column:
+        starts = F.aggregate(groups, F.array(F.lit(0)), after)  # where each group begins, and the end
+        return F.flatten(F.zip_with(groups, F.slice(starts, F.lit(1), F.size(groups)), inside))
+
+    each = _let(steps, lambda x: _let(_grouped(x), placed))
+    return F.when(text.rlike(pattern), each).otherwise(F.array().cast(_SPANS))
+
+
+def _without_assignments(text: Column) -> Column:
+    """``text`` with blanks in place of every assignment whose value is long enough; all positions stay."""
+    found = F.regexp_extract_all(text, F.lit(ASSIGN), F.lit(0))
+    gone = F.transform(found, lambda m: F.when(F.length(F.regexp_extract(m, ASSIGN, 2)) >= VALUE_LEAST, F.repeat(F.lit(" "), F.length(m))).otherwise(m))
+    blank = F.array_join(F.zip_with(F.split(text, ASSIGN, -1), F.concat(gone, F.array(F.lit(""))), lambda b, m: F.concat(b, m)), "")
+    return F.when(text.rlike(ASSIGN), blank).otherwise(text)
 
 
 def _clog(c: Column) -> Column:
@@ -106,21 +144,27 @@ def _suspicious(run: Column) -> Column:
     return F.when(allowed | need.isNull(), False).otherwise(F.exists(_parts(run), lambda part: best_entropy(part) >= need))
 
 
-def find(docs: DataFrame) -> DataFrame:
-    """``docs`` plus __assign, __access, __hex, __entropy: arrays of (start, end, text) of each kind. A null text counts as empty."""
+def find(docs: DataFrame) -> tuple[DataFrame, dict[str, str]]:
+    """``docs`` plus a column for each kind, arrays of (start, end, text), and the names of these columns.
+
+    They are named so that none clashes with a column of ``docs``. A null text counts as empty.
+    """
+    *own, runs, plain = unused(docs, *KINDS, "runs", "plain")
+    name = dict(zip(KINDS, own))
     text = F.coalesce(F.col("text"), F.lit(""))
-    out = docs.withColumns({"__assign": spans(text, ASSIGN), "__access": spans(text, ACCESS), "__hex": spans(text, HEX), "__runs": spans(text, CANDIDATE)})
-    out = out.withColumn("__assign", F.when(F.size("__assign") > 0, F.filter("__assign", lambda x: F.length(F.regexp_extract(x["text"], ASSIGN, 2)) >= VALUE_LEAST)).otherwise(F.col("__assign")))
-    base = F.concat("__assign", "__access", "__hex")
-    fresh = F.filter("__runs", lambda run: ~F.exists(base, lambda b: (b["start"] < run["end"]) & (run["start"] < b["end"])) & _suspicious(run["text"]))
-    return out.withColumn("__entropy", F.when(F.size("__runs") > 0, fresh).otherwise(F.array().cast(_SPANS))).drop("__runs")
+    out = docs.withColumns({name["assign"]: spans(text, ASSIGN), name["access"]: spans(text, ACCESS), name["hex"]: spans(text, HEX), plain: _without_assignments(text)})
+    out = out.withColumn(runs, spans(F.col(plain), CANDIDATE))
+    a = F.col(name["assign"])
+    out = out.withColumn(name["assign"], F.when(F.size(a) > 0, F.filter(a, lambda x: F.length(F.regexp_extract(x["text"], ASSIGN, 2)) >= VALUE_LEAST)).otherwise(a))
+    fresh = F.filter(runs, lambda run: ~run["text"].rlike(f"^(?:{ACCESS}|{HEX})$") & _suspicious(run["text"]))
+    return out.withColumn(name["entropy"], F.when(F.size(runs) > 0, fresh).otherwise(F.array().cast(_SPANS))).drop(runs, plain), name
 
 
-def _joined(kinds: tuple[str, ...]) -> Column:
+def _joined(name: dict[str, str], kinds: tuple[str, ...]) -> Column:
     """kind:start:end of the spans of ``kinds``, by start, then kind as listed, comma-joined."""
     def tag(kind: str) -> Column:
         number = F.lit(KINDS.index(kind))
-        return F.transform(f"__{kind}", lambda x: F.struct(x["start"].alias("start"), number.alias("kind"), x["end"].alias("end")))
+        return F.transform(F.col(name[kind]), lambda x: F.struct(x["start"].alias("start"), number.alias("kind"), x["end"].alias("end")))
 
     tagged = F.concat(*[tag(k) for k in kinds])
     names = F.array(*[F.lit(k) for k in KINDS])
@@ -128,22 +172,42 @@ def _joined(kinds: tuple[str, ...]) -> Column:
 
 
 def scan(docs: DataFrame) -> DataFrame:
-    """A row per row of ``docs``: doc_id, n_assign, n_access, n_hex, base_sha256, spans. Without secrets: zeros, the hash of an empty string, an empty string."""
-    found = find(docs.select("doc_id", F.col("text").cast("string")))
-    counts = [F.size(f"__{k}").cast("long").alias(f"n_{k}") for k in KINDS]
-    return found.select("doc_id", *counts[:3], F.sha2(_joined(KINDS[:3]), 256).alias("base_sha256"), _joined(KINDS).alias("spans"), counts[3])
+    """A row per row of ``docs``: doc_id, n_assign, n_access, n_hex, base_sha256, spans, n_entropy.
+
+    Without secrets: zeros, the hash of an empty string, an empty string. Null ids and repeated rows give rows like others;
+    other columns play no part, whatever their names. An empty table gives no rows.
+    """
+    found, name = find(docs.select("doc_id", F.col("text").cast("string")))
+    counts = [F.size(name[k]).cast("long").alias(f"n_{k}") for k in KINDS]
+    return found.select("doc_id", *counts[:3], F.sha2(_joined(name, KINDS[:3]), 256).alias("base_sha256"), _joined(name, KINDS).alias("spans"), counts[3])
 
 
 def redact(docs: DataFrame, mask: str = "[SECRET]") -> DataFrame:
-    """``docs`` with every found span of ``text`` replaced by ``mask``; overlapping spans are masked as one. All rows and columns stay."""
-    found = find(docs)
-    every = F.array_sort(F.transform(F.concat(*[F.col(f"__{k}") for k in KINDS]), lambda x: F.struct(x["start"].alias("start"), x["end"].alias("end"))))
+    """``docs`` with every found span of ``text`` replaced by ``mask``; overlapping spans are masked as one.
+
+    All rows and columns stay, whatever their names; a null text stays null. Spans are cut out by groups, each from its own
+    part of the text.
+    """
+    found, name = find(docs)
+    every = F.array_sort(F.transform(F.concat(*[F.col(name[k]) for k in KINDS]), lambda x: F.struct(x["start"].alias("start"), x["end"].alias("end"))))
+
+    def rest(text: Column, n: Column) -> Column:
+        return F.substring(text, n + 1, F.length(text))
 
     def step(acc: Column, x: Column) -> Column:
-        fresh = x["start"] >= acc["at"]
-        piece = F.concat(F.substring(F.col("text"), acc["at"] + 1, x["start"] - acc["at"]), F.lit(mask))
-        return F.struct(F.when(fresh, F.concat(acc["out"], piece)).otherwise(acc["out"]).alias("out"), F.greatest(acc["at"], x["end"]).alias("at"))
+        gap, on = x["start"] - acc["at"], F.greatest(x["end"] - acc["at"], F.lit(0))
+        out = F.when(gap >= 0, F.concat(acc["out"], F.substring(acc["text"], F.lit(1), gap), F.lit(mask))).otherwise(acc["out"])
+        return F.struct((acc["at"] + on).alias("at"), rest(acc["text"], on).alias("text"), out.alias("out"))
+
+    def group(acc: Column, spans_: Column) -> Column:
+        return _let(F.greatest(F.array_max(F.transform(spans_, lambda x: x["end"])), acc["at"]), lambda to: cut_to(acc, spans_, to))
+
+    def cut_to(acc: Column, spans_: Column, to: Column) -> Column:
+        own = F.struct(acc["at"].alias("at"), F.substring(acc["text"], F.lit(1), to - acc["at"]).alias("text"), F.lit("").alias("out"))
+        done = F.aggregate(spans_, own, step, lambda a: a["out"])
+        return F.struct(to.alias("at"), rest(acc["text"], to - acc["at"]).alias("text"), F.array_append(acc["out"], done).alias("out"))
 
-    masked = F.aggregate(every, F.struct(F.lit("").alias("out"), F.lit(0).alias("at")), step, lambda acc: F.concat(acc["out"], F.substring(F.col("text"), acc["at"] + 1, F.length("text"))))
-    has = F.size("__assign") + F.size("__access") + F.size("__hex") + F.size("__entropy") > 0
+    start = F.struct(F.lit(0).alias("at"), F.col("text").cast("string").alias("text"), F.array().cast("array<string>").alias("out"))
+    masked = F.aggregate(_let(every, _grouped), start, group, lambda acc: F.concat(F.array_join(acc["out"], ""), acc["text"]))
+    has = sum((F.size(name[k]) for k in KINDS), F.lit(0)) > 0
     return found.withColumn("text", F.when(has, masked).otherwise(F.col("text"))).select(*docs.columns)
