@@ -10,7 +10,7 @@ import numpy as np
 import pyarrow as pa
 import pytest
 
-from symmat.llm import ann, chat, embed_dedup, mixing, near_dup, packing, secrets, sharding, toxicity, url_filter
+from symmat.llm import ann, embed_dedup, mixing, near_dup, packing, secrets, sharding, toxicity, url_filter
 
 DOCS = "doc_id long, text string, lang string, source string, n_chars long"
 WORD = re.compile(r"[^\x20\x09-\x0D]+")
@@ -240,28 +240,6 @@ def test_sharding(docs, empty):
     assert 0.72 < heavy[0] / 20_000 < 0.78
 
 
-def test_chat(spark):
-    call = '{"tool_calls": [{"name": "weather", "id": "b", "arguments": {"days": "two", "city": "$a"}}, {"id": "a", "name": "search", "arguments": {"query": "x"}}, {"id": "z", "name": "none", "arguments": {}}]}'
-    rows = [(1, 0, "user", "hi"), (1, 1, "assistant", call), (1, 2, "tool", '{"tool_call_id": "b", "content": "rain"}'), (1, 3, "tool", '{"content": "p", "tool_call_id": "a"}'), (1, 4, "tool", '{"tool_call_id": "q"}'),
-            (2, 0, "user", None), (2, 0, "user", None), (None, None, None, "{broken"), (3, 0, "user", 'a "quote"\n')]
-    df = spark.createDataFrame(rows, "conv_id long, turn long, role string, text string")
-    got = chat.format_chat(df).collect()
-    one = sorted((r for r in got if r.conv_id == 1), key=lambda r: r.position)
-    assert [r.turn for r in one] == [0, 1, 3, 2, 4] and [r.position for r in one] == [0, 1, 2, 3, 4]  # a's result before b's, which waits for it
-    assert (one[1].n_calls, one[1].n_linked, one[1].n_invalid) == (3, 2, 2) and [r.orphan for r in one] == [False] * 4 + [True]
-    assert len(got) == len(rows) and {r.line for r in got if r.conv_id == 3} == {'{"content":"a \\"quote\\"\\n","role":"user"}'}
-    assert chat.format_chat(df.where("conv_id > 9")).count() == 0
-    odd = '{"tool_calls": [{"name": "search", "id": "a", "arguments": {"query": "x", "": 1, "what?": {}, "it\'s": 2, "a]b.c": [1], "limit": null}}, {"name": "weather", "id": "b", "arguments": [1]}, {"name": "weather", "id": "c"}]}'
-    parsed = chat.calls_of(chat.turns(spark.createDataFrame([(1, 0, "assistant", odd)], df.schema)))
-    assert {r.id: r.problems for r in chat.validate(parsed, chat.schemas(spark)).collect()} == {
-        "a": ["type of limit", "unexpected ", "unexpected a]b.c", "unexpected it's", "unexpected what?"],
-        "b": ["arguments are no object", "missing city"],
-        "c": ["arguments are no object", "missing city"],
-    }
-    cyc = spark.createDataFrame([(1, "x", ["y"]), (1, "y", ["x"]), (1, "w", []), (1, "v", ["w"])], "conv_id long, id string, after array<string>")
-    assert {r.id: r.level for r in chat.levels(cyc).collect()} == {"x": None, "y": None, "w": 0, "v": 1}
-
-
 def vectors(spark):
     r = np.random.default_rng(9)
     x = r.standard_normal((300, 16))
