@@ -9,9 +9,14 @@ chance of about 3e-7, at 0.80 of about 3e-5.
 
 Documents of equal shingle sets are one class, of which only the representative (smallest doc_id) is searched. The
 members of a bucket belong to the bucket's hub, its smallest member; buckets of one hub form one group, so any two that
-share a bucket share a group. Groups are cut into tiles of bounded size, every two of which meet in one task. There,
-members without a near signature go first; of the rest, links are counted on the full sets and leave as a spanning
-forest, so a large group of copies costs rows in proportion to its size, and no pair is a row.
+share a bucket share a group. Buckets are runs of a range sort by key and member, so that one that a third of all rows
+share lies in many tasks; what runs over their borders is settled on one row a task.
+
+Groups are cut into blocks of bounded size. In each, members without a near signature go first; of the rest, links are
+counted on the full sets and leave as a spanning forest, so no pair is a row. A group of several blocks has a pivot, the
+member that shares most buckets, which joins every block. Members that their block links with the pivot are settled; only
+those it does not link meet all other blocks of the group as well. So copies of one text cost work in proportion to their
+number, and the square of what is left is paid only by those that hang together otherwise.
 """
 
 from __future__ import annotations
@@ -20,10 +25,10 @@ from collections.abc import Iterator
 
 import numpy as np
 import pyarrow as pa
-from pyspark.sql import DataFrame, Window
+from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
-from ._common import WordHasher, chunks, components, cut, mix64, runs, utf8, word_spans
+from ._common import WORD, WordHasher, chunks, components, cut, mix64, runs, unused, utf8, word_spans
 
 SHINGLE = 5
 CHUNKS, WIDTH, ERRORS, BITS = 12, 7, 1, 16
@@ -31,8 +36,10 @@ POSITIONS = CHUNKS * WIDTH
 #: Pairs whose signatures differ in more positions are not confirmed: at similarity 0.85, over 6 deviations from the mean, at 0.80 4.4.
 FARTHEST = 33
 LINK_PERCENT = 85
-#: Members of a group in one tile.
+#: Members of a group in one block.
 TILE = 256
+#: A class of more than a share of 1 / HOT of all rows is hot: at most HOT of them are sent to all tasks.
+HOT = 2000
 
 _RNG = np.random.default_rng(7)
 _WITH = [np.uint64(int(x) | 1) for x in _RNG.integers(1, 1 << 63, SHINGLE, dtype=np.uint64)]
@@ -104,14 +111,19 @@ def _describe(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
                 for x, row in zip(full, signatures(sets, to)):
                     sig[x] = row.tobytes()
             yield pa.RecordBatch.from_arrays(
-                [ids.slice(i, j - i).cast(pa.int64()), pa.array(n), pa.array(k1.view(np.int64)), pa.array(k2.view(np.int64)), pa.array(sig, pa.binary())],
-                names=["doc_id", "n_shingles", "k1", "k2", "sig"],
+                [ids.slice(i, j - i).cast(pa.int64()), batch.column("h").slice(i, j - i), pa.array(n), pa.array(k1.view(np.int64)), pa.array(k2.view(np.int64)), pa.array(sig, pa.binary())],
+                names=["doc_id", "h", "n_shingles", "k1", "k2", "sig"],
             )
 
 
+def _row_hash() -> Column:
+    return F.xxhash64(F.col("doc_id").cast("long"), F.col("text").cast("string"))
+
+
 def describe(docs: DataFrame) -> DataFrame:
-    """(doc_id, n_shingles, k1, k2, sig) of each row: set size, 128-bit key of the set, signature (null for an empty set)."""
-    return docs.select(F.col("doc_id").cast("long"), F.col("text").cast("string")).mapInArrow(_describe, "doc_id long, n_shingles long, k1 long, k2 long, sig binary")
+    """(doc_id, h, n_shingles, k1, k2, sig) of each row: hash of id and text, set size, 128-bit key of the set, signature (null for an empty set)."""
+    slim = docs.select(F.col("doc_id").cast("long"), F.col("text").cast("string"), _row_hash().alias("h"))
+    return slim.mapInArrow(_describe, "doc_id long, h long, n_shingles long, k1 long, k2 long, sig binary")
 
 
 def _file_under(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
@@ -135,8 +147,74 @@ def _full_sets(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
             yield pa.RecordBatch.from_arrays([ids.slice(i, j - i), pa.ListArray.from_arrays(to, pa.array(np.concatenate([*own, np.zeros(0, np.uint64)]).view(np.int64)))], names=["id", "set"])
 
 
+_SHARED = "hub long, rep long, part int, first boolean, key long, n long, last long, head long"
+
+
+def _share(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+    """Of rows (key, rep) sorted by both: (hub, rep) of every bucket of several; the rows of the task's first bucket carry
+    ``first``, and one more row, without rep, says with which bucket the task ends (key, its first member ``last``, its
+    rows ``n``) and with which it began (``head``, its key)."""
+    from pyspark import TaskContext
+
+    part = TaskContext.get().partitionId()
+    head = key = hub = None
+    count = 0
+    held = np.zeros(0, np.int64)  # a bucket's first row waits for a second one
+
+    def rows(hubs: np.ndarray, reps: np.ndarray, first: np.ndarray) -> pa.RecordBatch:
+        none = pa.nulls(len(reps), pa.int64())
+        return pa.RecordBatch.from_arrays([pa.array(hubs), pa.array(reps), pa.array(np.full(len(reps), part, np.int32)), pa.array(first), none, none, none, none], names=names)
+
+    names = ["hub", "rep", "part", "first", "key", "n", "last", "head"]
+    for batch in batches:
+        if not len(batch):
+            continue
+        k, rep = batch.column("key").to_numpy(), batch.column("rep").to_numpy()
+        if head is None:
+            head = int(k[0])
+        fresh = np.append(key is None or k[0] != key, k[1:] != k[:-1])
+        at = np.flatnonzero(fresh)
+        begin = np.concatenate([[0], at]) if not fresh[0] else at
+        size = np.diff(np.append(begin, len(k)))
+        hubs = np.repeat(np.where(fresh[begin], rep[begin], 0 if hub is None else hub), size)
+        in_first = k == head
+        if not fresh[0] and count == 1 and key != head:  # the bucket goes on: its first row, held back, comes too
+            yield rows(held, held, np.zeros(1, bool))
+        many = np.repeat((size > 1) | ~fresh[begin], size)
+        keep = many | in_first
+        if keep.any():
+            yield rows(hubs[keep], rep[keep], in_first[keep])
+        count = int(size[-1]) + (count if len(begin) == 1 and not fresh[0] else 0)
+        key, hub = int(k[-1]), int(hubs[-1])
+        held = rep[-1:] if size[-1] == 1 and fresh[begin[-1]] else held
+    if head is not None:
+        yield pa.RecordBatch.from_arrays([pa.nulls(1, pa.int64()), pa.nulls(1, pa.int64()), pa.array([part], pa.int32()), pa.array([False]), *(pa.array([x], pa.int64()) for x in (key, count, hub, head))], names=names)
+
+
+def _buckets(reps: DataFrame) -> DataFrame:
+    """(hub, rep, shared): the groups, and in how many of the hub's buckets the member lies."""
+    filed = reps.select("rep", "sig").mapInArrow(_file_under, "key long, rep long")
+    seen = cut(filed.repartitionByRange("key", "rep").sortWithinPartitions("key", "rep").mapInArrow(_share, _SHARED))
+    ends = seen.where("rep IS NULL").select("part", "key", "n", "last", "head").orderBy("part").collect()  # a row per task
+    true, more = [], set()  # the real hub of a task's first bucket; hubs whose own row the task before held back
+    key = hub = None
+    for e in ends:
+        if e.head == key:
+            true.append((e.part, hub))
+            more.add(hub)
+        elif e.head == e.key:
+            true.append((e.part, e.last))
+        if e.key != key:
+            key, hub = e.key, e.last
+    spark = reps.sparkSession
+    own = spark.createDataFrame(true, "part int, real long")
+    members = seen.where("rep IS NOT NULL").join(F.broadcast(own), "part", "left").select(F.when(F.col("first"), F.coalesce("real", "hub")).otherwise(F.col("hub")).alias("hub"), "rep")
+    every = members.union(spark.createDataFrame([(h, h) for h in more], "hub long, rep long"))
+    return every.groupBy("hub", "rep").agg(F.count("*").alias("shared"))
+
+
 def _promising(rows: pa.Table, percent: int) -> pa.Table:
-    """Of a tile of (hub, i, j, rep, n_shingles, sig): the members that have a partner near enough to be worth full sets."""
+    """A block of (hub, i, j, rep, pivot, n_shingles, sig): whether each member has a partner near enough to be worth full sets. Without one, and a pivot, a member is kept as one that is not settled."""
     sig = np.frombuffer(b"".join(rows.column("sig").to_pylist()), np.uint16).reshape(-1, POSITIONS)
     n = rows.column("n_shingles").to_numpy().astype(float)
     apart = np.zeros((len(sig), len(sig)), np.uint8)
@@ -144,11 +222,14 @@ def _promising(rows: pa.Table, percent: int) -> pa.Table:
         apart += sig[:, k, None] != sig[None, :, k]
     near = (apart <= FARTHEST) & (np.minimum(n[:, None], n[None]) * 100 >= np.maximum(n[:, None], n[None]) * percent)
     np.fill_diagonal(near, False)
-    return rows.select(["hub", "i", "j", "rep"]).filter(pa.array(near.any(axis=1)))
+    hopeful = near.any(axis=1)
+    keep = hopeful | rows.column("pivot").is_valid().to_numpy()
+    return rows.select(["hub", "i", "j", "rep", "pivot"]).append_column("hopeful", pa.array(hopeful)).filter(pa.array(keep))
 
 
 def _linked(rows: pa.Table, percent: int) -> pa.Table:
-    """A spanning forest (a, b) of the links within a tile of (rep, set), by counts of common shingles over column blocks."""
+    """A spanning forest (a, b) of the links within a block of (hub, rep, pivot, set), by counts of common shingles over
+    column blocks; and (a, null, hub) for the members that it does not link with the pivot."""
     sets = rows.column("set").combine_chunks()
     size = np.diff(sets.offsets.to_numpy()).astype(np.int64)
     _, at, seen = np.unique(sets.flatten().to_numpy(), return_inverse=True, return_counts=True)
@@ -176,7 +257,16 @@ def _linked(rows: pa.Table, percent: int) -> pa.Table:
             b += new.tolist()
             stack += new.tolist()
     rep = rows.column("rep").to_numpy()
-    return pa.table({"a": rep[np.array(a, int)], "b": rep[np.array(b, int)]})
+    out = pa.table({"a": rep[np.array(a, int)], "b": rep[np.array(b, int)], "hub": pa.nulls(len(a), pa.int64())})
+    pivot = rows.column("pivot")[0].as_py()
+    if pivot is None:
+        return out
+    tree = np.arange(len(rep))  # links come from a root outwards
+    for x, y in zip(a, b):
+        tree[y] = tree[x]
+    with_pivot = tree == tree[int(np.flatnonzero(rep == pivot)[0])] if (rep == pivot).any() else np.zeros(len(rep), bool)
+    open_ = rep[~with_pivot]
+    return pa.concat_tables([out, pa.table({"a": open_, "b": pa.nulls(len(open_), pa.int64()), "hub": np.full(len(open_), rows.column("hub")[0].as_py(), np.int64)})])
 
 
 def _by_tile(rows: DataFrame, work, schema: str) -> DataFrame:
@@ -184,40 +274,74 @@ def _by_tile(rows: DataFrame, work, schema: str) -> DataFrame:
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for tile in runs(batches, ["hub", "i", "j"]):
-            if len(tile) > 1:
+            if len(tile) > 1 or tile.column("pivot")[0].is_valid:
                 yield from work(tile).to_batches()
 
     return rows.repartition("hub", "i", "j").sortWithinPartitions("hub", "i", "j", "rep").mapInArrow(run, schema)
 
 
+def _meet(docs: DataFrame, tiles: DataFrame, reps: DataFrame, percent: int) -> tuple[DataFrame, DataFrame]:
+    """(links, open): links (a, b) found in ``tiles`` (hub, i, j, rep, pivot), and (hub, rep) of members not linked with the pivot they met."""
+    judged = cut(_by_tile(tiles.join(reps, "rep"), lambda tile: _promising(tile, percent), "hub long, i long, j long, rep long, pivot long, hopeful boolean"))
+    hopeful = judged.where("hopeful").drop("hopeful")
+    wanted = hopeful.select(F.col("rep").alias("id")).distinct()
+    texts = docs.select(F.col("doc_id").cast("long").alias("id"), F.col("text").cast("string")).join(wanted, "id", "left_semi")
+    sets = texts.mapInArrow(_full_sets, "id long, set array<long>").withColumnRenamed("id", "rep")
+    found = cut(_by_tile(hopeful.join(sets, "rep"), lambda tile: _linked(tile, percent), "a long, b long, hub long"))
+    open_ = judged.where("NOT hopeful").select("hub", "rep").union(found.where("b IS NULL").select("hub", F.col("a").alias("rep"))).distinct()
+    return found.where("b IS NOT NULL").select("a", "b"), open_
+
+
+def _blocks(members: DataFrame) -> DataFrame:
+    """``members`` with block: at most ``TILE`` neighbours of a sort by hub and member. A large group lies in many partitions."""
+    return cut(members.orderBy("hub", "rep").withColumn("serial", F.monotonically_increasing_id())).withColumn("block", F.floor(F.col("serial") / TILE).cast("long")).drop("serial")
+
+
 def link(docs: DataFrame, percent: int = LINK_PERCENT) -> tuple[DataFrame, DataFrame, DataFrame]:
     """(rows, classes, links) of ``docs``.
 
-    rows: doc_id, n_shingles, k1, k2 of each input row. classes: (k1, k2, n_shingles, rep), one row per distinct non-empty
-    set. links: confirmed (a, b) between representatives that, with the classes, reach whatever all links reach.
+    rows: doc_id, h, n_shingles, k1, k2 of each input row. classes: (k1, k2, n_shingles, rep, n), one row per distinct
+    non-empty set. links: confirmed (a, b) between representatives that, with the classes, reach whatever all links reach.
     """
     rows = cut(describe(docs))
     some = rows.where("n_shingles > 0 AND doc_id IS NOT NULL")
-    classes = some.groupBy("k1", "k2", "n_shingles").agg(F.min("doc_id").alias("rep"))
+    classes = some.groupBy("k1", "k2", "n_shingles").agg(F.min("doc_id").alias("rep"), F.count("*").alias("n"))
     lead = classes.select(F.col("rep").alias("doc_id"), "k1", "k2", "n_shingles")
     reps = some.join(lead, ["doc_id", "k1", "k2", "n_shingles"]).groupBy(F.col("doc_id").alias("rep"), "n_shingles").agg(F.first("sig").alias("sig"))
     reps = cut(reps)
-    filed = reps.select("rep", "sig").mapInArrow(_file_under, "key long, rep long")
-    by_key = Window.partitionBy("key").orderBy("rep")
-    shared = filed.select("key", "rep", F.first("rep").over(by_key).alias("hub"), F.lead("rep").over(by_key).alias("after"))
-    groups = cut(shared.where("rep <> hub OR after IS NOT NULL").select("hub", "rep").distinct())
-    size = groups.groupBy("hub").agg(F.ceil(F.count("*") / TILE).alias("tiles"))
-    placed = groups.join(size, "hub").withColumn("own", F.pmod(F.xxhash64("rep"), "tiles"))
-    placed = placed.select("hub", "rep", "own", F.explode(F.sequence(F.lit(0).cast("long"), F.col("tiles") - 1)).alias("other"))
-    tiles = placed.select("hub", F.least("own", "other").alias("i"), F.greatest("own", "other").alias("j"), "rep")
-    hopeful = cut(_by_tile(tiles.join(reps, "rep"), lambda tile: _promising(tile, percent), "hub long, i long, j long, rep long"))
-    wanted = hopeful.select(F.col("rep").alias("id")).distinct()
-    texts = docs.select(F.col("doc_id").cast("long").alias("id"), F.col("text").cast("string")).join(wanted, "id", "left_semi")
-    sets = texts.mapInArrow(_full_sets, "id long, set array<long>").withColumnRenamed("id", "rep")
-    links = _by_tile(hopeful.join(sets, "rep"), lambda tile: _linked(tile, percent), "a long, b long")
+    members = _blocks(_buckets(reps))
+    blocks = cut(members.groupBy("hub", "block").agg(F.max(F.struct("shared", (-F.col("rep")).alias("minus"))).alias("most")))
+    several = blocks.groupBy("hub").agg(F.count("*").alias("n"), (-F.max("most")["minus"]).alias("pivot")).where("n > 1").select("hub", "pivot")
+    with_pivot = cut(blocks.select("hub", "block").join(several, "hub", "left"))
+    own = members.join(with_pivot, ["hub", "block"]).select("hub", "block", "rep", "pivot").union(with_pivot.where("pivot IS NOT NULL").select("hub", "block", F.col("pivot").alias("rep"), "pivot")).distinct()
+    links, open_ = _meet(docs, own.select("hub", F.col("block").alias("i"), F.col("block").alias("j"), "rep", "pivot"), reps, percent)
+    open_ = cut(open_)
+    if not open_.isEmpty():
+        left = _blocks(open_).select("hub", "rep", F.col("block").alias("i"))
+        pairs = left.select("hub", "i").distinct().join(blocks.select("hub", F.col("block").alias("j")), "hub")
+        theirs = members.select("hub", F.col("block").alias("j"), "rep").join(pairs, ["hub", "j"]).select("hub", "i", "j", "rep")
+        tiles = left.join(pairs, ["hub", "i"]).select("hub", "i", "j", "rep").union(theirs).distinct()
+        links = links.union(_meet(docs, tiles.withColumn("pivot", F.lit(None).cast("long")), reps, percent)[0])
     return rows, classes, cut(links.distinct())
 
 
+def _judged(docs: DataFrame, percent: int) -> DataFrame:
+    """(doc_id, h, n_shingles, k1, k2, component_id, kept) of each row."""
+    rows, classes, links = link(docs, percent)
+    root = components(links).withColumnRenamed("id", "rep")
+    classes = cut(classes.join(root, "rep", "left").select("k1", "k2", "n_shingles", "n", F.coalesce("component", "rep").alias("component")))
+    slim = rows.select("doc_id", "h", "n_shingles", "k1", "k2")
+    # an empty set has its own document as component and must not meet other empty sets
+    some, alone = slim.where("n_shingles > 0 AND doc_id IS NOT NULL"), slim.where("n_shingles = 0 OR doc_id IS NULL")
+    key = ["k1", "k2", "n_shingles"]
+    hot = classes.where(F.col("n") * HOT > some.count()).drop("n")  # fewer than HOT rows
+    large = some.join(F.broadcast(hot), key)
+    small = some.join(F.broadcast(hot.drop("component")), key, "left_anti").join(classes.drop("n"), key)
+    names = ["doc_id", "h", "n_shingles", "k1", "k2", F.col("component").alias("component_id")]
+    out = large.select(*names).union(small.select(*names)).union(alone.select(*names[:-1], F.col("doc_id").alias("component_id")))
+    return out.withColumn("kept", F.coalesce(F.col("doc_id") == F.col("component_id"), F.lit(True)))
+
+
 def near_duplicates(docs: DataFrame, percent: int = LINK_PERCENT) -> DataFrame:
     """One row per row of ``docs`` (doc_id, text): doc_id, n_shingles, component_id, kept.
 
@@ -225,25 +349,21 @@ def near_duplicates(docs: DataFrame, percent: int = LINK_PERCENT) -> DataFrame:
     has an empty set and is linked with nothing; a text of fewer than five words is one shingle. A row without a doc_id
     takes no part: its component_id is null and kept is true. Rows that repeat a doc_id give a row each.
     """
-    rows, classes, links = link(docs, percent)
-    root = components(links).withColumnRenamed("id", "rep")
-    classes = classes.join(root, "rep", "left").select("k1", "k2", "n_shingles", F.coalesce("component", "rep").alias("component"))
-    # an empty set has its own document as component and must not meet other empty sets
-    joined = rows.select("doc_id", "n_shingles", "k1", "k2").where("n_shingles > 0 AND doc_id IS NOT NULL").join(classes, ["k1", "k2", "n_shingles"], "left")
-    alone = rows.where("n_shingles = 0 OR doc_id IS NULL").select("doc_id", "n_shingles", F.col("doc_id").alias("component_id"))
-    out = joined.select("doc_id", "n_shingles", F.col("component").alias("component_id")).union(alone)
-    return out.select("doc_id", "n_shingles", "component_id", F.coalesce(F.col("doc_id") == F.col("component_id"), F.lit(True)).alias("kept"))
+    return _judged(docs, percent).select("doc_id", "n_shingles", "component_id", "kept")
 
 
 def drop_near_duplicates(docs: DataFrame, percent: int = LINK_PERCENT) -> DataFrame:
     """``docs`` without the rows whose component is led by another document; all columns stay, whatever their names.
 
-    Rows that repeat a kept doc_id are reduced to one row.
+    Rows are judged one by one, so unlike texts under one doc_id may both stay; rows equal in doc_id and shingle set become
+    one. Rows without words or without a doc_id all stay. An empty table gives no rows.
     """
-    found = cut(near_duplicates(docs, percent).where("kept").select("doc_id"))
-    counts = found.agg(F.count("doc_id").alias("n"), F.count_distinct("doc_id").alias("d")).first()
-    kept = docs.join(found.where("doc_id IS NOT NULL").withColumnRenamed("doc_id", "__kept"), F.col("doc_id").cast("long") == F.col("__kept"), "left_semi")
-    if counts.n > counts.d:
-        kept = kept.dropDuplicates(["doc_id"])
-    nameless = docs.where("doc_id IS NULL")
-    return kept.unionByName(nameless)
+    found = cut(_judged(docs, percent).where("kept AND n_shingles > 0 AND doc_id IS NOT NULL"))
+    kept = cut(found.groupBy("doc_id", "k1", "k2", "n_shingles").agg(F.min("h").alias("h"), F.count("*").alias("n")))
+    h, own_id, own_h = unused(docs, "h", "own_id", "own_h")
+    marked = docs.withColumn(h, _row_hash())
+    out = marked.join(kept.select(F.col("doc_id").alias(own_id), F.col("h").alias(own_h)), (F.col("doc_id").cast("long") == F.col(own_id)) & (F.col(h) == F.col(own_h)), "left_semi")
+    if not kept.where("n > 1").isEmpty():
+        out = out.dropDuplicates(["doc_id", h])
+    rest = docs.where(F.col("doc_id").isNull() | ~F.coalesce(F.col("text").cast("string").rlike(WORD), F.lit(False)))
+    return out.select(*docs.columns).unionByName(rest)
