@@ -6,8 +6,8 @@ A sentence's features are its words and the beginnings of its words (4 to 7 byte
 noisy-or likelihood; each document's gradient goes to its sentences in proportion to what they contribute, so the
 sentences that make a document toxic are found without sentence labels.
 
-Fitting uses at most ``FIT_ROWS`` labelled documents (those of smallest hash), in one executor task of bounded memory;
-the weights, 1 MB, are broadcast. Scoring covers every sentence of every text.
+Fitting uses at most ``FIT_ROWS`` labelled documents, and of these, in the same order by a hash of the doc_id, no more than
+fit into ``FIT_BYTES``; only they reach the one executor task that fits, so its memory is bounded. The weights, 1 MB, are broadcast. Scoring covers every sentence of every text.
 """
 
 from __future__ import annotations
@@ -16,7 +16,7 @@ from collections.abc import Iterator
 
 import numpy as np
 import pyarrow as pa
-from pyspark.sql import DataFrame
+from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
 from ._common import WordHasher, chunks, utf8, word_spans
@@ -120,20 +120,26 @@ def _fit_task(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
     if not held:
         return
     rows = pa.Table.from_batches(held)
-    size = np.cumsum(np.diff(utf8(rows.column("text"))[1]))
-    rows = rows.slice(0, max(1, int(np.searchsorted(size, FIT_BYTES))))
     weights = fit(rows.column("text").combine_chunks(), rows.column("toxic").to_numpy())
     yield pa.RecordBatch.from_arrays([pa.array([weights.astype(np.float32).tobytes()], pa.binary())], names=["weights"])
 
 
-def train(docs: DataFrame, labels: DataFrame, fit_rows: int = FIT_ROWS) -> np.ndarray:
-    """Weights learned from the labelled rows whose crc32(doc_id) mod 3 is not 1, at most ``fit_rows`` of them; all zero without any."""
+def train(docs: DataFrame, labels: DataFrame, fit_rows: int = FIT_ROWS, fit_bytes: int = FIT_BYTES) -> np.ndarray:
+    """Weights learned from the labelled rows whose crc32(doc_id) mod 3 is not 1, at most ``fit_rows`` of them and ``fit_bytes`` of text; all zero without any.
+
+    A null label or doc_id is none. A doc_id with two labels counts as toxic; of several texts under one doc_id, the one of
+    smallest hash is used.
+    """
     free = F.pmod(F.crc32(F.col("doc_id").cast("string")), F.lit(3)) != 1
     marked = labels.where(F.col("toxic").isin(0, 1) & free).groupBy("doc_id").agg(F.max("toxic").cast("int").alias("toxic"))
     marked = marked.orderBy(F.xxhash64("doc_id"), "doc_id").limit(fit_rows)
     texts = docs.select(F.col("doc_id"), F.col("text").cast("string").alias("text"))
-    rows = texts.join(F.broadcast(marked), "doc_id")  # at most fit_rows of two numbers each
-    fitted = rows.select("doc_id", "text", "toxic").repartition(1).sortWithinPartitions("doc_id").select("text", "toxic").mapInArrow(_fit_task, "weights binary").first()
+    rows = texts.join(F.broadcast(marked), "doc_id").withColumn("size", F.octet_length(F.coalesce("text", F.lit("")))).withColumn("t", F.xxhash64("text"))  # at most fit_rows of two numbers each
+    first = rows.groupBy("doc_id").agg(F.min(F.struct("t", "size")).alias("x")).select("doc_id", "x.t", "x.size").where(F.col("size") <= fit_bytes)
+    upto = F.sum("size").over(Window.orderBy(F.xxhash64("doc_id"), "doc_id"))  # over at most fit_rows rows of three numbers
+    chosen = first.withColumn("upto", upto).where(F.col("upto") <= fit_bytes).select("doc_id", "t")
+    texts = rows.join(F.broadcast(chosen), ["doc_id", "t"]).dropDuplicates(["doc_id"])
+    fitted = texts.select("doc_id", "text", "toxic").repartition(1).sortWithinPartitions("doc_id").select("text", "toxic").mapInArrow(_fit_task, "weights binary").first()
     if fitted is None:
         empty = np.zeros((1 << BUCKETS_LOG2) + 1)
         empty[-1] = -6.0
