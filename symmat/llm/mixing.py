@@ -6,7 +6,8 @@ the first few are at their limit, so the fixed point comes from two running sums
 
 Taking: a source of target t and size s takes each document floor(t / s) times and, for the rest, once more the
 documents that come first in a seeded hash order, up to the one whose end lies nearest to the rest. The place where the
-order is cut is found in two steps: sums of 65,536 hash buckets, then the rows of the one bucket that the cut falls in.
+order is cut is found in three steps: among 256 parts of the hash's range, 256 parts of the one that it falls in, and the
+rows of the one it falls in there. So a running sum over a source never spans more than 256 rows and a 65,536th of its own.
 """
 
 from __future__ import annotations
@@ -14,13 +15,15 @@ from __future__ import annotations
 from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
-from ._common import cut, word_count
+from ._common import cut, unused, word_count
 
 WEIGHTS = (5, 2, 1)
 MAX_EPOCHS = 3
 SEED = "mix-1"
 #: Stands for a null doc_id where rows are ordered.
 NO_ID = -(1 << 62)
+#: Sources up to which a row of facts a source is sent to all tasks.
+SMALL = 100_000
 
 
 def sized(docs: DataFrame, seed: str = SEED) -> DataFrame:
@@ -52,17 +55,31 @@ def targets(sizes: DataFrame, weights: tuple[float, ...] = WEIGHTS, max_epochs:
     return per.select("source", "source_size", "weight", F.when(F.col("capped"), F.col("source_size") * F.lit(float(max_epochs))).otherwise(F.col("share") * F.col("weight")).alias("target"))
 
 
+def _with(rows: DataFrame, facts: DataFrame) -> DataFrame:
+    """``rows`` joined by source with ``facts`` (s, ...), of one row a source; sent to all tasks only where it is known to be small."""
+    small = facts.limit(SMALL + 1).count() <= SMALL
+    return rows.join(F.broadcast(facts) if small else facts, F.col("source").eqNullSafe(F.col("s")))
+
+
+def _part_hit(sums: DataFrame, facts: DataFrame) -> DataFrame:
+    """(s, part, start, extra): the part of each source of ``sums`` (source, part, words) in which ``extra`` of ``facts`` (s, extra, start) is reached, and the words before it."""
+    before = F.coalesce(F.sum("words").over(Window.partitionBy("s").orderBy("part").rowsBetween(Window.unboundedPreceding, -1)), F.lit(0))
+    placed = _with(sums, facts).withColumn("upto", F.col("start") + before)
+    hit = placed.where("extra > upto AND extra <= upto + words + 1e-6")
+    # a rest that rounding puts at a part's end may touch two parts: the first decides
+    return hit.groupBy("s").agg(F.min(F.struct("part", F.col("upto").alias("start"), "extra")).alias("x")).select("s", "x.*")
+
+
 def plan(slim: DataFrame, weights: tuple[float, ...] = WEIGHTS, max_epochs: float = MAX_EPOCHS) -> DataFrame:
     """One row per source: source, source_size, target, whole, and cut_h, cut_id: the last row in hash order that is taken once more."""
     goal = cut(targets(slim, weights, max_epochs).withColumn("whole", F.floor(F.when(F.col("source_size") > 0, F.col("target") / F.col("source_size")).otherwise(0.0) + 1e-12).cast("long")).withColumn("extra", F.col("target") - F.col("whole") * F.col("source_size")))
-    bucket = F.substring("h", 1, 4).alias("bucket")
-    sums = slim.groupBy("source", bucket).agg(F.sum("size").alias("words"))
-    before = F.coalesce(F.sum("words").over(Window.partitionBy("source").orderBy("bucket").rowsBetween(Window.unboundedPreceding, -1)), F.lit(0))
-    sums = sums.withColumn("before", before)
-    hit = sums.join(F.broadcast(goal.select(F.col("source").alias("s"), "extra")), F.col("source").eqNullSafe(F.col("s"))).where("extra > before AND extra <= before + words + 1e-6")
-    # a rest that rounding puts at a bucket's end may touch two buckets: the first decides
-    hit = hit.groupBy("s").agg(F.min(F.struct("bucket", "before", "extra")).alias("x")).select("s", "x.*")
-    inside = slim.join(F.broadcast(hit), F.col("source").eqNullSafe(F.col("s")) & (F.substring("h", 1, 4) == F.col("bucket")))
+    fine = cut(slim.groupBy("source", F.substring("h", 1, 2).alias("a"), F.substring("h", 3, 2).alias("b")).agg(F.sum("size").alias("words")))
+    rest = goal.select(F.col("source").alias("s"), "extra").withColumn("start", F.lit(0).cast("long"))
+    # of each source's parts, the one that the cut falls in, and the words before it
+    coarse = _part_hit(fine.groupBy("source", F.col("a").alias("part")).agg(F.sum("words").alias("words")), rest)
+    under = _with(fine, coarse.select("s", F.col("part").alias("a0"))).where("a = a0").select("source", F.concat("a", "b").alias("part"), "words")
+    hit = cut(_part_hit(under, coarse.select("s", "extra", "start"))).withColumnsRenamed({"part": "bucket", "start": "before"})
+    inside = _with(slim, hit).where(F.substring("h", 1, 4) == F.col("bucket"))
     run = Window.partitionBy("s").orderBy("h", "doc_id")
     ends = inside.select("s", "h", "doc_id", "extra", (F.col("before") + F.sum("size").over(run.rowsBetween(Window.unboundedPreceding, 0))).alias("end"), "size")
     # a row is taken when more than half of it lies before the rest's end
@@ -86,23 +103,25 @@ def mix(docs: DataFrame, weights: tuple[float, ...] = WEIGHTS, max_epochs: int =
     gives no rows. Memory grows with the number of sources alone.
     """
     slim = cut(sized(docs, seed))
-    goal = plan(slim, weights, max_epochs).withColumnRenamed("source", "s")
-    out = slim.join(F.broadcast(goal), F.col("source").eqNullSafe(F.col("s")))
+    out = _with(slim, plan(slim, weights, max_epochs).withColumnRenamed("source", "s"))
     return out.select("doc_id", "size", "source_size", "target", _times("h", "doc_id").alias("times")).withColumn("taken", F.col("times") * F.col("size"))
 
 
 def resample(docs: DataFrame, weights: tuple[float, ...] = WEIGHTS, max_epochs: int = MAX_EPOCHS, seed: str = SEED) -> DataFrame:
-    """``docs`` with each row repeated as often as the mix takes it; columns stay as they are. Rows without words are kept once."""
+    """``docs`` with each row repeated as often as the mix takes it; columns stay as they are, whatever their names. Rows without words are kept once."""
     slim = cut(sized(docs, seed))
-    goal = plan(slim, weights, max_epochs)
-    goal = goal.select(*[F.col(c).alias(f"__{c}") for c in goal.columns])
-    own = docs.withColumn("__h", F.md5(F.concat_ws(":", F.lit(seed), F.coalesce(F.col("doc_id").cast("string"), F.lit("-")))))
+    names = ("s", "target", "whole", "extra", "cut_h", "cut_id", "own_h", "copies", "copy")
+    name = dict(zip(names, unused(docs, *names)))
+    goal = plan(slim, weights, max_epochs).select(F.col("source").alias(name["s"]), *[F.col(c).alias(name[c]) for c in names[2:6]])
+    h = F.md5(F.concat_ws(":", F.lit(seed), F.coalesce(F.col("doc_id").cast("string"), F.lit("-"))))
+    own = docs.withColumn(name["own_h"], h)
+    joined = own.join(F.broadcast(goal) if goal.limit(SMALL + 1).count() <= SMALL else goal, F.col("source").eqNullSafe(F.col(name["s"])))
     id_ = F.coalesce(F.col("doc_id"), F.lit(NO_ID))
-    more = (F.col("__h") < F.col("__cut_h")) | ((F.col("__h") == F.col("__cut_h")) & (id_ <= F.col("__cut_id")))
-    times = F.col("__whole") + F.when(F.coalesce(more, F.lit(False)) & (F.col("__extra") > 0), 1).otherwise(0)
-    joined = own.join(F.broadcast(goal), F.col("source").eqNullSafe(F.col("__source")))
+    more = (F.col(name["own_h"]) < F.col(name["cut_h"])) | ((F.col(name["own_h"]) == F.col(name["cut_h"])) & (id_ <= F.col(name["cut_id"])))
+    times = F.col(name["whole"]) + F.when(F.coalesce(more, F.lit(False)) & (F.col(name["extra"]) > 0), 1).otherwise(0)
     times = F.when(F.coalesce(F.col("text").rlike(r"[^\x20\x09-\x0D]"), F.lit(False)), times).otherwise(1)
-    return joined.withColumn("__n", times.cast("int")).where("__n > 0").withColumn("__copy", F.explode(F.sequence(F.lit(1), F.col("__n")))).select(*docs.columns)
+    counted = joined.withColumn(name["copies"], times.cast("int")).where(F.col(name["copies"]) > 0)
+    return counted.withColumn(name["copy"], F.explode(F.sequence(F.lit(1), F.col(name["copies"])))).select(*docs.columns)
 
 
 #: Rows of op5 in DuckDB.
