@@ -16,7 +16,7 @@ from collections.abc import Iterator
 import numpy as np
 import pyarrow as pa
 import pyarrow.compute as pc
-from pyspark.sql import DataFrame
+from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
 from ._common import cut, parts_for
@@ -153,10 +153,10 @@ def search(vectors: DataFrame, every: int = QUERY_EVERY, k: int = TOP, shard_row
     Repeated rows (same id and vector) count once.
     """
     good = usable(vectors).distinct()
-    # copies: the k + 1 smallest ids of each distinct vector, merged pairwise before the shuffle and after it
-    salted = good.withColumn("salt", F.pmod(F.xxhash64("vec_id"), F.lit(64)))
-    few = salted.groupBy("embedding", "salt").agg(F.slice(F.array_sort(F.collect_list("vec_id")), 1, k + 1).alias("ids"))
-    points = few.groupBy("embedding").agg(F.slice(F.array_sort(F.flatten(F.collect_list("ids"))), 1, k + 1).alias("ids"))
+    # copies: the k + 1 smallest ids of each distinct vector; the limit of a rank is applied before the shuffle as well
+    copies = good.withColumn("h", F.xxhash64("embedding"))
+    few = copies.withColumn("at", F.row_number().over(Window.partitionBy("h", "embedding").orderBy("vec_id"))).where(F.col("at") <= k + 1)
+    points = few.groupBy("embedding").agg(F.array_sort(F.collect_list("vec_id")).alias("ids"))
     points = cut(points)
     shards = parts_for(points.count(), shard_rows)
     points = points.withColumn("shard", F.pmod(F.xxhash64("embedding"), F.lit(shards)))
@@ -180,8 +180,9 @@ def search(vectors: DataFrame, every: int = QUERY_EVERY, k: int = TOP, shard_row
                     yield from _ask(graphs, part, k, beam)
 
     found = both.repartition(max(shards, 1), "shard").sortWithinPartitions("shard", "query_id").mapInArrow(run, "query_id long, vec_id long, score double")
-    top = found.groupBy("query_id").agg(F.slice(F.array_sort(F.collect_list(F.struct((-F.col("score")).alias("s"), "vec_id"))), 1, k).alias("best"))
-    return top.select("query_id", F.posexplode("best").alias("at", "b")).select("query_id", (F.col("at") + 1).cast("int").alias("rank"), F.col("b.vec_id").alias("vec_id"), (-F.col("b.s")).alias("score"))
+    nearest = Window.partitionBy("query_id").orderBy(F.desc("score"), "vec_id")  # every shard's k best; ranked before the shuffle, then again
+    top = found.withColumn("rank", F.row_number().over(nearest)).where(F.col("rank") <= k)
+    return top.select("query_id", F.col("rank").cast("int").alias("rank"), "vec_id", "score")
 
 
 def _graphs(points: pa.Table) -> dict[int, tuple]:
