@@ -2,8 +2,8 @@
 
 Every (key, shard) pair gets a score from a hash of both and the shard's weight; the key goes to the shard of the best
 score. Another shard only adds a competitor: a key stays or moves to the new shard. Nothing is shuffled for that; only
-the gapless slots need a shuffle of narrow rows, numbered per (shard, bucket) with offsets from bucket counts, so a
-shard is never one task.
+the gapless slots need a shuffle of narrow rows: a range sort by shard and key, whose partitions are numbered on their own
+and set off by counts, so neither a shard nor the rows of one key are ever one task.
 """
 
 from __future__ import annotations
@@ -16,8 +16,6 @@ from pyspark.sql import functions as F
 from ._common import cut
 
 SHARDS = 16
-#: Rows that one (shard, bucket) group holds on average.
-ROWS_PER_BUCKET = 50_000
 
 
 def rendezvous(key: Column, weights: Sequence[float]) -> Column:
@@ -44,12 +42,10 @@ def assign(docs: DataFrame, weights: Sequence[float] = (1.0,) * SHARDS, grown: f
         "doc_id", (F.octet_length(text) + 1).cast("long").alias("size"), F.crc32(F.encode(text, "UTF-8")).cast("long").alias("text_crc32"),
         rendezvous(key, weights).alias("shard"), rendezvous(key, [*weights, grown]).alias("grown_shard"), F.xxhash64(key, F.lit("slot")).alias("__h"),
     )
-    base = cut(base)
-    buckets = max(1, -(-base.count() // (len(weights) * ROWS_PER_BUCKET)), base.sparkSession.sparkContext.defaultParallelism // 2)
-    base = base.withColumn("__bucket", F.pmod("__h", F.lit(buckets)))
-    counts = base.groupBy("shard", "__bucket").agg(F.count("*").alias("n"))
-    before = F.coalesce(F.sum("n").over(Window.partitionBy("shard").orderBy("__bucket").rowsBetween(Window.unboundedPreceding, -1)), F.lit(0))
-    offsets = counts.select("shard", "__bucket", before.alias("before"))
-    numbered = base.withColumn("at", F.row_number().over(Window.partitionBy("shard", "__bucket").orderBy("__h", "doc_id", "text_crc32")) - 1)
-    out = numbered.join(offsets, ["shard", "__bucket"])
-    return out.select("doc_id", "size", "text_crc32", F.lit("key").alias("law"), "shard", (F.col("before") + F.col("at")).cast("long").alias("slot"), "grown_shard")
+    # numbers of the checkpointed rows part equal rows; a slot is a row's rank in its shard, however the sort is dealt
+    base = cut(base).withColumn("__row", F.monotonically_increasing_id())
+    lined = cut(base.orderBy("shard", "__h", "doc_id", "text_crc32", "__row").withColumn("__at", F.monotonically_increasing_id())).withColumn("__part", F.shiftright("__at", 33))
+    counts = lined.groupBy("shard", "__part").agg(F.min("__at").alias("first"), F.count("*").alias("n"))
+    before = F.coalesce(F.sum("n").over(Window.partitionBy("shard").orderBy("__part").rowsBetween(Window.unboundedPreceding, -1)), F.lit(0))
+    out = lined.join(F.broadcast(counts.select("shard", "__part", (F.col("first") - before).alias("from"))), ["shard", "__part"])  # at most a row per partition and shard
+    return out.select("doc_id", "size", "text_crc32", F.lit("key").alias("law"), "shard", (F.col("__at") - F.col("from")).cast("long").alias("slot"), "grown_shard")
