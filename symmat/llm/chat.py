@@ -270,8 +270,9 @@ def format_chat(conversations: DataFrame, known: DataFrame | None = None) -> Dat
         placed = own.unionByName(met.drop("call_turn"))
     content = F.coalesce("body", "text")
     line = F.to_json(F.struct(_plain_or_text(content).alias("content"), F.col("role"), F.col("result_id").alias("tool_call_id")))
-    placed = placed.select("conv_id", "conv", "turn", "role", "uid", "anchor", "level", "at", "orphan", line.alias("line"))
-    order = [F.col("conv"), F.col("anchor").asc_nulls_first(), F.col("level"), F.col("at"), F.col("turn").asc_nulls_first(), F.col("uid"), F.col("line")]
+    placed = placed.select("conv_id", "conv", "turn", "role", "uid", "row", "anchor", "level", "at", "orphan", line.alias("line"))
+    # the row's number parts equal rows, that they need not lie in one partition
+    order = [F.col("conv"), F.col("anchor").asc_nulls_first(), F.col("level"), F.col("at"), F.col("turn").asc_nulls_first(), F.col("uid"), F.col("row")]
     # a range sort over conversations and what is in them: a long one lies in many partitions
     lined = cut(placed.orderBy(*order).withColumn("serial", F.monotonically_increasing_id())).withColumn("part", F.shiftright("serial", 33))
     sizes = lined.groupBy("conv", "part").agg(F.min("serial").alias("first"), F.count("*").alias("n"))
