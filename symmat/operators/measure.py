@@ -7,7 +7,7 @@ from collections.abc import Callable
 
 import numpy as np
 import pyarrow as pa
-from pyspark.sql import Column, DataFrame, Window
+from pyspark.sql import Column, DataFrame, Observation, Window
 from pyspark.sql import functions as F
 
 from ..model import Blocks, MatrixView
@@ -90,6 +90,13 @@ def entropy(symbols: DataFrame, k: int = 0, marks: DataFrame | None = None) -> D
     return pair.join(total, "ctx").agg(F.sum("c").alias("total"), (bits / F.sum("c")).alias("h"))
 
 
+def observed(view: MatrixView) -> tuple[MatrixView, Observation]:
+    """The same matrix, whose next action also counts rows, cells and the largest absolute value, at no further pass."""
+    seen = Observation()
+    rows = view.rows.observe(seen, F.count("*").alias("n"), F.sum(F.size("cols")).alias("t"), F.max(F.array_max(F.transform("vals", F.abs))).alias("largest"))
+    return MatrixView(rows, view.m, view.names, view.memo), seen
+
+
 def timing(action: Callable[[], object], rounds: int = 1) -> float:
     """Mean seconds of an action."""
     start = time.perf_counter()

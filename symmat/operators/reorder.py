@@ -2,7 +2,6 @@
 
 from __future__ import annotations
 
-import itertools
 from collections.abc import Iterable
 
 import numpy as np
@@ -11,7 +10,7 @@ from pyspark.sql import DataFrame
 from pyspark.sql import Window
 from pyspark.sql import functions as F
 
-from ..model import MatrixView
+from ..model import MatrixView, cut
 
 Edges = list[tuple[int, int, float]]
 
@@ -27,8 +26,9 @@ def value_pairs(view: MatrixView) -> DataFrame:
 def repetitions(view: MatrixView, engine: str = "hash") -> DataFrame:
     """(ci, cj, rep): rows with both columns nonzero, less the distinct value pairs among them; pairs that meet at least once.
 
-    ``hash``: two aggregations, combined on the map side. ``sort``: pairs are range-sorted and counted in one run over each
-    task. ``sketch``: distinct pairs are estimated by a HyperLogLog sketch.
+    ``hash``: two aggregations, combined on the map side. ``sort``: pairs are range-sorted; each task counts its repeats and
+    says where it begins and ends, and equal neighbours over a border count once more, so a pair of values that fills all
+    rows lies in many tasks. ``sketch``: distinct pairs are estimated by a HyperLogLog sketch.
     """
     pairs = value_pairs(view)
     if engine == "hash":
@@ -40,27 +40,41 @@ def repetitions(view: MatrixView, engine: str = "hash") -> DataFrame:
     if engine != "sort":
         raise ValueError(engine)
 
+    names = ["ci", "cj", "vi", "vj"]
+
     def run(batches):
-        last = None
+        from pyspark import TaskContext
+
+        part, first, last = TaskContext.get().partitionId(), None, None
         for b in batches:
             if not len(b):
                 continue
-            k = np.stack([b.column(c).to_numpy(zero_copy_only=False).astype(float) for c in ("ci", "cj", "vi", "vj")], axis=1)
+            k = np.stack([b.column(c).to_numpy(zero_copy_only=False).astype(float) for c in names], axis=1)
             before = np.vstack([k[:1] * np.nan if last is None else last, k[:-1]])
             again = (k == before).all(axis=1)
-            last = k[-1:]
+            first, last = k[0] if first is None else first, k[-1:]
             cols, at = np.unique(k[:, :2], axis=0, return_inverse=True)
             rep = np.bincount(at, again, len(cols)).astype(np.int64)
-            yield pa.RecordBatch.from_arrays([pa.array(cols[:, 0].astype(np.int32)), pa.array(cols[:, 1].astype(np.int32)), pa.array(rep)], names=["ci", "cj", "rep"])
+            none = pa.nulls(len(cols), pa.list_(pa.float64()))
+            yield pa.RecordBatch.from_arrays([pa.array(cols[:, 0].astype(np.int32)), pa.array(cols[:, 1].astype(np.int32)), pa.array(rep), pa.nulls(len(cols), pa.int32()), none, none], names=out_names)
+        if first is not None:
+            ends = [pa.array([x.tolist()], pa.list_(pa.float64())) for x in (first, last[0])]
+            yield pa.RecordBatch.from_arrays([pa.nulls(1, pa.int32()), pa.nulls(1, pa.int32()), pa.array([0]), pa.array([part], pa.int32()), *ends], names=out_names)
 
-    ordered = pairs.repartition("ci", "cj", "vi", "vj").sortWithinPartitions("ci", "cj", "vi", "vj")
-    return ordered.mapInArrow(run, "ci int, cj int, rep long").groupBy("ci", "cj").agg(F.sum("rep").alias("rep"))
+    out_names = ["ci", "cj", "rep", "part", "first", "last"]
+    ordered = pairs.withColumn("deal", F.rand(3)).repartitionByRange(*names, "deal").sortWithinPartitions(*names)
+    counted = cut(ordered.mapInArrow(run, "ci int, cj int, rep long, part int, first array<double>, last array<double>"))
+    ends = counted.where("part IS NOT NULL").orderBy("part").collect()  # a row per task
+    joined = [(int(b.first[0]), int(b.first[1]), 1) for a, b in zip(ends, ends[1:]) if a.last == b.first]
+    more = view.rows.sparkSession.createDataFrame(joined, "ci int, cj int, rep long")
+    return counted.where("part IS NULL").select("ci", "cj", "rep").union(more).groupBy("ci", "cj").agg(F.sum("rep").alias("rep"))
 
 
 def similarity(view: MatrixView, engine: str = "hash", sample: float | None = None, seed: int = 1) -> DataFrame:
     """(ci, cj, rep, score): repetitions over the number of rows. ``sample`` takes a share of the rows (scores come out low)."""
-    if sample:
-        view = MatrixView(view.rows.sample(sample, seed), view.m, view.names)
+    if sample:  # by a hash of the row id: the same rows however the table is dealt
+        drawn = F.conv(F.substring(F.md5(F.concat_ws(":", F.lit(seed), "row_id")), 1, 6), 16, 10).cast("long")
+        view = MatrixView(view.rows.where(drawn < int(sample * (1 << 24))), view.m, view.names)
     n = view.n
     return repetitions(view, engine).select("ci", "cj", "rep", (F.col("rep") / F.lit(float(max(1, n)))).alias("score"))
 
@@ -83,20 +97,27 @@ def edges_of(scores: DataFrame) -> Edges:
     return [(r.ci, r.cj, r.score) for r in scores.select("ci", "cj", "score").collect()]
 
 
-def local_edges(cols: list[np.ndarray], vals: list[np.ndarray], m: int, k: int | None = None) -> Edges:
-    """The same scores from one block's rows, without Spark."""
-    n = len(cols)
-    dense = np.zeros((n, m))
-    for i, (c, v) in enumerate(zip(cols, vals)):
-        dense[i, c] = v
-    codes = np.stack([np.unique(dense[:, j], return_inverse=True)[1] for j in range(m)], axis=1) if n else np.zeros((0, m), int)
+def local_edges(row: np.ndarray, col: np.ndarray, val: np.ndarray, n: int, m: int, k: int | None = None) -> Edges:
+    """The same scores from the cells of one block (row index, column, value; sorted by row), without Spark.
+
+    Column by column: its cells meet the cells of the same rows in later columns, so work and memory follow the pairs of
+    cells there are, not all pairs of columns.
+    """
+    _, code = np.unique(val, return_inverse=True)
+    ends = np.searchsorted(row, np.arange(n), side="right")[row] if len(row) else row
     out: Edges = []
-    for i, j in itertools.combinations(range(m), 2):
-        both = (dense[:, i] != 0) & (dense[:, j] != 0)
-        hit = int(both.sum())
-        rep = hit - len(np.unique(codes[both, i] * (n + 1) + codes[both, j])) if hit else 0
-        if rep:
-            out.append((i, j, rep / n))
+    for c in range(m):
+        own = np.flatnonzero(col == c)
+        more = ends[own] - own - 1  # cells behind this one in its row
+        if not more.sum():
+            continue
+        mine = np.repeat(own, more)
+        other = np.arange(len(mine)) - np.repeat(np.cumsum(more) - more, more) + mine + 1
+        met = np.bincount(col[other], minlength=m)
+        size = int(code.max()) + 1
+        distinct = np.unique((col[other].astype(np.int64) * size + code[mine]) * size + code[other])
+        rep = met - np.bincount(distinct // (size * size), minlength=m)
+        out += [(c, int(d), int(rep[d]) / n) for d in np.flatnonzero(rep > 0)]
     return out if k is None else prune_edges(out, k)
 
 
@@ -139,7 +160,7 @@ def _chains(links: Iterable[tuple[int, int]], m: int) -> list[int]:
     return [c for p in sorted(parts, key=min) for c in p]
 
 
-def paths(edges: Edges, m: int) -> list[int]:
+def path_links(edges: Edges, m: int) -> list[tuple[int, int]]:
     """Greedy path cover: edges by falling weight, kept where both ends are free and no circle closes."""
     degree, forest, kept = [0] * m, _Forest(m), []
     for a, b, w in sorted(edges, key=lambda e: (-e[2], e[0], e[1])):
@@ -148,7 +169,12 @@ def paths(edges: Edges, m: int) -> list[int]:
             degree[a] += 1
             degree[b] += 1
             kept.append((a, b))
-    return _chains(kept, m)
+    return kept
+
+
+def paths(edges: Edges, m: int) -> list[int]:
+    """The fragments of the greedy path cover, end to end."""
+    return _chains(path_links(edges, m), m)
 
 
 def paths_coalesced(edges: Edges, m: int, absent: str = "zero") -> list[int]:
@@ -242,38 +268,50 @@ def tour(edges: Edges, m: int, seed: int = 1, restarts: int = 4, depth: int = 5)
             left.remove(out[-1])
         return out
 
-    def gain(o: list[int], i: int, j: int) -> float:
-        """Of reversing o[i..j]."""
-        g = 0.0
-        if i:
-            g += w[o[i - 1], o[j]] - w[o[i - 1], o[i]]
-        if j + 1 < m:
-            g += w[o[i], o[j + 1]] - w[o[j], o[j + 1]]
-        return g
-
-    def improve(o: list[int]) -> list[int]:
+    rim = np.zeros((m + 1, m + 1))  # city m is the end of the path: no weight to any other
+    rim[:m, :m] = w
+
+    def best_reversal(o: np.ndarray) -> tuple[float, int, int]:
+        """Gain of reversing o[i..j], for all i < j at once; the largest."""
+        left, right = np.append(m, o[:-1]), np.append(o[1:], m)
+        g = rim[left[:, None], o[None]] + rim[o[:, None], right[None]] - rim[left, o][:, None] - rim[o, right][None]
+        g[np.tril_indices(m)] = -np.inf
+        i, j = divmod(int(g.argmax()), m)
+        return float(g[i, j]), i, j
+
+    def best_move(o: np.ndarray) -> tuple[float, np.ndarray]:
+        """The best new place of a piece of one to three cities, either way round."""
+        best, found = 0.0, o
+        for size in (1, 2, 3):
+            for i in range(m - size + 1):
+                piece, rest = o[i : i + size], np.concatenate([o[:i], o[i + size :]])
+                before, after = o[i - 1] if i else m, o[i + size] if i + size < m else m
+                off = rim[before, after] - rim[before, piece[0]] - rim[piece[-1], after]
+                a, b = np.append(m, rest), np.append(rest, m)
+                for p in (piece, piece[::-1]):
+                    g = off - rim[a, b] + rim[a, p[0]] + rim[p[-1], b]
+                    at = int(g.argmax())
+                    if g[at] > best + 1e-12:
+                        best, found = float(g[at]), np.concatenate([rest[:at], p, rest[at:]])
+        return best, found
+
+    def improve(start: list[int]) -> list[int]:
+        o = np.array(start)
         while True:
-            total, trial, best, best_total = 0.0, o[:], None, 1e-12
+            total, trial, best, best_total = 0.0, o.copy(), None, 1e-12
             for _ in range(depth):  # a chain of best reversals, of which the best prefix counts
-                g, i, j = max(((gain(trial, i, j), i, j) for i in range(m) for j in range(i + 1, m)), default=(0.0, 0, 0))
-                trial[i : j + 1] = trial[i : j + 1][::-1]
+                g, i, j = best_reversal(trial)
+                trial[i : j + 1] = trial[i : j + 1][::-1].copy()
                 total += g
                 if total > best_total:
-                    best, best_total = trial[:], total
+                    best, best_total = trial.copy(), total
                 if g <= 0:
                     break
             if best is None:
-                now = score(o)
-                for size in (1, 2, 3):
-                    for i in range(m - size + 1):
-                        piece, rest = o[i : i + size], o[:i] + o[i + size :]
-                        for j in range(len(rest) + 1):
-                            for p in (piece, piece[::-1]):
-                                cand = rest[:j] + p + rest[j:]
-                                if score(cand) > now + 1e-12:
-                                    best, now = cand, score(cand)
-                if best is None:
-                    return o
+                gain, moved = best_move(o)
+                if gain <= 1e-12:
+                    return o.tolist()
+                best = moved
             o = best
 
     starts = [paths(edges, m), *(nearest(int(s)) for s in rng.permutation(m)[:restarts])]
@@ -306,7 +344,7 @@ def blockwise(view: MatrixView, blocks: int = 16, algorithms: tuple[str, ...] =
     Returns (blocks of the winner, totals per algorithm). With ``fallback`` the identity competes too, since reordering may
     lose. All of a block's work is one task; the driver adds a number per block and algorithm.
     """
-    from ..model import BLOCK_SCHEMA, Blocks, cut
+    from ..model import BLOCK_SCHEMA, Blocks
     from .kernel import METHODS
     from .multiply import _ARROW, block_symbols, pack_block, shared_values
 
@@ -316,7 +354,10 @@ def blockwise(view: MatrixView, blocks: int = 16, algorithms: tuple[str, ...] =
 
     def work(key: tuple, rows: pa.Table) -> pa.Table:
         rows = rows.sort_by("row_id")
-        edges = local_edges([np.array(x, np.int64) for x in rows.column("cols").to_pylist()], [np.array(x, float) for x in rows.column("vals").to_pylist()], m, k)
+        cols = rows.column("cols").combine_chunks()
+        vals = rows.column("vals").combine_chunks().flatten().to_numpy(zero_copy_only=False)
+        row = np.repeat(np.arange(len(rows)), np.diff(cols.offsets.to_numpy()))
+        edges = local_edges(row, cols.flatten().to_numpy(zero_copy_only=False).astype(np.int64), vals, len(rows), m, k)
         out = []
         for name in names:
             order = np.array(ALGORITHMS[name](edges, m))

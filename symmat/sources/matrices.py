@@ -122,8 +122,7 @@ def read_matrix_market(spark: SparkSession, path: str) -> MatrixView:
     parts = lines.select(F.split(F.trim("value"), r"\s+").alias("p"), F.monotonically_increasing_id().alias("at"))
     n, m, _ = (int(x) for x in parts.orderBy("at").first()["p"])
     first = parts.agg(F.min("at")).first()[0]
-    cells = parts.where(F.col("at") != first).select((F.col("p")[0].cast("long") - 1).alias("row_id"), (F.col("p")[1].cast("int") - 1).alias("col"), F.col("p")[2].cast("double").alias("val"))
-    return from_long(cells, m, rows=spark.range(n).withColumnRenamed("id", "row_id"))
+    return from_long(_coordinates(parts.where(F.col("at") != first)), m, rows=spark.range(n).withColumnRenamed("id", "row_id"))
 
 
 def read_libsvm(spark: SparkSession, path: str, m: int) -> MatrixView:
@@ -133,6 +132,32 @@ def read_libsvm(spark: SparkSession, path: str, m: int) -> MatrixView:
     return from_long(cells, m, rows=lines.select("row_id"))
 
 
+def write_matrix_market(view: MatrixView, path: str) -> None:
+    """A folder of Matrix-Market coordinate text: the head in a part of its own, then the cells; ids count from 1."""
+    spark = view.rows.sparkSession
+    t = view.rows.agg(F.sum(F.size("cols"))).first()[0] or 0
+    top = (view.rows.agg(F.max("row_id")).first()[0] or 0) + 1
+    head = spark.createDataFrame([("%%MatrixMarket matrix coordinate real general",), (f"{top} {view.m} {t}",)], "value string").coalesce(1)
+    head.write.mode("overwrite").text(f"{path}/head")
+    view.cells.select(F.concat_ws(" ", F.col("row_id") + 1, F.col("col") + 1, F.col("val")).alias("value")).write.mode("overwrite").text(f"{path}/cells")
+
+
+def read_matrix_market_parts(spark: SparkSession, path: str) -> MatrixView:
+    """What ``write_matrix_market`` wrote."""
+    n, m, _ = (int(x) for x in spark.read.text(f"{path}/head").where(~F.col("value").startswith("%")).first()["value"].split())
+    return from_long(_coordinates(spark.read.text(f"{path}/cells").select(F.split(F.trim("value"), r"\s+").alias("p"))), m, rows=spark.range(n).withColumnRenamed("id", "row_id"))
+
+
+def _coordinates(parts: DataFrame) -> DataFrame:
+    return parts.select((F.col("p")[0].cast("long") - 1).alias("row_id"), (F.col("p")[1].cast("int") - 1).alias("col"), F.col("p")[2].cast("double").alias("val"))
+
+
+def write_libsvm(view: MatrixView, path: str) -> None:
+    """A line per row, in order of row_id: a zero label, then column:value, columns from 1."""
+    pairs = F.transform(F.arrays_zip("cols", "vals"), lambda x: F.concat_ws(":", x["cols"] + 1, x["vals"]))
+    view.rows.orderBy("row_id").select(F.concat_ws(" ", F.lit("0"), pairs).alias("value")).write.mode("overwrite").text(path)
+
+
 def quantise(view: MatrixView, decimals: int) -> MatrixView:
     """Values rounded first (lossy), then treated as any matrix; what becomes zero drops out."""
     pairs = F.filter(F.transform(F.arrays_zip("cols", "vals"), lambda x: F.struct(x["cols"].alias("c"), (F.round(x["vals"], decimals) + 0.0).alias("v"))), lambda x: x["v"] != 0)

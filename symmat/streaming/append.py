@@ -2,14 +2,13 @@
 
 from __future__ import annotations
 
-import tempfile
 import uuid
 
 import numpy as np
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from ..model import Blocks, MatrixView
+from ..model import Blocks, MatrixView, shared_folder
 from ..operators import multiply
 from ..sources import matrices as src
 
@@ -18,8 +17,7 @@ DAYS = 30
 
 
 def _folder(spark: SparkSession) -> str:
-    base = spark.sparkContext.getCheckpointDir() or spark.conf.get("spark.checkpoint.dir", None) or tempfile.mkdtemp(prefix="symmat-stream-")
-    return f"{base}/symmat-stream-{uuid.uuid4().hex}"
+    return f"{shared_folder(spark)}/symmat-stream-{uuid.uuid4().hex}"
 
 
 class BlockSink:
