@@ -14,9 +14,9 @@ share lies in many tasks; what runs over their borders is settled on one row a t
 
 Groups are cut into blocks of bounded size. In each, members without a near signature go first; of the rest, links are
 counted on the full sets and leave as a spanning forest, so no pair is a row. A group of several blocks has a pivot, the
-member that shares most buckets, which joins every block. Members that their block links with the pivot are settled; only
-those it does not link meet all other blocks of the group as well. So copies of one text cost work in proportion to their
-number, and the square of what is left is paid only by those that hang together otherwise.
+member that lies in most shared buckets, which joins every block. Members that hang together with the pivot by the links
+found so far are settled; only the others meet each other and the settled ones as well, block by block. So copies of one
+text cost work in proportion to their number, and the product of blocks is paid only for members that no link has settled.
 """
 
 from __future__ import annotations
@@ -40,6 +40,8 @@ LINK_PERCENT = 85
 TILE = 256
 #: A class of more than a share of 1 / HOT of all rows is hot: at most HOT of them are sent to all tasks.
 HOT = 2000
+#: Groups of several blocks up to which a row each is sent to all tasks.
+PIVOTS = 100_000
 
 _RNG = np.random.default_rng(7)
 _WITH = [np.uint64(int(x) | 1) for x in _RNG.integers(1, 1 << 63, SHINGLE, dtype=np.uint64)]
@@ -192,7 +194,7 @@ def _share(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
 
 
 def _buckets(reps: DataFrame) -> DataFrame:
-    """(hub, rep, shared): the groups, and in how many of the hub's buckets the member lies."""
+    """(hub, rep, shared): the groups, and in how many buckets of several the member lies."""
     filed = reps.select("rep", "sig").mapInArrow(_file_under, "key long, rep long")
     seen = cut(filed.repartitionByRange("key", "rep").sortWithinPartitions("key", "rep").mapInArrow(_share, _SHARED))
     ends = seen.where("rep IS NULL").select("part", "key", "n", "last", "head").orderBy("part").collect()  # a row per task
@@ -210,7 +212,8 @@ def _buckets(reps: DataFrame) -> DataFrame:
     own = spark.createDataFrame(true, "part int, real long")
     members = seen.where("rep IS NOT NULL").join(F.broadcast(own), "part", "left").select(F.when(F.col("first"), F.coalesce("real", "hub")).otherwise(F.col("hub")).alias("hub"), "rep")
     every = members.union(spark.createDataFrame([(h, h) for h in more], "hub long, rep long"))
-    return every.groupBy("hub", "rep").agg(F.count("*").alias("shared"))
+    groups = cut(every.groupBy("hub", "rep").agg(F.count("*").alias("n")))
+    return groups.select("hub", "rep").join(groups.groupBy("rep").agg(F.sum("n").alias("shared")), "rep")
 
 
 def _promising(rows: pa.Table, percent: int) -> pa.Table:
@@ -257,7 +260,7 @@ def _linked(rows: pa.Table, percent: int) -> pa.Table:
             b += new.tolist()
             stack += new.tolist()
     rep = rows.column("rep").to_numpy()
-    out = pa.table({"a": rep[np.array(a, int)], "b": rep[np.array(b, int)], "hub": pa.nulls(len(a), pa.int64())})
+    out = pa.table({"a": rep[np.array(a, int)], "b": rep[np.array(b, int)], "hub": pa.nulls(len(a), pa.int64()), "pivot": pa.nulls(len(a), pa.int64())})
     pivot = rows.column("pivot")[0].as_py()
     if pivot is None:
         return out
@@ -266,7 +269,7 @@ def _linked(rows: pa.Table, percent: int) -> pa.Table:
         tree[y] = tree[x]
     with_pivot = tree == tree[int(np.flatnonzero(rep == pivot)[0])] if (rep == pivot).any() else np.zeros(len(rep), bool)
     open_ = rep[~with_pivot]
-    return pa.concat_tables([out, pa.table({"a": open_, "b": pa.nulls(len(open_), pa.int64()), "hub": np.full(len(open_), rows.column("hub")[0].as_py(), np.int64)})])
+    return pa.concat_tables([out, pa.table({"a": open_, "b": pa.nulls(len(open_), pa.int64()), "hub": np.full(len(open_), rows.column("hub")[0].as_py(), np.int64), "pivot": np.full(len(open_), pivot, np.int64)})])
 
 
 def _by_tile(rows: DataFrame, work, schema: str) -> DataFrame:
@@ -281,14 +284,14 @@ def _by_tile(rows: DataFrame, work, schema: str) -> DataFrame:
 
 
 def _meet(docs: DataFrame, tiles: DataFrame, reps: DataFrame, percent: int) -> tuple[DataFrame, DataFrame]:
-    """(links, open): links (a, b) found in ``tiles`` (hub, i, j, rep, pivot), and (hub, rep) of members not linked with the pivot they met."""
+    """(links, open): links (a, b) found in ``tiles`` (hub, i, j, rep, pivot), and (hub, rep, pivot) of members not linked with the pivot they met."""
     judged = cut(_by_tile(tiles.join(reps, "rep"), lambda tile: _promising(tile, percent), "hub long, i long, j long, rep long, pivot long, hopeful boolean"))
     hopeful = judged.where("hopeful").drop("hopeful")
     wanted = hopeful.select(F.col("rep").alias("id")).distinct()
     texts = docs.select(F.col("doc_id").cast("long").alias("id"), F.col("text").cast("string")).join(wanted, "id", "left_semi")
     sets = texts.mapInArrow(_full_sets, "id long, set array<long>").withColumnRenamed("id", "rep")
-    found = cut(_by_tile(hopeful.join(sets, "rep"), lambda tile: _linked(tile, percent), "a long, b long, hub long"))
-    open_ = judged.where("NOT hopeful").select("hub", "rep").union(found.where("b IS NULL").select("hub", F.col("a").alias("rep"))).distinct()
+    found = cut(_by_tile(hopeful.join(sets, "rep"), lambda tile: _linked(tile, percent), "a long, b long, hub long, pivot long"))
+    open_ = judged.where("NOT hopeful").select("hub", "rep", "pivot").union(found.where("b IS NULL").select("hub", F.col("a").alias("rep"), "pivot")).distinct()
     return found.where("b IS NOT NULL").select("a", "b"), open_
 
 
@@ -297,6 +300,24 @@ def _blocks(members: DataFrame) -> DataFrame:
     return cut(members.orderBy("hub", "rep").withColumn("serial", F.monotonically_increasing_id())).withColumn("block", F.floor(F.col("serial") / TILE).cast("long")).drop("serial")
 
 
+def _rest(docs: DataFrame, members: DataFrame, several: DataFrame, open_: DataFrame, links: DataFrame, reps: DataFrame, percent: int) -> DataFrame:
+    """The links of members that do not hang together with their pivot: among each other, and with the settled members."""
+    root = components(links)
+    pivots = several.join(root.withColumnRenamed("id", "pivot"), "pivot", "left").select("hub", "pivot", F.coalesce("component", "pivot").alias("theirs"))
+    known = open_.join(root.withColumnRenamed("id", "rep"), "rep", "left").select("hub", "rep", F.coalesce("component", "rep").alias("own"))
+    few = pivots.limit(PIVOTS + 1).count() <= PIVOTS
+    open_ = _blocks(known.join(F.broadcast(pivots) if few else pivots, "hub").where("own <> theirs").select("hub", "rep"))
+    settled = members.select("hub", "rep").join(F.broadcast(several.select("hub")) if few else several.select("hub"), "hub", "left_semi").join(open_.select("hub", "rep"), ["hub", "rep"], "left_anti")
+    settled = _blocks(settled).withColumn("block", -1 - F.col("block"))  # numbers apart from those of open blocks
+    first = cut(open_.select("hub", F.col("block").alias("i")).distinct())
+    second = first.withColumnRenamed("i", "j").union(settled.select("hub", F.col("block").alias("j")).distinct())
+    pairs = cut(first.join(second, "hub").where("j < 0 OR j >= i"))
+    both = open_.union(settled)
+    own = both.withColumnRenamed("block", "i").join(pairs, ["hub", "i"]).select("hub", "i", "j", "rep")
+    other = both.withColumnRenamed("block", "j").join(pairs.where("i <> j"), ["hub", "j"]).select("hub", "i", "j", "rep")
+    return _meet(docs, own.union(other).withColumn("pivot", F.lit(None).cast("long")), reps, percent)[0]
+
+
 def link(docs: DataFrame, percent: int = LINK_PERCENT) -> tuple[DataFrame, DataFrame, DataFrame]:
     """(rows, classes, links) of ``docs``.
 
@@ -317,11 +338,7 @@ def link(docs: DataFrame, percent: int = LINK_PERCENT) -> tuple[DataFrame, DataF
     links, open_ = _meet(docs, own.select("hub", F.col("block").alias("i"), F.col("block").alias("j"), "rep", "pivot"), reps, percent)
     open_ = cut(open_)
     if not open_.isEmpty():
-        left = _blocks(open_).select("hub", "rep", F.col("block").alias("i"))
-        pairs = left.select("hub", "i").distinct().join(blocks.select("hub", F.col("block").alias("j")), "hub")
-        theirs = members.select("hub", F.col("block").alias("j"), "rep").join(pairs, ["hub", "j"]).select("hub", "i", "j", "rep")
-        tiles = left.join(pairs, ["hub", "i"]).select("hub", "i", "j", "rep").union(theirs).distinct()
-        links = links.union(_meet(docs, tiles.withColumn("pivot", F.lit(None).cast("long")), reps, percent)[0])
+        links = links.union(_rest(docs, members, several, open_, links, reps, percent))
     return rows, classes, cut(links.distinct())
 
 
@@ -367,3 +384,17 @@ def drop_near_duplicates(docs: DataFrame, percent: int = LINK_PERCENT) -> DataFr
         out = out.dropDuplicates(["doc_id", h])
     rest = docs.where(F.col("doc_id").isNull() | ~F.coalesce(F.col("text").cast("string").rlike(WORD), F.lit(False)))
     return out.select(*docs.columns).unionByName(rest)
+
+
+#: Rows of op1 in DuckDB: all pairs of documents with a common shingle.
+ORACLE = r"""
+WITH RECURSIVE d AS (SELECT doc_id, regexp_extract_all(translate(coalesce(text, ''), 'ABCDEFGHIJKLMNOPQRSTUVWXYZ', 'abcdefghijklmnopqrstuvwxyz'), '[^\x20\x09-\x0D]+') AS w FROM documents),
+ s AS (SELECT DISTINCT doc_id, unnest(CASE WHEN len(w) >= 5 THEN list_transform(range(1, len(w) - 3), lambda i: array_to_string(w[i:i + 4], ' ')) WHEN len(w) > 0 THEN [array_to_string(w, ' ')] ELSE [] END) AS s FROM d),
+ n AS (SELECT doc_id, count(*) AS n FROM s GROUP BY doc_id),
+ p AS (SELECT x.doc_id AS a, y.doc_id AS b, count(*) AS c FROM s x JOIN s y ON x.s = y.s AND x.doc_id < y.doc_id GROUP BY 1, 2),
+ l AS (SELECT a, b FROM p JOIN n AS na ON na.doc_id = a JOIN n AS nb ON nb.doc_id = b WHERE 100 * c >= 85 * (na.n + nb.n - c)),
+ e AS (SELECT a, b FROM l UNION ALL SELECT b, a FROM l),
+ r AS (SELECT doc_id AS id, doc_id AS at FROM documents UNION SELECT r.id, e.b FROM r JOIN e ON e.a = r.at),
+ c AS (SELECT id, min(at) AS component_id FROM r GROUP BY id)
+SELECT d.doc_id, coalesce(n.n, 0)::BIGINT AS n_shingles, component_id, d.doc_id = component_id AS kept FROM d LEFT JOIN n USING (doc_id) JOIN c ON c.id = d.doc_id
+"""
