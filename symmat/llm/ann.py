@@ -51,9 +51,9 @@ def beam_search(x: np.ndarray, links: np.ndarray, entry: int, queries: np.ndarra
     sims = np.full((n, beam), -np.inf, np.float32)
     done = np.ones((n, beam), bool)
     ids[:, 0], sims[:, 0], done[:, 0] = entry, queries @ x[entry], False
-    seen = np.zeros((n, len(x) + 1), bool)
+    seen = np.zeros((n, len(x)), bool)
     seen[:, entry] = True
-    seen[:, -1] = True
+    seen[:, -1] = True  # the extra row that absent links point at
     live = np.arange(n)
     while len(live):
         at = np.where(done[live], -np.inf, sims[live]).argmax(axis=1)
@@ -129,8 +129,8 @@ def build_graph(x: np.ndarray, degree: int = DEGREE, beam: int = BEAM_BUILD, alp
         old = np.where(links[to] == n, -1, links[to])
         room = (old < 0).sum(axis=1) >= count
         for t, e, c in zip(to[room], extra[room], count[room]):
-            free = np.flatnonzero(links[t] == n)[:c]
-            links[t, free] = e[:c]
+            fresh = e[:c][~np.isin(e[:c], links[t])]  # points of one batch may have linked each other already
+            links[t, np.flatnonzero(links[t] == n)[: len(fresh)]] = fresh
         if (~room).any():
             pruned = robust_prune(x, to[~room], np.concatenate([old[~room], extra[~room]], axis=1), degree, alpha)
             links[to[~room]] = np.where(pruned < 0, n, pruned)
