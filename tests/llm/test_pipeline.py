@@ -32,3 +32,22 @@ def test_near_copies_of_similarity_080_to_085_go(spark):
     texts = [a, a[:165], b, edit, apart]  # a's beginning: 161 of 196 shingles, 0.821
     docs = spark.createDataFrame([(i, " ".join(t), "en", "s", 1) for i, t in enumerate(texts)], "doc_id long, text string, lang string, source string, n_chars long")
     assert {r.doc_id for r in corpus_pipeline._near_dedup(spark, docs, "").collect()} == {0, 2, 4}
+
+
+def test_an_empty_corpus_and_repeated_rows(spark, tmp_path):
+    schema = "doc_id long, text string, lang string, source string, n_chars long"
+    for name, rows in (("empty", []), ("repeats", [(i % 3, f"some words about number {i % 3} and nothing else at all", None, None, None) for i in range(30)] + [(None, None, None, None, None)])):
+        spark.createDataFrame(rows, schema).write.parquet(str(tmp_path / name / "documents.parquet"))
+        spark.createDataFrame([], "doc_id long, quality int, toxic int").write.parquet(str(tmp_path / name / "labels.parquet"))
+        out = corpus_pipeline.run(spark, str(tmp_path / name)).collect()
+        assert {r.doc_id for r in out} == ({0, 1, 2, None} if rows else set())
+
+
+def test_stages_keep_columns_of_any_name(spark, tmp_path):
+    words = "plain words on hills and rivers, token = abcdefghijklmnop12 and {} more"
+    docs = spark.createDataFrame([(i, words.format(i), "en", "s", 1, 2, 3, 4, 5) for i in range(4)], "doc_id long, text string, lang string, source string, n_chars long, assign int, copies int, h int, own_id int")
+    labels = spark.createDataFrame([(0, 1, 0)], "doc_id long, quality int, toxic int")
+    labels.write.parquet(str(tmp_path / "labels.parquet"))
+    for _, stage in corpus_pipeline.STAGES[:-1]:
+        docs = stage(spark, docs, str(tmp_path))
+        assert docs.columns[5:] == ["assign", "copies", "h", "own_id"] and {tuple(r[5:]) for r in docs.collect()} == {(2, 3, 4, 5)}
