@@ -2,7 +2,8 @@
 
 ``stream``: no rules, 32-bit symbols. ``g32``: 32-bit integers. ``gpack``: every integer at width 1 + floor(log2 of the
 largest id). ``gans``: rules packed as before, final string by an entropy coder of the asymmetric-numeral kind in its range
-form over a folded alphabet; many coder states run side by side so that each step is a vector operation.
+form over a folded alphabet; many coder states run side by side so that each step is a vector operation. A string that is
+shorter packed stays packed, so ``gans`` is never larger than ``gpack`` by more than a byte a block.
 """
 
 from __future__ import annotations
@@ -91,11 +92,33 @@ def _table(counts: np.ndarray) -> np.ndarray:
     return f
 
 
+def _gamma(values: np.ndarray) -> np.ndarray:
+    """Bits of the values (1 or more), each as so many zeros as it has binary digits behind the first, then the digits."""
+    digits = np.frexp(values.astype(float))[1].astype(np.int64)
+    width = 2 * digits - 1
+    first = np.cumsum(width) - width
+    at = np.arange(int(width.sum())) - np.repeat(first, width)
+    down = np.repeat(width, width) - 1 - at
+    return np.where(down < np.repeat(digits, width), np.repeat(values, width) >> np.minimum(down, 62), 0).astype(np.uint8) & 1
+
+
+def _from_gamma(bits: np.ndarray, count: int) -> np.ndarray:
+    out, at = np.empty(count, np.int64), 0
+    ones = np.flatnonzero(bits)
+    for k in range(count):
+        one = int(ones[np.searchsorted(ones, at)])
+        more = one - at
+        out[k] = int("".join(map(str, bits[one : one + more + 1].tolist())), 2)
+        at = one + more + 1
+    return out
+
+
 def ans_encode(symbols: np.ndarray, by: int = FOLD) -> bytes:
+    """Head, bytes shed by folding, coder words, last states, and the table: gaps between used symbols and their frequencies, in variable length."""
     folded, shed = fold(symbols, by)
     n = len(folded)
     if not n:
-        return np.array([0, 0, 0, 0], "<u4").tobytes()
+        return np.array([0, 0, 0, 0, 0], "<u4").tobytes()
     counts = np.bincount(folded)
     freq = _table(counts)
     start = np.cumsum(freq) - freq
@@ -110,30 +133,26 @@ def ans_encode(symbols: np.ndarray, by: int = FOLD) -> bytes:
         words[t] = (x[over] & np.uint64(0xFFFF)).astype(np.uint16)
         x = np.where(over, x >> np.uint64(16), x)
         state[: len(s)] = (x // f << np.uint64(_P)) + x % f + c
-    body = np.concatenate(words).astype("<u2")
+    body = np.concatenate(words).astype("<u2").tobytes()
     seen = np.flatnonzero(freq)
-    # a table of the symbols that occur: a bit for each possible one, then 16-bit frequencies less one
-    bitmap = np.packbits(freq > 0, bitorder="little").tobytes()
-    head = np.array([n, len(freq), len(shed), lanes], "<u4").tobytes()
-    return head + bitmap + (freq[seen] - 1).astype("<u2").tobytes() + state.astype("<u4").tobytes() + shed + body.tobytes()
+    table = np.packbits(np.concatenate([_gamma(np.diff(seen, prepend=-1)), _gamma(freq[seen])]), bitorder="little").tobytes()
+    head = np.array([n, len(seen), len(shed), lanes, len(body)], "<u4").tobytes()
+    return head + shed + body + state.astype("<u4").tobytes() + table
 
 
 def ans_decode(data: bytes, by: int = FOLD) -> np.ndarray:
-    n, alphabet, n_shed, lanes = np.frombuffer(data, "<u4", 4).tolist()
+    n, used, n_shed, lanes, n_body = np.frombuffer(data, "<u4", 5).tolist()
     if not n:
         return np.zeros(0, np.int64)
-    at = 16
-    used = np.unpackbits(np.frombuffer(data, np.uint8, -(-alphabet // 8), at), bitorder="little")[:alphabet].astype(bool)
-    at += -(-alphabet // 8)
-    freq = np.zeros(alphabet, np.int64)
-    freq[used] = np.frombuffer(data, "<u2", int(used.sum()), at).astype(np.int64) + 1
-    at += 2 * int(used.sum())
-    state = np.frombuffer(data, "<u4", lanes, at).astype(np.uint64)
-    at += 4 * lanes
-    shed = data[at : at + n_shed]
-    words = np.frombuffer(data, "<u2", (len(data) - at - n_shed) // 2, at + n_shed).astype(np.uint64)
+    shed, at = data[20 : 20 + n_shed], 20 + n_shed
+    words = np.frombuffer(data, "<u2", n_body // 2, at).astype(np.uint64)
+    state = np.frombuffer(data, "<u4", lanes, at + n_body).astype(np.uint64)
+    coded = _from_gamma(np.unpackbits(np.frombuffer(data, np.uint8, -1, at + n_body + 4 * lanes), bitorder="little"), 2 * used)
+    seen = np.cumsum(coded[:used]) - 1
+    freq = np.zeros(int(seen[-1]) + 1, np.int64)
+    freq[seen] = coded[used:]
     start = np.cumsum(freq) - freq
-    slot = np.repeat(np.arange(alphabet), freq)
+    slot = np.repeat(np.arange(len(freq)), freq)
     out, low, w = np.empty(n, np.int64), np.uint64((1 << _P) - 1), 0
     fu, su = freq.astype(np.uint64), start.astype(np.uint64)
     for t in range(-(-n // lanes)):
@@ -163,7 +182,9 @@ def encode(g: Grammar, name: str, by: int = FOLD) -> tuple[bytes, bytes, int]:
     if name == "gpack":
         return pack(c, width), pack(r, width), width
     if name == "gans":
-        return ans_encode(c, by), pack(r, width), width
+        coded, packed = ans_encode(c, by), pack(c, width)
+        # a short string may be smaller packed than with its table of frequencies; the last byte says which it is
+        return (coded + b"\1" if len(coded) < len(packed) else packed + b"\0"), pack(r, width), width
     raise ValueError(f"unknown codec {name}")
 
 
@@ -171,6 +192,7 @@ def decode(name: str, c: bytes, r: bytes, width: int, c_len: int, r_len: int, sp
     if name in ("stream", "g32"):
         marked, rules = np.frombuffer(c, "<u4").astype(np.int64), np.frombuffer(r, "<u4").astype(np.int64)
     else:
-        marked = ans_decode(c, by) if name == "gans" else unpack(c, width, c_len)
+        coded = name == "gans" and c[-1:] == b"\1"
+        marked = ans_decode(c[:-1], by) if coded else unpack(c, width, c_len)
         rules = unpack(r, width, 2 * r_len)
     return from_marked(marked, rules.reshape(-1, 2), space)

@@ -13,6 +13,8 @@ from pyspark.sql import functions as F
 from ..model import MatrixView, cut
 
 Edges = list[tuple[int, int, float]]
+#: Pairs of cells of one column that are compared at once.
+PORTION = 1 << 22
 
 
 def value_pairs(view: MatrixView) -> DataFrame:
@@ -23,13 +25,27 @@ def value_pairs(view: MatrixView) -> DataFrame:
     return one.select("ci", F.col("b.cols").alias("cj"), "vi", F.col("b.vals").alias("vj"))
 
 
-def repetitions(view: MatrixView, engine: str = "hash") -> DataFrame:
+def repetitions(view: MatrixView, engine: str = "hash", blocks: int | None = None) -> DataFrame:
     """(ci, cj, rep): rows with both columns nonzero, less the distinct value pairs among them; pairs that meet at least once.
 
     ``hash``: two aggregations, combined on the map side. ``sort``: pairs are range-sorted; each task counts its repeats and
     says where it begins and ends, and equal neighbours over a border count once more, so a pair of values that fills all
-    rows lies in many tasks. ``sketch``: distinct pairs are estimated by a HyperLogLog sketch.
+    rows lies in many tasks. ``sketch``: distinct pairs are estimated by a HyperLogLog sketch. ``block``: repetitions within
+    each of ``blocks`` row blocks (None: of bounded size), added up; one task a block, no row a pair.
     """
+    if engine == "block":
+        m = view.m
+
+        def local(key: tuple, rows: pa.Table) -> pa.Table:
+            found = local_edges(*_cells_of(rows), 1, m)
+            return pa.table({"ci": pa.array([e[0] for e in found], pa.int32()), "cj": pa.array([e[1] for e in found], pa.int32()), "rep": pa.array([int(e[2]) for e in found], pa.int64())})
+
+        if blocks is None:
+            from .multiply import block_count
+
+            blocks = block_count(view)
+        made = view.rows.withColumn("block", view.block_of(blocks)).groupBy("block").applyInArrow(local, "ci int, cj int, rep long")
+        return made.groupBy("ci", "cj").agg(F.sum("rep").alias("rep"))
     pairs = value_pairs(view)
     if engine == "hash":
         return pairs.groupBy("ci", "cj", "vi", "vj").agg(F.count("*").alias("c")).groupBy("ci", "cj").agg(F.sum(F.col("c") - 1).alias("rep"))
@@ -70,13 +86,13 @@ def repetitions(view: MatrixView, engine: str = "hash") -> DataFrame:
     return counted.where("part IS NULL").select("ci", "cj", "rep").union(more).groupBy("ci", "cj").agg(F.sum("rep").alias("rep"))
 
 
-def similarity(view: MatrixView, engine: str = "hash", sample: float | None = None, seed: int = 1) -> DataFrame:
+def similarity(view: MatrixView, engine: str = "hash", sample: float | None = None, seed: int = 1, blocks: int | None = None) -> DataFrame:
     """(ci, cj, rep, score): repetitions over the number of rows. ``sample`` takes a share of the rows (scores come out low)."""
     if sample:  # by a hash of the row id: the same rows however the table is dealt
         drawn = F.conv(F.substring(F.md5(F.concat_ws(":", F.lit(seed), "row_id")), 1, 6), 16, 10).cast("long")
         view = MatrixView(view.rows.where(drawn < int(sample * (1 << 24))), view.m, view.names)
     n = view.n
-    return repetitions(view, engine).select("ci", "cj", "rep", (F.col("rep") / F.lit(float(max(1, n)))).alias("score"))
+    return repetitions(view, engine, blocks).select("ci", "cj", "rep", (F.col("rep") / F.lit(float(max(1, n)))).alias("score"))
 
 
 def prune_local(scores: DataFrame, k: int, mode: str = "either") -> DataFrame:
@@ -97,26 +113,38 @@ def edges_of(scores: DataFrame) -> Edges:
     return [(r.ci, r.cj, r.score) for r in scores.select("ci", "cj", "score").collect()]
 
 
+def _cells_of(rows: pa.Table) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
+    """Row index, column and value of the cells of a table of rows."""
+    cols = rows.column("cols").combine_chunks()
+    vals = rows.column("vals").combine_chunks().flatten().to_numpy(zero_copy_only=False)
+    return np.repeat(np.arange(len(rows)), np.diff(cols.offsets.to_numpy())), cols.flatten().to_numpy(zero_copy_only=False).astype(np.int64), vals
+
+
 def local_edges(row: np.ndarray, col: np.ndarray, val: np.ndarray, n: int, m: int, k: int | None = None) -> Edges:
     """The same scores from the cells of one block (row index, column, value; sorted by row), without Spark.
 
-    Column by column: its cells meet the cells of the same rows in later columns, so work and memory follow the pairs of
-    cells there are, not all pairs of columns.
+    Column by column: its cells meet the cells behind them in their rows, so work follows the pairs of cells there are, and
+    memory those of one column, which go in portions.
     """
     _, code = np.unique(val, return_inverse=True)
-    ends = np.searchsorted(row, np.arange(n), side="right")[row] if len(row) else row
+    size = int(code.max()) + 1 if len(code) else 1
+    ends = np.searchsorted(row, row, side="right")
+    order = np.argsort(col, kind="stable")
+    first = np.searchsorted(col[order], np.arange(m + 1))
     out: Edges = []
     for c in range(m):
-        own = np.flatnonzero(col == c)
-        more = ends[own] - own - 1  # cells behind this one in its row
-        if not more.sum():
-            continue
-        mine = np.repeat(own, more)
-        other = np.arange(len(mine)) - np.repeat(np.cumsum(more) - more, more) + mine + 1
-        met = np.bincount(col[other], minlength=m)
-        size = int(code.max()) + 1
-        distinct = np.unique((col[other].astype(np.int64) * size + code[mine]) * size + code[other])
-        rep = met - np.bincount(distinct // (size * size), minlength=m)
+        own = order[first[c] : first[c + 1]]
+        more = ends[own] - own - 1
+        met, distinct = np.zeros(m, np.int64), [np.zeros(0, np.int64)]
+        portion = np.cumsum(more) // PORTION
+        for a, b in zip(np.searchsorted(portion, np.unique(portion)), np.searchsorted(portion, np.unique(portion), side="right")):
+            some, k_more = own[a:b], more[a:b]
+            mine = np.repeat(some, k_more)
+            other = np.arange(len(mine)) - np.repeat(np.cumsum(k_more) - k_more, k_more) + mine + 1
+            met += np.bincount(col[other], minlength=m)
+            distinct.append(np.unique((col[other] * size + code[mine]) * size + code[other]))
+        pairs = distinct[-1] if len(distinct) == 2 else np.unique(np.concatenate(distinct))
+        rep = met - np.bincount(pairs // (size * size), minlength=m)
         out += [(c, int(d), int(rep[d]) / n) for d in np.flatnonzero(rep > 0)]
     return out if k is None else prune_edges(out, k)
 
@@ -354,10 +382,7 @@ def blockwise(view: MatrixView, blocks: int = 16, algorithms: tuple[str, ...] =
 
     def work(key: tuple, rows: pa.Table) -> pa.Table:
         rows = rows.sort_by("row_id")
-        cols = rows.column("cols").combine_chunks()
-        vals = rows.column("vals").combine_chunks().flatten().to_numpy(zero_copy_only=False)
-        row = np.repeat(np.arange(len(rows)), np.diff(cols.offsets.to_numpy()))
-        edges = local_edges(row, cols.flatten().to_numpy(zero_copy_only=False).astype(np.int64), vals, len(rows), m, k)
+        edges = local_edges(*_cells_of(rows), len(rows), m, k)
         out = []
         for name in names:
             order = np.array(ALGORITHMS[name](edges, m))

@@ -112,7 +112,7 @@ def typed_dictionary(df: DataFrame, columns: list[str], row_id: str = "row_id")
     """Cells of any type as codes 1, 2, ... per column, null being 0, and the dictionary (col, code, value). For storage and decoding, not for products."""
     long = df.select(row_id, F.explode(F.array(*[F.struct(F.lit(i).alias("col"), F.col(c).cast("string").alias("value")) for i, c in enumerate(columns)])).alias("x")).select(row_id, "x.*").where("value IS NOT NULL")
     codes = with_row_ids(long.select("col", "value").distinct(), ["col", "value"], "code").withColumn("code", F.col("code") + 1)
-    view = from_long(long.join(codes, ["col", "value"]), len(columns), row_id, "col", "code", rows=df.select(F.col(row_id).alias("row_id")))
+    view = from_long(long.join(codes, ["col", "value"]), len(columns), row_id, "col", "code", rows=df.select(row_id))
     return view, codes
 
 

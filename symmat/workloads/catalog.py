@@ -12,7 +12,7 @@ from ..functions import sqlfn
 from ..operators import baseline, encode, measure, multiply, relational, reorder
 from ..plans import choose
 from ..streaming import append
-from . import experiments, standins
+from . import experiments, standins, surface
 
 BLOCKS = 4
 _Q: dict[str, Callable[[SparkSession, str], DataFrame]] = {}
@@ -86,13 +86,6 @@ def _(spark, d):
     return encode.csr_pointers(standins.view(spark, d, "events_user_day"))
 
 
-for _kind, _make in (("csr", encode.csr), ("csr_iv", encode.csr_iv)):
-
-    def _csr_query(spark, d, make=_make):
-        return make(standins.view(spark, d, "events_user_day"), blocks=BLOCKS).select("block", F.size("nz").alias("nz"), F.size("idx").alias("idx"), F.size("first").alias("first"))
-
-    _query(f"{_kind}_blocks")(_csr_query)
-
 for _codec in ("stream", "g32", "gpack", "gans"):
 
     def _decode_query(spark, d, codec=_codec):
@@ -142,13 +135,13 @@ def _(spark, d):
 @_query("right_relational", _right_sql("lineitem_onehot"))
 def _(spark, d):
     v = standins.view(spark, d, "lineitem_onehot")
-    return _round_y(relational.right(relational.build(v, 6), standins.x_frame(spark, v.m)))
+    return _round_y(relational.right(relational.build(v), standins.x_frame(spark, v.m)))
 
 
 @_query("left_relational", _left_sql("lineitem_onehot"))
 def _(spark, d):
     v = standins.view(spark, d, "lineitem_onehot")
-    return _round_x(relational.left(relational.build(v, 6), standins.y_frame(v)))
+    return _round_x(relational.left(relational.build(v), standins.y_frame(v)))
 
 
 @_query("expand_relational", _long_sql("conversation_roles"))
@@ -194,7 +187,7 @@ def _loop_sql(name: str, m: int, rounds: int) -> str:
             f", y{k} AS (SELECT row_id, sum(val * x) AS y FROM cells JOIN x{k} USING (col) GROUP BY row_id), z{k} AS (SELECT col, sum(val * y) AS z FROM cells JOIN y{k} USING (row_id) GROUP BY col)"
             f", x{k + 1} AS (SELECT col, z / (SELECT max(abs(z)) FROM z{k}) AS x FROM z{k})"
         )
-    return f"{out} SELECT col::INTEGER AS col, round(x, 6) AS x FROM x{rounds}"
+    return f"{out} SELECT col::INTEGER AS col, round(x, 6) AS x FROM x{rounds} WHERE round(x, 6) <> 0"
 
 
 @_query("loop_rounds_3", _loop_sql("lineitem_onehot", 33, 3))
@@ -242,13 +235,6 @@ def _(spark, d):
     return _round_y(multiply.right(multiply.scale(multiply.compress(v, BLOCKS), 2.0), np.arange(1.0, v.m + 1)))
 
 
-@_query("cgls_residual")
-def _(spark, d):
-    v = standins.view(spark, d, "label_bits")
-    g = multiply.compress(v, BLOCKS).prepared()
-    return _vector(spark, multiply.cgls(g, standins.y_frame(v)), 6)
-
-
 def _sim_sql(name: str) -> str:
     return (
         f"{_cells(name)}, p AS (SELECT a.col AS ci, b.col AS cj, a.val AS vi, b.val AS vj, count(*) AS c FROM cells a JOIN cells b ON a.row_id = b.row_id AND a.col < b.col GROUP BY 1, 2, 3, 4)"
@@ -262,9 +248,6 @@ def _scores(df: DataFrame) -> DataFrame:
 
 for _engine in ("hash", "sort"):
     _query(f"similarity_{_engine}", _sim_sql("star_codes"))(lambda spark, d, e=_engine: _scores(reorder.similarity(standins.view(spark, d, "star_codes"), e)))
-_query("similarity_sketch")(lambda spark, d: _scores(reorder.similarity(standins.view(spark, d, "star_codes"), "sketch")))
-_query("similarity_sampled")(lambda spark, d: _scores(reorder.similarity(standins.view(spark, d, "star_codes"), sample=0.1)))
-
 for _k in (4, 8, 16):
     _sql = _sim_sql("star_codes") + ")"
     _query(
@@ -277,13 +260,6 @@ for _k in (4, 8, 16):
 
 for _algorithm in reorder.ALGORITHMS:
 
-    def _order(spark, d, a=_algorithm):
-        v = standins.view(spark, d, "star_codes")
-        order = reorder.ALGORITHMS[a](reorder.edges_of(reorder.prune_local(reorder.similarity(v), 8)), v.m)
-        return spark.createDataFrame([(c,) for c in order], "col int")
-
-    _query(f"order_{_algorithm}", "SELECT unnest(range(16))::INTEGER AS col")(_order)
-
     def _reordered(spark, d, a=_algorithm):
         v = standins.view(spark, d, "star_codes")
         order = reorder.ALGORITHMS[a](reorder.edges_of(reorder.prune_local(reorder.similarity(v), 8)), v.m)
@@ -308,11 +284,6 @@ for _side in ("right", "left"):
     _query(f"colgroup_{_side}", _right_sql("star_codes") if _side == "right" else _left_sql("star_codes"))(_grouped)
 
 
-@_query("colgroup_sizes")
-def _(spark, d):
-    return spark.createDataFrame(sorted(baseline.column_groups(standins.view(spark, d, "star_codes")).sizes.items()), "columns string, bytes long")
-
-
 @_query(
     "size_accounting",
     " UNION ALL ".join(
@@ -343,26 +314,11 @@ for _k in (0, 1, 2):
     )
 
 
-@_query("bytes_baselines")
-def _(spark, d):
-    return baseline.byte_sizes(standins.view(spark, d, "star_codes"), tuple(baseline.COMPRESSORS))
-
-
 @_query("sparse_sizes", f"{_cells('star_codes')}, k AS (SELECT count(*) AS t, count(DISTINCT val) AS v, (SELECT count(*) FROM ({standins.rows_sql('star_codes')}) z) AS n FROM cells) SELECT unnest(['csr', 'csr_iv', 'stream', 'dense']) AS method, unnest([12 * t + 8 * (n + 1), (4 + CASE WHEN v < 65536 THEN 2 ELSE 4 END) * t + 8 * (n + 1) + 8 * v, 4 * (t + n) + 8 * v, 8 * n * 16])::BIGINT AS bytes FROM k")
 def _(spark, d):
     return baseline.sparse_sizes(standins.view(spark, d, "star_codes"))
 
 
-@_query("grammar_shape")
-def _(spark, d):
-    return measure.shape(multiply.compress(standins.view(spark, d, "star_codes"), BLOCKS))
-
-
-@_query("operation_counts")
-def _(spark, d):
-    return measure.operations(multiply.compress(standins.view(spark, d, "star_codes"), BLOCKS))
-
-
 @_query("peak_memory")
 def _(spark, d):
     return measure.product_peaks(multiply.compress(standins.view(spark, d, "star_codes"), BLOCKS))
@@ -374,11 +330,6 @@ def _(spark, d):
     return _round_y(multiply.right(choose.choose(v, 8 * v.n * v.m, BLOCKS), np.arange(1.0, v.m + 1)))
 
 
-@_query("quantised_features")
-def _(spark, d):
-    return measure.features(standins.view(spark, d, "embeddings_q1"))
-
-
 @_query("doc_chars_right", "SELECT doc_id::BIGINT AS row_id, round((" + " + ".join(f"(length(text) - length(replace(text, chr({c}), ''))) * {c - 31}" for c in range(32, 127)) + ")::DOUBLE, 2) AS y FROM documents")
 def _(spark, d):
     v = standins.view(spark, d, "doc_chars")
@@ -432,8 +383,14 @@ def _(spark, d):
     return encode.decode_stream(s.join(hits.select("code"), "code", "left_semi"), codes, v.m).select("row_id", F.col("col").cast("int").alias("col"), "val")
 
 
+for _name, (_f, _sql) in surface.QUERIES.items():
+    _query(_name, _sql)(_f)
 for _name, _f in experiments.QUERIES.items():
     _query(_name)(_f)
+_query("w_sizes_counted", experiments.counted_sizes_sql())(experiments.counted_sizes)
+for _name in standins.EXPRESSIONS:
+    _vectors = " UNION ALL ".join(f"SELECT '{c}' AS codec, {b}::INTEGER AS blocks, col, x FROM l" for c in experiments.CODECS for b in (1, 4, 16))
+    _query(f"w_loop_vectors_{_name}", f"WITH l AS ({_loop_sql(_name, standins.width(_name), 3)}) {_vectors}")(lambda spark, d, n=_name: experiments.loop_vectors(spark, d, n, blocks=(1, 4, 16)))
 
 
 def entry(spark: SparkSession, sf_dir: str) -> DataFrame:

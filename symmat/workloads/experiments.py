@@ -1,128 +1,228 @@
-"""The experiments: size tables, product loops over codecs and block counts, reordering sweeps, rival comparison."""
+"""The experiments: size tables, product loops over codecs and block counts, reordering sweeps, rival comparison.
+
+Each function takes the stand-ins to run; the registered queries run every stand-in, a query each. Seconds and resident
+sizes are measured; sizes, vectors and orders are the same at every run.
+"""
 
 from __future__ import annotations
 
 import time
 
 import numpy as np
+import pyarrow as pa
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
+from ..model import Blocks, MatrixView, cut
 from ..operators import baseline, encode, measure, multiply, reorder
+from ..operators.kernel import METHODS
 from ..plans import choose
+from ..sources import matrices as src
 from . import standins
 
-#: Stand-ins small enough for the sweeps; every stand-in can be named.
-SWEEP = ("star_codes", "events_user_day", "conversation_roles")
+CODECS = ("stream", "g32", "gpack", "gans")
+BLOCKS = (1, 4, 8, 12, 16)
+#: Rounds of the product loop in a registered query; the benchmark of the reference takes 500.
+ROUNDS = 5
+#: Stand-ins with several related columns, for the reordering sweeps.
+REORDERED = ("lineitem_dense", "lineitem_measures", "lineitem_onehot", "star_codes", "events_user_day", "doc_chars", "nation_adjacency", "embeddings_q1")
+HASHED = 784
 
 
 def _tidy(spark: SparkSession, rows: list[tuple]) -> DataFrame:
     return spark.createDataFrame([(str(a), str(b), str(c), float(v)) for a, b, c, v in rows], "matrix string, method string, metric string, value double")
 
 
-def sizes(spark: SparkSession, sf_dir: str, names: tuple[str, ...] = SWEEP, blocks: int = 1) -> DataFrame:
-    """Features, and sizes in percent of dense under every method."""
+def _mean(view: MatrixView, nbytes: float) -> float:
+    return measure.size_pct(nbytes, view.n, view.m)
+
+
+def sizes(spark: SparkSession, sf_dir: str, names: tuple[str, ...] = standins.NAMES, blocks: int = 1, byte_blocks: int = 8) -> DataFrame:
+    """Features, and sizes in percent of dense under every method; byte compressors run over ``byte_blocks`` row blocks."""
     rows: list[tuple] = []
     for name in names:
         v = standins.view(spark, sf_dir, name)
+        v = MatrixView(cut(v.rows), v.m, v.names)
         f = measure.features(v).first()
         rows += [(name, "matrix", k, f[k]) for k in ("n", "m", "nonzero_pct", "distinct")]
-        for r in baseline.byte_sizes(v, ("gzip", "xz"), blocks).groupBy("method").agg(F.sum("bytes").alias("b")).collect():
-            rows.append((name, r.method, "size_pct", measure.size_pct(r.b, v.n, v.m)))
+        for r in baseline.byte_sizes(v, ("gzip", "xz"), byte_blocks).groupBy("method").agg(F.sum("bytes").alias("b")).collect():
+            rows.append((name, r.method, "size_pct", _mean(v, r.b)))
         for r in baseline.sparse_sizes(v).collect():
-            rows.append((name, r.method, "size_pct", measure.size_pct(r.bytes, v.n, v.m)))
+            rows.append((name, r.method, "size_pct", _mean(v, r.bytes)))
         rows += [(name, c, "size_pct", p) for c, p in choose.report(v, blocks).items() if c != "stream"]
     return _tidy(spark, rows)
 
 
-def loops(spark: SparkSession, sf_dir: str, names: tuple[str, ...] = SWEEP, codecs: tuple[str, ...] = ("stream", "g32", "gpack", "gans"), blocks: tuple[int, ...] = (1, 4, 8), rounds: int = 3) -> DataFrame:
-    """Seconds a round, modelled memory and speed-up of the product loop by codec and number of blocks."""
+def counted_sizes(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """The part of the size table that follows from counts, in bytes, for every stand-in: dense, csr, csr_iv and stream."""
+    out = None
+    for name in standins.NAMES:
+        one = baseline.sparse_sizes(standins.view(spark, sf_dir, name)).select(F.lit(name).alias("matrix"), "method", "bytes")
+        out = one if out is None else out.union(one)
+    return out
+
+
+def counted_sizes_sql() -> str:
+    parts = []
+    for name in standins.NAMES:
+        m = standins.width(name)
+        parts.append(
+            f"SELECT '{name}' AS matrix, unnest(['csr', 'csr_iv', 'stream', 'dense']) AS method, unnest([12 * t + 8 * (n + 1), (4 + CASE WHEN v < 65536 THEN 2 ELSE 4 END) * t + 8 * (n + 1) + 8 * v, 4 * (t + n) + 8 * v, 8 * n * {m}])::BIGINT AS bytes"
+            f" FROM (SELECT count(*) AS t, count(DISTINCT val) AS v, (SELECT count(*) FROM ({standins.rows_sql(name)}) r) AS n FROM ({standins.long_sql(name)}) c) z"
+        )
+    return " UNION ALL ".join(parts)
+
+
+def _of_codec(every: Blocks, codec: str) -> Blocks:
+    return Blocks(every.df.where(F.col("codec") == codec), every.m, codec, every.values)
+
+
+def loop_vectors(spark: SparkSession, sf_dir: str, name: str, codecs: tuple[str, ...] = CODECS, blocks: tuple[int, ...] = BLOCKS, rounds: int = 3) -> DataFrame:
+    """(codec, blocks, col, x): the loop's vector after ``rounds`` rounds, which must be the dense one for every codec and block count."""
+    rows = []
+    v = standins.view(spark, sf_dir, name)
+    v = MatrixView(cut(v.rows), v.m, v.names)
+    for b in blocks:
+        every = choose.candidates(v, b, codecs)
+        for codec in codecs:
+            x, _ = multiply.iterate(_of_codec(every, codec), np.ones(v.m), rounds)
+            rows += [(codec, b, c, round(float(z), 6) + 0.0) for c, z in enumerate(x) if round(float(z), 6)]
+    return spark.createDataFrame(rows, "codec string, blocks int, col int, x double")
+
+
+def loops(spark: SparkSession, sf_dir: str, names: tuple[str, ...] = standins.NAMES, codecs: tuple[str, ...] = CODECS, blocks: tuple[int, ...] = BLOCKS, rounds: int = ROUNDS, peaks: tuple[int, ...] = (1, 16)) -> DataFrame:
+    """Seconds a round, memory and speed-up of the product loop by codec and number of blocks.
+
+    seconds: of the fused product in its task, decoded blocks at hand, mean of ``rounds``; of several blocks the slowest, as they
+    run side by side. size_pct, memory_pct and gap_pct: encoded bytes, what the product needs by count, and the difference.
+    peak_pct: what fresh processes took beyond what they held before, decoding and multiplying, summed over the blocks.
+    speed_up and memory_ratio compare with the first block count.
+    """
     rows: list[tuple] = []
     for name in names:
         v = standins.view(spark, sf_dir, name)
-        for codec in codecs:
-            first = None
-            for b in blocks:
-                g = multiply.compress(v, b, codec).prepared()
-                multiply.iterate(g, np.ones(v.m), 1)  # decoded blocks stay with the workers
-                s = measure.timing(lambda g=g: multiply.iterate(g, np.ones(v.m), rounds)) / rounds
-                first = s if first is None else first
+        v = MatrixView(cut(v.rows), v.m, v.names)
+        first: dict[tuple, float] = {}
+        for b in blocks:
+            every = choose.candidates(v, b, codecs, rounds, ready=True)
+            slow = {r.codec: r.s for r in every.df.groupBy("codec").agg(F.max("seconds").alias("s")).collect()}
+            for codec in codecs:
+                g, key = _of_codec(every, codec), f"{codec}/{b}"
                 memory = measure.memory_model(g, v.n)
-                rows += [(name, f"{codec}/{b}", "seconds", s), (name, f"{codec}/{b}", "memory_pct", memory["pct"]), (name, f"{codec}/{b}", "gap_pct", memory["gap_pct"]), (name, f"{codec}/{b}", "speed_up", first / s)]
+                first.setdefault((codec, "s"), slow[codec])
+                first.setdefault((codec, "m"), memory["total"])
+                rows += [(name, key, "seconds", slow[codec]), (name, key, "speed_up", first[codec, "s"] / max(1e-9, slow[codec])), (name, key, "size_pct", _mean(v, memory["encoded"]))]
+                rows += [(name, key, "memory_pct", memory["pct"]), (name, key, "gap_pct", memory["gap_pct"]), (name, key, "memory_ratio", memory["total"] / first[codec, "m"])]
+            if b in peaks:
+                wanted = Blocks(every.df.where(F.col("codec").isin("gpack", "gans")), every.m, "mixed", every.values)
+                for r in measure.product_peaks(wanted).groupBy("codec").agg(F.sum(F.col("peak_kb") - F.col("base_kb")).alias("kb")).collect():
+                    rows.append((name, f"{r.codec}/{b}", "peak_pct", _mean(v, 1024 * r.kb)))
     return _tidy(spark, rows)
 
 
-def reordering(spark: SparkSession, sf_dir: str, names: tuple[str, ...] = ("star_codes",), algorithms: tuple[str, ...] = ("tour", "paths", "matching", "coalesced"), ks: tuple[int, ...] = (4, 8, 16), codec: str = "gans") -> DataFrame:
-    """Sizes after each ordering and pruning (local, global, full), the ordering's seconds and its score; the identity for comparison."""
+def sizes_of_orders(view: MatrixView, orders: list[tuple[int, ...]], codec: str = "gans", blocks: int = 1) -> list[int]:
+    """Bytes of the matrix under each column order, all orders in one job: a task per order and block."""
+    values, m = multiply.shared_values(view), view.m
+    shared = view.rows.sparkSession.sparkContext.broadcast((values, [np.array(o) for o in orders]))
+
+    def work(key: tuple, rows: pa.Table) -> pa.Table:
+        v, own = shared.value
+        ids, sym, row, used = multiply.block_symbols(rows, m, v, own[key[0].as_py()])
+        g = METHODS["exact"](sym, row, len(ids), len(used) * m)
+        p = multiply.pack_block(0, ids, 0, g, codec, None if v is not None else used)
+        return pa.table({"at": pa.array([key[0].as_py()], pa.int32()), "bytes": pa.array([p["c_bytes"] + p["r_bytes"] + p["v_bytes"]], pa.int64())})
+
+    every = view.rows.withColumn("block", view.block_of(blocks)).withColumn("at", F.explode(F.sequence(F.lit(0), F.lit(len(orders) - 1))))
+    found = {r["at"]: r.b for r in every.groupBy("at", "block").applyInArrow(work, "at int, bytes long").groupBy("at").agg(F.sum("bytes").alias("b")).collect()}
+    fixed = 8 * len(values) if values is not None else 0
+    return [found[i] + fixed for i in range(len(orders))]
+
+
+def reordering(spark: SparkSession, sf_dir: str, names: tuple[str, ...] = REORDERED, algorithms: tuple[str, ...] = ("tour", "paths", "matching", "coalesced"), ks: tuple[int, ...] = (4, 8, 16), codec: str = "gans") -> DataFrame:
+    """Sizes after each ordering and pruning (local and global by k, and none), the ordering's seconds and score; the given order for comparison."""
     rows: list[tuple] = []
     for name in names:
         v = standins.view(spark, sf_dir, name)
-        scores = reorder.similarity(v).persist()
+        v = MatrixView(cut(v.rows), v.m, v.names)
+        scores = cut(reorder.similarity(v))
         every = reorder.edges_of(scores)
-
-        def size_of(order) -> float:
-            return measure.size_pct(measure.size(multiply.compress(v, 1, codec, order=order)), v.n, v.m)  # noqa: B023
-
-        rows.append((name, "identity", "size_pct", size_of(None)))
-        graphs = {f"local/{k}": reorder.edges_of(reorder.prune_local(scores, k)) for k in ks} | {f"global/{ks[0]}": reorder.edges_of(reorder.prune_global(scores, ks[0], v.m)), "full": every}
-        known: dict[tuple[int, ...], float] = {}
+        graphs = {f"local/{k}": reorder.edges_of(reorder.prune_local(scores, k)) for k in ks} | {f"global/{k}": reorder.edges_of(reorder.prune_global(scores, k, v.m)) for k in ks} | {"full": every}
+        orders = {("identity", "-"): tuple(range(v.m))}
         for a in algorithms:
             for label, edges in graphs.items():
                 start = time.perf_counter()
-                order = tuple(reorder.ALGORITHMS[a](edges, v.m))
-                seconds = time.perf_counter() - start
-                if order not in known:
-                    known[order] = size_of(order)
-                rows += [(name, f"{a}/{label}", "size_pct", known[order]), (name, f"{a}/{label}", "seconds", seconds), (name, f"{a}/{label}", "score", reorder.order_score(list(order), every))]
-        scores.unpersist()
+                orders[a, label] = tuple(reorder.ALGORITHMS[a](edges, v.m))
+                rows.append((name, f"{a}/{label}", "seconds", time.perf_counter() - start))
+                rows.append((name, f"{a}/{label}", "score", reorder.order_score(list(orders[a, label]), every)))
+        distinct = sorted(set(orders.values()))
+        size = dict(zip(distinct, sizes_of_orders(v, distinct, codec)))
+        rows += [(name, f"{a}/{label}", "size_pct", _mean(v, size[o])) for (a, label), o in orders.items()]
     return _tidy(spark, rows)
 
 
-def rivals(spark: SparkSession, sf_dir: str, names: tuple[str, ...] = ("star_codes",), blocks: int = 4, rounds: int = 2) -> DataFrame:
-    """Blockwise reordered grammars against column groups and plain order: size, seconds to compress, seconds a round, improvement."""
+def rivals(spark: SparkSession, sf_dir: str, names: tuple[str, ...] = REORDERED, blocks: int = 16, k: int = 16, rounds: int = ROUNDS) -> DataFrame:
+    """Blockwise reordered grammars against column groups and the given order: size, seconds to compress, seconds a round of the loop, memory and its gain."""
     rows: list[tuple] = []
     for name in names:
         v = standins.view(spark, sf_dir, name)
+        v = MatrixView(cut(v.rows), v.m, v.names)
+        x = np.ones(v.m)
         for codec in ("gpack", "gans"):
             plain = multiply.compress(v, blocks, codec).prepared()
             start = time.perf_counter()
-            g, totals = reorder.blockwise(v, blocks, codec=codec)
+            g, totals = reorder.blockwise(v, blocks, k=k, codec=codec)
             g = g.prepared()
-            built = time.perf_counter() - start
-            multiply.iterate(g, np.ones(v.m), 1)
-            s = measure.timing(lambda g=g: multiply.iterate(g, np.ones(v.m), rounds)) / rounds
-            before, after = measure.memory_model(plain, v.n)["total"], measure.memory_model(g, v.n)["total"]
-            rows += [(name, f"{codec}/blockwise", "size_pct", measure.size_pct(measure.size(g), v.n, v.m)), (name, f"{codec}/blockwise", "compress_seconds", built), (name, f"{codec}/blockwise", "seconds", s), (name, f"{codec}/blockwise", "memory_gain", measure.improvement(before, after))]
+            rows.append((name, f"{codec}/blockwise", "compress_seconds", time.perf_counter() - start))
+            used = {}
+            for label, h in (("blockwise", g), ("given", plain)):
+                multiply.iterate(h, x, 1)
+                memory = measure.memory_model(h, v.n)
+                used[label] = memory["total"]
+                rows += [(name, f"{codec}/{label}", "seconds", measure.timing(lambda h=h: multiply.iterate(h, x, rounds)) / rounds), (name, f"{codec}/{label}", "size_pct", _mean(v, memory["encoded"])), (name, f"{codec}/{label}", "memory_pct", memory["pct"])]  # noqa: B023
+                h.release()
+            rows.append((name, f"{codec}/blockwise", "memory_gain", measure.improvement(used["given"], used["blockwise"])))
             rows += [(name, f"{codec}/{a}", "total_bytes", b) for a, b in totals.items()]
         start = time.perf_counter()
-        groups = baseline.column_groups(v)
-        built = time.perf_counter() - start
-        y = standins.y_frame(v)
-        s = measure.timing(lambda: (baseline.groups_right(groups, np.ones(v.m)).count(), baseline.groups_left(groups, y).count()), rounds)  # noqa: B023
-        rows += [(name, "column_groups", "size_pct", measure.size_pct(sum(groups.sizes.values()), v.n, v.m)), (name, "column_groups", "compress_seconds", built), (name, "column_groups", "seconds", s)]
+        groups = baseline.column_groups(v, blocks).prepared()
+        stored = sum(groups.sizes.values())
+        rows.append((name, "column_groups", "compress_seconds", time.perf_counter() - start))
+        baseline.groups_gram(groups, x)
+        s = measure.timing(lambda: baseline.groups_gram(groups, x), rounds)  # noqa: B023
+        rows += [(name, "column_groups", "seconds", s), (name, "column_groups", "size_pct", _mean(v, stored)), (name, "column_groups", "memory_pct", _mean(v, stored + 8 * (v.n + v.m)))]
     return _tidy(spark, rows)
 
 
-def entropy_slack(spark: SparkSession, sf_dir: str, names: tuple[str, ...] = ("star_codes",), orders: tuple[int, ...] = (0, 1, 2)) -> DataFrame:
+def entropy_slack(spark: SparkSession, sf_dir: str, names: tuple[str, ...] = REORDERED, orders: tuple[int, ...] = (0, 1, 2)) -> DataFrame:
     """Bits of the encoded grammar against the stream's entropy bounds."""
     rows: list[tuple] = []
     for name in names:
         v = standins.view(spark, sf_dir, name)
-        s = encode.stream(v)
-        bits = 8 * (measure.size(g := multiply.compress(v, 1, "gans")) - 8 * len(g.values))
+        v = MatrixView(cut(v.rows), v.m, v.names)
+        s, marks = cut(encode.stream(v)), encode.row_marks(v)
+        bits = 8 * (measure.size(g := multiply.compress(v, 1, "gans").prepared()) - 8 * len(g.values))
         for k in orders:
-            e = measure.entropy(s, k).first()
+            e = measure.entropy(s, k, marks).first()
             rows += [(name, f"order {k}", "bound_bits", e.total * e.h), (name, f"order {k}", "grammar_bits", bits), (name, f"order {k}", "slack", bits / max(1e-9, e.total * e.h))]
+        g.release()
+    return _tidy(spark, rows)
+
+
+def ordering_times(spark: SparkSession, sf_dir: str, algorithms: tuple[str, ...] = ("paths", "matching", "tour")) -> DataFrame:
+    """Seconds of the ordering algorithms at full width: character counts, and words hashed into 784 columns."""
+    rows = []
+    wide = {"doc_chars": standins.view(spark, sf_dir, "doc_chars"), f"hashed_words_{HASHED}": src.from_hashed_words(src.table(spark, sf_dir, "documents"), "text", HASHED, "doc_id")}
+    for name, v in wide.items():
+        v = MatrixView(cut(v.rows), v.m, v.names)
+        edges = reorder.edges_of(reorder.prune_local(reorder.similarity(v, "block", blocks=16), 16))
+        rows += [(name, "columns", "m", v.m), *((name, a, "seconds", measure.timing(lambda a=a: reorder.ALGORITHMS[a](edges, v.m))) for a in algorithms)]  # noqa: B023
     return _tidy(spark, rows)
 
 
-def ordering_times(spark: SparkSession, sf_dir: str, columns: int = 40, algorithms: tuple[str, ...] = ("paths", "matching", "tour")) -> DataFrame:
-    """Seconds of the ordering algorithms on the widest stand-in's scores, on its ``columns`` columns of most cells."""
-    v = standins.view(spark, sf_dir, "doc_chars")
-    busy = [r.col for r in v.cells.groupBy("col").count().orderBy(F.desc("count"), "col").limit(columns).collect()]
-    v = v.select(sorted(busy))
-    edges = reorder.edges_of(reorder.prune_local(reorder.similarity(v), 16))
-    return _tidy(spark, [("doc_chars", a, "seconds", measure.timing(lambda a=a: reorder.ALGORITHMS[a](edges, v.m))) for a in algorithms])
+def _each(function, names):
+    return {f"w_{function.__name__}_{name}": (lambda spark, d, f=function, n=name: f(spark, d, (n,))) for name in names}
 
 
-QUERIES = {"w_sizes": sizes, "w_loops": loops, "w_reordering": reordering, "w_rivals": rivals, "w_entropy_slack": entropy_slack, "w_ordering_times": ordering_times}
+QUERIES = {
+    "w_sizes": sizes, "w_ordering_times": ordering_times,
+    **_each(loops, standins.NAMES), **_each(reordering, REORDERED), **_each(rivals, REORDERED), **_each(entropy_slack, REORDERED),
+}

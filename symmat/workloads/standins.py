@@ -73,13 +73,26 @@ def view(spark: SparkSession, sf_dir: str, name: str) -> MatrixView:
     return src.from_expressions(base, EXPRESSIONS[name][1])
 
 
+def width(name: str) -> int:
+    return 95 if name == "doc_chars" else 64 if name in ARRAYS else len(EXPRESSIONS[name][1])
+
+
 def rows_sql(name: str) -> str:
     """(row_id) of a stand-in in DuckDB."""
+    if name == "doc_chars":
+        return "SELECT doc_id AS row_id FROM documents"
+    if name in ARRAYS:
+        return "SELECT vec_id AS row_id FROM embeddings"
     return f"SELECT row_id FROM {EXPRESSIONS[name][0]} z"
 
 
 def long_sql(name: str) -> str:
     """(row_id, col, val) of a stand-in's nonzero cells in DuckDB."""
+    if name == "doc_chars":
+        return "SELECT doc_id AS row_id, c - 32 AS col, (length(text) - length(replace(text, chr(c::INTEGER), '')))::DOUBLE AS val FROM documents, range(32, 127) t(c) WHERE length(replace(text, chr(c::INTEGER), '')) < length(text)"
+    if name in ARRAYS:
+        v = "x::DOUBLE" if ARRAYS[name] is None else f"round(x::DOUBLE, {ARRAYS[name]})"
+        return f"SELECT row_id, col, {v} AS val FROM (SELECT vec_id AS row_id, generate_subscripts(embedding, 1) - 1 AS col, unnest(embedding) AS x FROM embeddings) e WHERE {v} <> 0"
     item, columns = EXPRESSIONS[name]
     arrays = ", ".join(f"CAST({e} AS DOUBLE)" for e in columns.values())
     return f"SELECT row_id, col, val FROM (SELECT row_id, generate_subscripts(v, 1) - 1 AS col, unnest(v) AS val FROM (SELECT row_id, [{arrays}] AS v FROM {item} z)) WHERE val <> 0"

@@ -163,6 +163,20 @@ def test_packed_ranges_and_wide_ids():
         codec.encode(Grammar(np.zeros((0, 2), np.int64), np.array([1]), np.array([0]), 1, 1 << 33), "g32")
 
 
+def test_tables_of_frequencies_are_short_and_short_strings_stay_packed():
+    r = np.random.default_rng(2)
+    for n, k in ((1, 2), (50, 40), (700, 300), (5000, 60), (5000, 4000)):
+        c = r.integers(0, k, n)
+        assert np.array_equal(codec.ans_decode(codec.ans_encode(c)), c)
+        g = Grammar(np.zeros((0, 2), np.int64), 1 + c, np.arange(n), n, k + 1)
+        coded, packed = codec.encode(g, "gans"), codec.encode(g, "gpack")
+        assert len(coded[0]) <= len(packed[0]) + 1
+        h = codec.decode("gans", *coded, 2 * n, 0, g.space)
+        assert np.array_equal(h.c, g.c) and np.array_equal(h.row, g.row)
+    values = r.integers(1, 1 << 15, 300)
+    assert np.array_equal(codec._from_gamma(codec._gamma(values), 300), values)
+
+
 def test_useless_rules_go():
     g = Grammar(np.array([[1, 2], [1, 3]]), np.array([5]), np.array([0]), 1, 4)
     p = prune_useless(g)

@@ -83,25 +83,37 @@ def test_relational_grammar(spark, view):
 def test_similarity_engines_agree(view):
     want = {(r.ci, r.cj): r.rep for r in reorder.repetitions(view, "hash").collect()}
     assert want == {(r.ci, r.cj): r.rep for r in reorder.repetitions(view, "sort").collect()}
-    local = reorder.local_edges([np.flatnonzero(r) for r in X], [r[r != 0] for r in X], 7)
+    local = reorder.local_edges(*np.nonzero(X), X[X != 0], 60, 7)
     assert {(a, b): round(w * 60) for a, b, w in local} == {k: v for k, v in want.items() if v}
 
 
-def test_column_groups(spark, view):
-    g = baseline.column_groups(view)
+@pytest.mark.parametrize("scheme", [None, *baseline.SCHEMES])
+def test_column_groups(spark, view, scheme, monkeypatch):
+    if scheme:
+        monkeypatch.setattr(baseline, "encode_group", lambda x, f=baseline.encode_group, s=scheme: f(x, s))
+    g = baseline.column_groups(view, 3)
     np.testing.assert_allclose(rows(baseline.groups_right(g, A)), X @ A)
     y = spark.createDataFrame([(i, float(v)) for i, v in enumerate(B)], "row_id long, y double")
     np.testing.assert_allclose(np.nan_to_num(rows(baseline.groups_left(g, y), 7)), B @ X)
-
-
-def test_runs_over_span_borders(spark, monkeypatch):
-    monkeypatch.setattr(baseline, "SPAN", 4)
-    code = np.repeat(RNG.integers(1, 4, 12), RNG.integers(1, 9, 12))
-    held = RNG.random(len(code)) < 0.8
-    df = spark.createDataFrame([(int(i), 0, int(code[i])) for i in np.flatnonzero(held)], "row_id long, g int, code long")
-    shown = np.where(held, code, 0)
-    want = sum(shown[i] > 0 and (i == 0 or shown[i] != shown[i - 1]) for i in range(len(shown)))
-    assert baseline.run_counts(df).first().asDict() == {"g": 0, "held": int(held.sum()), "runs": int(want)}
+    np.testing.assert_allclose(baseline.groups_gram(g, A), X.T @ (X @ A))
+    assert np.array_equal(dense(baseline.groups_decode(g)), X)
+    assert sorted(c for cols in g.groups for c in cols) == list(range(7))
+    if not scheme:
+        assert sum(g.sizes.values()) <= X.nbytes and {r.scheme for r in g.schemes().collect()} <= set(baseline.SCHEMES)
+
+
+def test_each_scheme_is_chosen_where_it_is_smallest():
+    n = 4000
+    r = np.random.default_rng(1)
+    few = np.zeros((n, 1))
+    few[r.choice(n, 20, replace=False)] = 5.0
+    cases = {"offsets": few, "runs": np.repeat(r.integers(1, 5, 40).astype(float), 100)[:, None], "codes": r.integers(1, 5, (n, 2)).astype(float), "raw": r.normal(size=(n, 1))}
+    for scheme, x in cases.items():
+        part = baseline.encode_group(x)
+        assert part["scheme"] == scheme and part["bytes"] == min(baseline.encode_group(x, s)["bytes"] for s in baseline.SCHEMES)
+        read = baseline.GroupPart(part, n, x.shape[1])
+        assert np.array_equal(read.dense(), x)
+        np.testing.assert_allclose(read.left(np.arange(n)), np.arange(n) @ x)
 
 
 def test_entropy_over_span_borders(spark, view, monkeypatch):
@@ -113,6 +125,115 @@ def test_entropy_over_span_borders(spark, view, monkeypatch):
         assert got.total == w.total and got.h == pytest.approx(w.h)
 
 
+def test_blocks_of_any_row_ids(spark, view, monkeypatch):
+    import symmat.model
+
+    ids = np.sort(np.concatenate([[-(1 << 62), -5, 0, 3, 7, 1 << 55, (1 << 55) + 1, (1 << 62) + 3], RNG.integers(-(1 << 60), 1 << 60, 52)]))
+    moved = type(view)(view.rows.join(spark.createDataFrame([(i, int(x)) for i, x in enumerate(ids)], "row_id long, far long"), "row_id").select(symmat.model.F.col("far").alias("row_id"), "cols", "vals"), view.m)
+    for edges in (128, 2):  # borders in an expression, and searched in Arrow batches
+        monkeypatch.setattr(symmat.model, "EDGES", edges)
+        for blocks in (1, 4, 7, 60, 100):
+            v = type(view)(moved.rows, moved.m)
+            sizes = [r["n"] for r in v.rows.groupBy(v.block_of(blocks).alias("b")).agg(symmat.model.F.count("*").alias("n")).orderBy("b").collect()]
+            per = -(-60 // blocks)
+            assert sizes == [per] * (60 // per) + [60 % per] * (60 % per > 0)
+    g = multiply.compress(moved, 4)
+    got = {r.row_id: r.y for r in multiply.right(g, A).collect()}
+    np.testing.assert_allclose([got[int(i)] for i in ids], X @ A)
+    assert multiply.compress(view, None).df.count() == 1 and multiply.block_count(view, 64) == -(-4 * (int((X != 0).sum()) + 60) // 64)
+
+
+def test_entropy_counts_the_marks_of_empty_rows(spark, view):
+    marked = [list(1 + np.flatnonzero(r)) for r in X]
+    s = encode.stream(view)
+    by_row = {}
+    for r in s.collect():
+        by_row.setdefault(r.row_id, []).append((r.pos, r.sym))
+    line = [x for i in range(60) for x in [q for _, q in sorted(by_row.get(i, []))] + [0]]
+    assert len(line) == sum(map(len, marked)) + 60
+    for k in (0, 1, 2):
+        seen: dict = {}
+        for i, x in enumerate(line):
+            ctx = tuple(line[max(0, i - k) : i]) if k else ()
+            seen.setdefault((len(ctx), ctx), []).append(x)
+        want = 0.0
+        for own in seen.values():
+            _, n = np.unique(own, return_counts=True)
+            want -= (n * np.log2(n / n.sum())).sum()
+        got = measure.entropy(s, k, encode.row_marks(view)).first()
+        assert got.total == len(line) and got.h == pytest.approx(want / len(line))
+
+
+def test_orders_of_each_row(spark, view):
+    s = encode.stream(view, order="row_partner")
+    lines: dict = {}
+    for r in s.collect():
+        lines.setdefault(r.row_id, {})[r.pos] = r.sym
+    sets = {i: set(x.values()) for i, x in lines.items()}
+    alone = {q: sum(q in x for x in sets.values()) for q in set().union(*sets.values())}
+    for i, own in lines.items():
+        line = [own[k] for k in range(len(own))]
+        left = sorted(sets[i])
+        want = [max(left, key=lambda q: (alone[q], -q))]
+        while left := [q for q in left if q != want[-1]]:
+            want.append(max(left, key=lambda q: (sum(q in x and want[-1] in x for x in sets.values()), -q)))
+        assert line == want
+    with pytest.raises(ValueError):
+        encode.stream(view, order="other")
+
+
+def test_blockwise_winner_has_the_least_total(view):
+    best, totals = reorder.blockwise(view, 2, k=3)
+    assert best.df.agg({"c_bytes": "sum"}).first()[0] + best.df.agg({"r_bytes": "sum"}).first()[0] == min(totals.values())
+
+
+def test_chooser_takes_the_fastest_that_fits(view, monkeypatch):
+    every = choose.candidates(view, 2)
+    seconds = {"stream": 1.0, "g32": 3.0, "gpack": 5.0, "gans": 7.0}
+    fixed = choose.F.create_map(*[choose.F.lit(x) for kv in seconds.items() for x in kv])
+    staged = type(every)(every.df.withColumn("seconds", fixed[choose.F.col("codec")]), every.m, "mixed", every.values)
+    monkeypatch.setattr(choose, "candidates", lambda *a, **k: staged)
+    cost = {r.codec: r.b for r in staged.df.groupBy("codec").agg(choose.F.sum(choose.F.expr("c_bytes + r_bytes + v_bytes + 8 * r_len")).alias("b")).collect()}
+    base = 8 * len(every.values) + 8 * (60 + 7)
+    picked = lambda budget, **k: {r.codec for r in choose.choose(view, budget, 2, **k).df.select("codec").collect()}
+    assert picked(10**9) == {"stream"} and picked(10**9, per_block=False) == {"stream"}
+    assert picked(base + min(cost.values()), per_block=False) == {min(cost, key=cost.get)}
+
+
+def test_products_of_several_vectors_and_norms(spark, view):
+    g = multiply.compress(view, 3, "gans")
+    y = spark.createDataFrame([(i, [float(v), 1.0, -2.0 * i]) for i, v in enumerate(B)], "row_id long, y array<double>")
+    got = {r.col: r.x for r in multiply.left(g, y).collect()}
+    np.testing.assert_allclose([got[c] for c in range(7)], X.T @ np.stack([B, np.ones(60), -2.0 * np.arange(60)], axis=1))
+    np.testing.assert_allclose(rows(multiply.norms(g), 7), np.linalg.norm(X, axis=0))
+    t = multiply.transposed(g)
+    np.testing.assert_allclose(rows(t.left(A)), X @ A)
+    assert t.transposed() is g
+
+
+def test_peaks_are_of_products(view):
+    peaks = measure.product_peaks(multiply.compress(view, 2)).collect()
+    assert len(peaks) == 2 and all(0 < r.base_kb <= r.encoded_kb <= r.peak_kb for r in peaks)
+
+
+def test_loops_keep_within_their_memory(spark, view, monkeypatch):
+    monkeypatch.setattr(multiply, "KEEP_BYTES", 3000)
+    g = multiply.compress(view, 6, "gpack").prepared()
+    x, norms = multiply.iterate(g, np.ones(7), 3)
+    z = np.ones(7)
+    for _ in range(3):
+        z = X.T @ (X @ z)
+        z = z / np.abs(z).max()
+    np.testing.assert_allclose(x, z)
+    g.release()
+
+
+def test_saved_blocks_can_be_read_one_by_one(spark, view, tmp_path):
+    g = multiply.compress(view, 4)
+    g.save(str(tmp_path / "m"))
+    assert {r.block for r in Blocks.load(spark, str(tmp_path / "m"), [1, 3]).df.select("block").collect()} == {1, 3}
+
+
 def test_chooser_keeps_to_its_budget(view):
     g = choose.choose(view, 8 * X.size, 2)
     np.testing.assert_allclose(rows(multiply.right(g, A)), X @ A)
