@@ -260,7 +260,7 @@ WITH RECURSIVE v AS (SELECT vec_id, list_transform(embedding, lambda x: x::DOUBL
  l AS (SELECT a.vec_id AS a, b.vec_id AS b FROM g AS a JOIN g AS b ON a.vec_id < b.vec_id AND len(a.x) = len(b.x) WHERE list_cosine_similarity(a.x, b.x) >= {COSINE}),
  e AS (SELECT a, b FROM l UNION ALL SELECT b, a FROM l),
  n AS (SELECT a AS vec_id, count(*) AS n FROM e GROUP BY a),
- r AS (SELECT vec_id AS id, vec_id AS at FROM v UNION SELECT r.id, e.b FROM r JOIN e ON e.a = r.at),
- c AS (SELECT id, min(at) AS component_id FROM r GROUP BY id)
+ r AS (SELECT vec_id AS id, vec_id AS far FROM v UNION SELECT r.id, e.b FROM r JOIN e ON e.a = r.far),
+ c AS (SELECT id, min(far) AS component_id FROM r GROUP BY id)
 SELECT v.vec_id, coalesce(n, 0)::BIGINT AS n_links, component_id, v.vec_id = component_id AS kept FROM v LEFT JOIN n USING (vec_id) JOIN c ON c.id = v.vec_id
 """

@@ -394,7 +394,7 @@ WITH RECURSIVE d AS (SELECT doc_id, regexp_extract_all(translate(coalesce(text,
  p AS (SELECT x.doc_id AS a, y.doc_id AS b, count(*) AS c FROM s x JOIN s y ON x.s = y.s AND x.doc_id < y.doc_id GROUP BY 1, 2),
  l AS (SELECT a, b FROM p JOIN n AS na ON na.doc_id = a JOIN n AS nb ON nb.doc_id = b WHERE 100 * c >= 85 * (na.n + nb.n - c)),
  e AS (SELECT a, b FROM l UNION ALL SELECT b, a FROM l),
- r AS (SELECT doc_id AS id, doc_id AS at FROM documents UNION SELECT r.id, e.b FROM r JOIN e ON e.a = r.at),
- c AS (SELECT id, min(at) AS component_id FROM r GROUP BY id)
+ r AS (SELECT doc_id AS id, doc_id AS far FROM documents UNION SELECT r.id, e.b FROM r JOIN e ON e.a = r.far),
+ c AS (SELECT id, min(far) AS component_id FROM r GROUP BY id)
 SELECT d.doc_id, coalesce(n.n, 0)::BIGINT AS n_shingles, component_id, d.doc_id = component_id AS kept FROM d LEFT JOIN n USING (doc_id) JOIN c ON c.id = d.doc_id
 """
