@@ -25,7 +25,7 @@ from collections.abc import Iterator
 
 import numpy as np
 import pyarrow as pa
-from pyspark.sql import Column, DataFrame
+from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
 from ._common import WORD, WordHasher, chunks, components, cut, mix64, runs, unused, utf8, word_spans
@@ -296,8 +296,15 @@ def _meet(docs: DataFrame, tiles: DataFrame, reps: DataFrame, percent: int) -> t
 
 
 def _blocks(members: DataFrame) -> DataFrame:
-    """``members`` with block: at most ``TILE`` neighbours of a sort by hub and member. A large group lies in many partitions."""
-    return cut(members.orderBy("hub", "rep").withColumn("serial", F.monotonically_increasing_id())).withColumn("block", F.floor(F.col("serial") / TILE).cast("long")).drop("serial")
+    """``members`` (hub, rep, ...) with block: ``TILE`` neighbours of a sort by hub and member, however many partitions the sort has.
+
+    A large group lies in many partitions; a row a partition says how many members come before it.
+    """
+    lined = cut(members.orderBy("hub", "rep").withColumn("serial", F.monotonically_increasing_id())).withColumn("part", F.shiftright("serial", 33))
+    sizes = lined.groupBy("part").agg(F.count("*").alias("n"))
+    before = F.coalesce(F.sum("n").over(Window.orderBy("part").rowsBetween(Window.unboundedPreceding, -1)), F.lit(0))
+    place = F.col("before") + F.col("serial").bitwiseAND(F.lit((1 << 33) - 1))
+    return lined.join(F.broadcast(sizes.select("part", before.alias("before"))), "part").withColumn("block", F.floor(place / TILE).cast("long")).select(*members.columns, "block")
 
 
 def _rest(docs: DataFrame, members: DataFrame, several: DataFrame, open_: DataFrame, links: DataFrame, reps: DataFrame, percent: int) -> DataFrame:
