@@ -105,23 +105,29 @@ def timing(action: Callable[[], object], rounds: int = 1) -> float:
     return (time.perf_counter() - start) / rounds
 
 
+def product_bytes(encoded: int, rules: int, n: int, m: int, blocks: int) -> int:
+    """Bytes that a product needs by count: the encoded matrix, a value a rule, both vectors, a partial vector a block."""
+    return encoded + 8 * rules + 8 * (n + m) + 8 * blocks * m
+
+
 def memory_model(g: Blocks, n: int) -> dict[str, float]:
-    """Bytes that a product needs by count: codec bytes, rule values, both vectors, partial vectors; and their percent of dense."""
+    """``product_bytes`` of blocks, the encoded bytes in it, and their percent of dense."""
     s = g.df.agg(F.sum("r_len").alias("r"), F.count("*").alias("b")).first()
-    parts = {"encoded": size(g), "rules": 8 * s.r, "vectors": 8 * (n + g.m), "partials": 8 * s.b * g.m}
-    total = sum(parts.values())
-    return parts | {"total": total, "pct": size_pct(total, n, g.m), "gap_pct": size_pct(total - parts["encoded"], n, g.m)}
+    encoded = size(g)
+    total = product_bytes(encoded, s.r, n, g.m, s.b)
+    return {"encoded": encoded, "total": total, "pct": size_pct(total, n, g.m), "gap_pct": size_pct(total - encoded, n, g.m)}
 
 
 def product_peaks(g: Blocks, rounds: int = 1) -> DataFrame:
     """(block, codec, base_kb, encoded_kb, peak_kb): each block's largest resident size while it is decoded and multiplied by both sides.
 
-    Every block is run in a process of its own, started afresh, whose peak is its own: base_kb is that process before it
+    Every block is run in a process of its own (``peak``), started afresh, whose peak is its own: base_kb is that process before it
     holds the block, encoded_kb with the encoded block, peak_kb after ``rounds`` of right and left products.
     """
     m, shared = g.m, g.shared
 
     def run(batches):
+        import os
         import pickle
         import subprocess
         import sys
@@ -132,38 +138,14 @@ def product_peaks(g: Blocks, rounds: int = 1) -> DataFrame:
                 sink = pa.BufferOutputStream()
                 with pa.ipc.new_stream(sink, one.schema) as writer:
                     writer.write_batch(one)
-                load = pickle.dumps((sink.getvalue().to_pybytes(), m, shared.value, rounds, sys.path))
-                code = "import pickle, sys; load = pickle.load(sys.stdin.buffer); sys.path[:] = load[4]; from symmat.operators.measure import peak_of_block; print(*peak_of_block(*load[:4]))"
-                said = subprocess.run([sys.executable, "-c", code], input=load, capture_output=True, check=True).stdout.split()
+                load = pickle.dumps((sink.getvalue().to_pybytes(), m, shared.value, rounds))
+                said = subprocess.run([sys.executable, "-m", "symmat.operators.peak"], input=load, capture_output=True, check=True, env=os.environ | {"PYTHONPATH": os.pathsep.join(sys.path)}).stdout.split()
                 base, held, peak = (int(x) for x in said[-3:])
                 yield pa.RecordBatch.from_arrays([one.column("block"), one.column("codec"), *(pa.array([x], pa.int64()) for x in (base, held, peak))], names=["block", "codec", "base_kb", "encoded_kb", "peak_kb"])
 
     return g.df.mapInArrow(run, "block int, codec string, base_kb long, encoded_kb long, peak_kb long")
 
 
-def _resident_peak() -> int:
-    """Largest resident size of this process so far, in kB."""
-    with open("/proc/self/status") as f:
-        return next(int(line.split()[1]) for line in f if line.startswith("VmHWM"))
-
-
-def peak_of_block(load: bytes, m: int, values: np.ndarray | None, rounds: int) -> tuple[int, int, int]:
-    """Peaks of this process before, with, and after products on the one block in ``load``."""
-    from . import codec
-    from .kernel import Ready
-    from .multiply import _grammar, _numbers
-
-    codec.decode("gpack", b"", b"", 1, 0, 0, 1)
-    base = _resident_peak()
-    batch = next(iter(pa.ipc.open_stream(load)))
-    held = _resident_peak()
-    own = _numbers(batch, 0, "v")
-    for _ in range(rounds):
-        ready = Ready(_grammar(batch, 0), m, values if own is None else own)
-        ready.left(ready.right(np.ones(m)))
-    return base, held, _resident_peak()
-
-
 def improvement(before: float, after: float) -> float:
     return (before - after) / before
 

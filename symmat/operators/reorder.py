@@ -307,21 +307,22 @@ def tour(edges: Edges, m: int, seed: int = 1, restarts: int = 4, depth: int = 5)
         i, j = divmod(int(g.argmax()), m)
         return float(g[i, j]), i, j
 
-    def best_move(o: np.ndarray) -> tuple[float, np.ndarray]:
-        """The best new place of a piece of one to three cities, either way round."""
-        best, found = 0.0, o
+    def moved(o: np.ndarray) -> np.ndarray:
+        """One sweep of or-moves: each piece of one to three cities in turn goes to its best place, either way round, if that gains."""
         for size in (1, 2, 3):
             for i in range(m - size + 1):
                 piece, rest = o[i : i + size], np.concatenate([o[:i], o[i + size :]])
                 before, after = o[i - 1] if i else m, o[i + size] if i + size < m else m
                 off = rim[before, after] - rim[before, piece[0]] - rim[piece[-1], after]
                 a, b = np.append(m, rest), np.append(rest, m)
+                best, found = 1e-12, None
                 for p in (piece, piece[::-1]):
                     g = off - rim[a, b] + rim[a, p[0]] + rim[p[-1], b]
                     at = int(g.argmax())
-                    if g[at] > best + 1e-12:
+                    if g[at] > best:
                         best, found = float(g[at]), np.concatenate([rest[:at], p, rest[at:]])
-        return best, found
+                o = o if found is None else found
+        return o
 
     def improve(start: list[int]) -> list[int]:
         o = np.array(start)
@@ -336,10 +337,9 @@ def tour(edges: Edges, m: int, seed: int = 1, restarts: int = 4, depth: int = 5)
                 if g <= 0:
                     break
             if best is None:
-                gain, moved = best_move(o)
-                if gain <= 1e-12:
+                best = moved(o)
+                if np.array_equal(best, o):
                     return o.tolist()
-                best = moved
             o = best
 
     starts = [paths(edges, m), *(nearest(int(s)) for s in rng.permutation(m)[:restarts])]

@@ -45,10 +45,8 @@ def sizes(spark: SparkSession, sf_dir: str, names: tuple[str, ...] = standins.NA
         v = MatrixView(cut(v.rows), v.m, v.names)
         f = measure.features(v).first()
         rows += [(name, "matrix", k, f[k]) for k in ("n", "m", "nonzero_pct", "distinct")]
-        for r in baseline.byte_sizes(v, ("gzip", "xz"), byte_blocks).groupBy("method").agg(F.sum("bytes").alias("b")).collect():
+        for r in baseline.byte_sizes(v, ("gzip", "xz"), byte_blocks).groupBy("method").agg(F.sum("bytes").alias("b")).union(baseline.sparse_sizes(v)).collect():
             rows.append((name, r.method, "size_pct", _mean(v, r.b)))
-        for r in baseline.sparse_sizes(v).collect():
-            rows.append((name, r.method, "size_pct", _mean(v, r.bytes)))
         rows += [(name, c, "size_pct", p) for c, p in choose.report(v, blocks).items() if c != "stream"]
     return _tidy(spark, rows)
 
@@ -90,7 +88,7 @@ def loop_vectors(spark: SparkSession, sf_dir: str, name: str, codecs: tuple[str,
     return spark.createDataFrame(rows, "codec string, blocks int, col int, x double")
 
 
-def loops(spark: SparkSession, sf_dir: str, names: tuple[str, ...] = standins.NAMES, codecs: tuple[str, ...] = CODECS, blocks: tuple[int, ...] = BLOCKS, rounds: int = ROUNDS, peaks: tuple[int, ...] = (1, 16)) -> DataFrame:
+def loops(spark: SparkSession, sf_dir: str, names: tuple[str, ...] = standins.NAMES, codecs: tuple[str, ...] = CODECS, blocks: tuple[int, ...] = BLOCKS, rounds: int = ROUNDS, peaks: tuple[int, ...] = (1,)) -> DataFrame:
     """Seconds a round, memory and speed-up of the product loop by codec and number of blocks.
 
     seconds: of the fused product in its task, decoded blocks at hand, mean of ``rounds``; of several blocks the slowest, as they
@@ -105,14 +103,15 @@ def loops(spark: SparkSession, sf_dir: str, names: tuple[str, ...] = standins.NA
         first: dict[tuple, float] = {}
         for b in blocks:
             every = choose.candidates(v, b, codecs, rounds, ready=True)
-            slow = {r.codec: r.s for r in every.df.groupBy("codec").agg(F.max("seconds").alias("s")).collect()}
-            for codec in codecs:
-                g, key = _of_codec(every, codec), f"{codec}/{b}"
-                memory = measure.memory_model(g, v.n)
-                first.setdefault((codec, "s"), slow[codec])
-                first.setdefault((codec, "m"), memory["total"])
-                rows += [(name, key, "seconds", slow[codec]), (name, key, "speed_up", first[codec, "s"] / max(1e-9, slow[codec])), (name, key, "size_pct", _mean(v, memory["encoded"]))]
-                rows += [(name, key, "memory_pct", memory["pct"]), (name, key, "gap_pct", memory["gap_pct"]), (name, key, "memory_ratio", memory["total"] / first[codec, "m"])]
+            facts = every.df.groupBy("codec").agg(F.max("seconds").alias("s"), F.sum(F.col("c_bytes") + F.col("r_bytes") + F.col("v_bytes")).alias("bytes"), F.sum("r_len").alias("rules"), F.count("*").alias("blocks"))
+            for r in facts.collect():
+                key = f"{r.codec}/{b}"
+                encoded = r.bytes + (8 * len(every.values) if every.values is not None else 0)
+                total = measure.product_bytes(encoded, r.rules, v.n, v.m, r.blocks)
+                first.setdefault((r.codec, "s"), r.s)
+                first.setdefault((r.codec, "m"), total)
+                rows += [(name, key, "seconds", r.s), (name, key, "speed_up", first[r.codec, "s"] / max(1e-9, r.s)), (name, key, "size_pct", _mean(v, encoded))]
+                rows += [(name, key, "memory_pct", _mean(v, total)), (name, key, "gap_pct", _mean(v, total - encoded)), (name, key, "memory_ratio", total / first[r.codec, "m"])]
             if b in peaks:
                 wanted = Blocks(every.df.where(F.col("codec").isin("gpack", "gans")), every.m, "mixed", every.values)
                 for r in measure.product_peaks(wanted).groupBy("codec").agg(F.sum(F.col("peak_kb") - F.col("base_kb")).alias("kb")).collect():
