@@ -380,6 +380,6 @@ def reach(g: Blocks) -> DataFrame:
             s, r = (np.concatenate([p[k] for p in parts]) for k in (0, 1))
             col = np.where(s < t, ready.col[np.minimum(s, t - 1)], -1) if t else s
             val = np.where(s < t, ready.value[np.minimum(s, t - 1)], np.nan) if t else s.astype(float)
-            yield pa.RecordBatch.from_arrays([pa.array(np.full(len(s), block, np.int32)), pa.array(s), pa.array(ids[r]), pa.array(col.astype(np.int32)), pa.array(val)], names=["block", "symbol", "row_id", "col", "val"])
+            yield pa.RecordBatch.from_arrays([pa.array(np.full(len(s), block, np.int32)), pa.array(s.astype(np.int64)), pa.array(ids[r]), pa.array(col.astype(np.int32)), pa.array(val)], names=["block", "symbol", "row_id", "col", "val"])
 
     return g.df.mapInArrow(run, "block int, symbol long, row_id long, col int, val double")
