@@ -276,3 +276,11 @@ def test_measures(view):
     codes = encode.dictionary(view, "frequency")
     s = encode.stream(view, codes, [6, 5, 4, 3, 2, 1, 0])
     assert np.array_equal(dense(encode.decode_stream(s, codes, 7)), X)
+
+
+def test_libsvm_lines_keep_their_order_over_files(spark, tmp_path):
+    (tmp_path / "svm").mkdir()
+    (tmp_path / "svm/part-00000.txt").write_text("0 1:1.0\n0\n")
+    (tmp_path / "svm/part-00001.txt").write_text("".join(f"0 1:{i}.0 2:1.5\n" for i in range(2, 40)))  # the larger file is dealt first
+    got = {(r.row_id, r.col): r.val for r in src.read_libsvm(spark, str(tmp_path / "svm"), 2).cells.collect()}
+    assert got == {(0, 0): 1.0} | {(i, 0): float(i) for i in range(2, 40)} | {(i, 1): 1.5 for i in range(2, 40)}
