@@ -278,6 +278,48 @@ def test_measures(view):
     assert np.array_equal(dense(encode.decode_stream(s, codes, 7)), X)
 
 
+def test_large_blocks_are_built_in_pieces(spark, view, monkeypatch):
+    import symmat.model
+
+    monkeypatch.setattr(symmat.model, "PIECE_SYMBOLS", 40)
+    y = spark.createDataFrame([(i, float(v)) for i, v in enumerate(B)], "row_id long, y double")
+    far = np.sort(RNG.integers(-(1 << 60), 1 << 60, 60))
+    moved = type(view)(view.rows.join(spark.createDataFrame([(i, int(x)) for i, x in enumerate(far)], "row_id long, far long"), "row_id").select(symmat.model.F.col("far").alias("row_id"), "cols", "vals"), view.m)
+    for blocks, scope in ((1, "global"), (4, "block")):
+        g = multiply.compress(view, blocks, "gans", scope=scope).prepared()
+        kept = g.df.select("block", "piece", "row_ids", "s_len").orderBy("block", "piece").collect()
+        assert len(kept) > 2 * blocks and all(r.s_len <= 40 for r in kept) and [x for r in kept for x in r.row_ids] == list(range(60))
+        per = -(-60 // blocks)
+        assert all({x // per for x in r.row_ids} == {r.block} for r in kept)
+        assert {r.block: r.n_rows for r in g.explain().collect()} == {b: per for b in range(blocks)}
+        np.testing.assert_allclose(rows(multiply.right(g, A)), X @ A)
+        np.testing.assert_allclose(rows(multiply.left(g, y), 7), B @ X)
+        np.testing.assert_allclose(multiply.gram_apply(g, A), X.T @ (X @ A))
+        np.testing.assert_allclose(rows(multiply.norms(g), 7), np.linalg.norm(X, axis=0))
+        assert np.array_equal(dense(multiply.decode(g)), X)
+        peaks = measure.product_peaks(multiply.compress(view, blocks, piece_symbols=200)).collect()
+        assert sorted(r.block for r in peaks) == list(range(blocks)) and all(0 < r.base_kb <= r.encoded_kb <= r.peak_kb for r in peaks)
+        of = {(r.block, r.piece): list(r.row_ids) for r in kept}
+        other = multiply.compress(moved, blocks, scope=scope).df.select("block", "piece", "row_ids").collect()
+        assert {(r.block, r.piece): list(r.row_ids) for r in other} == {k: [int(far[i]) for i in v] for k, v in of.items()}
+    best, totals = reorder.blockwise(view, 2)
+    np.testing.assert_allclose(rows(multiply.right(best, A)), X @ A)
+    assert best.df.agg({"c_bytes": "sum"}).first()[0] + best.df.agg({"r_bytes": "sum"}).first()[0] == min(totals.values())
+    np.testing.assert_allclose(rows(multiply.right(choose.choose(view, 8 * X.size * 4, 2), A)), X @ A)
+
+
+def test_values_come_to_the_driver_packed_and_only_if_few(view, monkeypatch):
+    from pyspark.sql.classic.dataframe import DataFrame
+
+    def refused(*_):
+        raise AssertionError("a row per value on the driver")
+
+    monkeypatch.setattr(DataFrame, "toPandas", refused)
+    assert np.array_equal(multiply.shared_values(view), np.unique(X[X != 0]))
+    monkeypatch.setattr(multiply, "BROADCAST_BYTES", 8)
+    assert multiply.shared_values(view) is None
+
+
 def test_libsvm_lines_keep_their_order_over_files(spark, tmp_path):
     (tmp_path / "svm").mkdir()
     (tmp_path / "svm/part-00000.txt").write_text("0 1:1.0\n0\n")
