@@ -326,3 +326,17 @@ def test_libsvm_lines_keep_their_order_over_files(spark, tmp_path):
     (tmp_path / "svm/part-00001.txt").write_text("".join(f"0 1:{i}.0 2:1.5\n" for i in range(2, 40)))  # the larger file is dealt first
     got = {(r.row_id, r.col): r.val for r in src.read_libsvm(spark, str(tmp_path / "svm"), 2).cells.collect()}
     assert got == {(0, 0): 1.0} | {(i, 0): float(i) for i in range(2, 40)} | {(i, 1): 1.5 for i in range(2, 40)}
+
+
+def test_column_groups_in_pieces(spark, view, monkeypatch):
+    import symmat.model
+
+    monkeypatch.setattr(symmat.model, "PIECE_SYMBOLS", 80)
+    g = baseline.column_groups(view, 2).prepared()
+    assert g.encoded.count() > 4 and {r.block for r in g.encoded.select("block").collect()} == {0, 1}
+    assert all(r.blocks <= 2 for r in g.schemes().collect())
+    np.testing.assert_allclose(rows(baseline.groups_right(g, A)), X @ A)
+    y = spark.createDataFrame([(i, float(v)) for i, v in enumerate(B)], "row_id long, y double")
+    np.testing.assert_allclose(np.nan_to_num(rows(baseline.groups_left(g, y), 7)), B @ X)
+    np.testing.assert_allclose(baseline.groups_gram(g, A), X.T @ (X @ A))
+    assert np.array_equal(dense(baseline.groups_decode(g)), X)
