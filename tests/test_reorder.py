@@ -1,6 +1,7 @@
 """Orderings against exhaustive search, and the closed forms of the size table."""
 
 import itertools
+from collections import Counter
 
 import numpy as np
 import pytest
@@ -112,3 +113,14 @@ TABLE = [
 @pytest.mark.parametrize("n,m,pct,distinct,want", TABLE)
 def test_stream_size_in_closed_form(n, m, pct, distinct, want):
     assert measure.stream_pct(n, m, round(n * m * pct / 100), distinct) == pytest.approx(want, abs=0.011)
+
+
+@pytest.mark.parametrize("m,share", [(6, 0.8), (200, 0.02)])
+def test_pair_counts_are_those_of_all_pairs(m, share):
+    rng = np.random.default_rng(4)
+    x = rng.integers(1, 4, (300, m)) * (rng.random((300, m)) < share)
+    x[:, 2] = rng.permutation(300) + 1  # many values: pairs are sorted
+    row, col = np.nonzero(x)
+    want = Counter((i, j, r[i], r[j]) for r in x.tolist() for i, j in itertools.combinations(range(m), 2) if r[i] and r[j])
+    got = {(i, j, a, b): c for i, j, vi, vj, n in reorder.pair_counts(row, col, x[row, col].astype(float), 300, m) for a, b, c in zip(vi, vj, n)}
+    assert got == want

@@ -340,3 +340,42 @@ def test_column_groups_in_pieces(spark, view, monkeypatch):
     np.testing.assert_allclose(np.nan_to_num(rows(baseline.groups_left(g, y), 7)), B @ X)
     np.testing.assert_allclose(baseline.groups_gram(g, A), X.T @ (X @ A))
     assert np.array_equal(dense(baseline.groups_decode(g)), X)
+
+
+def test_orders_of_a_piece_share_its_rows(spark, view, monkeypatch):
+    import symmat.model
+    from symmat.workloads import experiments
+
+    monkeypatch.setattr(symmat.model, "PIECE_SYMBOLS", 100)
+
+    def work(key, rows):
+        pa = multiply.pa
+        cells = len(rows.column("cols").combine_chunks().flatten())
+        return pa.table({"piece": pa.array([key[1].as_py()], pa.int32()), "lot": pa.array([key[2].as_py()], pa.int32()), "ids": [rows.column("row_id").to_pylist()], "cells": pa.array([cells], pa.int32())})
+
+    got = multiply.in_pieces(view, 1, lots=2).applyInArrow(work, "piece int, lot int, ids array<long>, cells int").orderBy("lot", "piece").collect()
+    pieces = view.piece_count(1)[1]
+    assert pieces > 1 and [(r.lot, r.piece) for r in got] == [(k, p) for k in range(2) for p in range(pieces)]
+    assert [i for r in got for i in r.ids] == [*range(60), *range(60)] and sum(r.cells for r in got) == 2 * (X != 0).sum()
+    orders = [tuple(map(int, RNG.permutation(7))) for _ in range(5)]
+    want = [measure.size(multiply.compress(view, 1, "gans", order=o)) for o in orders]
+    assert experiments.sizes_of_orders(view, orders) == want
+    monkeypatch.setattr(experiments, "LOTS", 0)
+    assert experiments.sizes_of_orders(view, orders) == want
+
+
+def test_stored_tables_are_given_back(spark):
+    import os
+
+    import symmat.model as model
+
+    folder = model.shared_folder(spark).removeprefix("file:")
+    there = lambda: {f for f in os.listdir(folder) if f.startswith("stored-")}
+    before = there()
+    with model.scratch(spark):
+        with model.scratch(spark):
+            model.stored(spark.range(5).toDF("a"))
+            with model.outer():
+                kept = model.stored(spark.createDataFrame([(1, [1.5, -0.0], None)], "a long, b array<double>, c string"))
+        assert len(there() - before) == 1 and str(kept.first().b) == "[1.5, -0.0]" and kept.first().c is None
+    assert there() == before
