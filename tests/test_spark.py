@@ -379,3 +379,17 @@ def test_stored_tables_are_given_back(spark):
                 kept = model.stored(spark.createDataFrame([(1, [1.5, -0.0], None)], "a long, b array<double>, c string"))
         assert len(there() - before) == 1 and str(kept.first().b) == "[1.5, -0.0]" and kept.first().c is None
     assert there() == before
+
+
+def test_loops_keep_numbers_not_blocks(spark, view, monkeypatch):
+    from symmat.workloads import experiments
+
+    seen, real = [], choose.stored
+    monkeypatch.setattr(choose, "stored", lambda df: seen.append(df.columns) or real(df))
+    monkeypatch.setattr(choose, "cut", None)
+    monkeypatch.setattr(experiments, "_view", lambda *a: view)
+    got = {(r.method, r.metric): r.value for r in experiments.loops(spark, "", ("x",), blocks=(1, 3), rounds=1).collect()}
+    assert len(seen) == 2 and not {"c", "r", "v", "row_ids"} & {c for columns in seen for c in columns}
+    assert {k for k, _ in got} == {f"{c}/{b}" for c in experiments.CODECS for b in (1, 3)} and {k for k, what in got if what == "peak_pct"} == {"gpack/1", "gans/1"}
+    for c in experiments.CODECS:
+        assert got[f"{c}/3", "size_pct"] == pytest.approx(measure.size_pct(measure.size(multiply.compress(view, 3, c)), 60, 7))
