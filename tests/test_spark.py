@@ -393,3 +393,24 @@ def test_loops_keep_numbers_not_blocks(spark, view, monkeypatch):
     assert {k for k, _ in got} == {f"{c}/{b}" for c in experiments.CODECS for b in (1, 3)} and {k for k, what in got if what == "peak_pct"} == {"gpack/1", "gans/1"}
     for c in experiments.CODECS:
         assert got[f"{c}/3", "size_pct"] == pytest.approx(measure.size_pct(measure.size(multiply.compress(view, 3, c)), 60, 7))
+
+
+def test_size_table_compresses_a_method_a_task(spark, view):
+    import zlib
+
+    df = baseline.byte_sizes(view, ("gzip", "rle"), 2)
+    got = {(r.block, r.method): r.bytes for r in df.collect()}
+    assert df.rdd.getNumPartitions() == 4  # two blocks, two methods
+    for b in range(2):
+        z = zlib.compressobj(6, zlib.DEFLATED, 31)
+        data = X[30 * b : 30 * b + 30].tobytes()
+        assert got[b, "gzip"] == len(z.compress(data)) + len(z.flush())
+
+
+def test_characters_are_counted_in_one_pass(spark):
+    texts = ["abca  é一~", None, "", "\x7f\x1fz" * 3, "a" * 5000]
+    df = spark.createDataFrame([(7 * i, t) for i, t in enumerate(texts)], "doc_id int, text string")
+    v = src.from_characters(df, "text", range(32, 127), "doc_id")
+    assert "MapInArrow" in v.rows._jdf.queryExecution().executedPlan().toString()
+    got = {r.row_id: dict(zip(r.cols, r.vals)) for r in v.rows.collect()}
+    assert got == {7 * i: {ord(c) - 32: float(t.count(c)) for c in sorted(set(t)) if 32 <= ord(c) < 127} for i, t in enumerate(t or "" for t in texts)}
