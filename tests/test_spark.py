@@ -414,3 +414,13 @@ def test_characters_are_counted_in_one_pass(spark):
     assert "MapInArrow" in v.rows._jdf.queryExecution().executedPlan().toString()
     got = {r.row_id: dict(zip(r.cols, r.vals)) for r in v.rows.collect()}
     assert got == {7 * i: {ord(c) - 32: float(t.count(c)) for c in sorted(set(t)) if 32 <= ord(c) < 127} for i, t in enumerate(t or "" for t in texts)}
+
+
+def test_entropy_makes_no_join_of_pairs(spark, view):
+    s = encode.stream(view, encode.dictionary(view))
+    plan = measure.entropy(s, 0, encode.row_marks(view))._jdf.queryExecution().optimizedPlan().toString()
+    of_symbols = s._jdf.queryExecution().optimizedPlan().toString()
+    assert plan.count("Join") == of_symbols.count("Join")
+    _, n = np.unique(np.concatenate([np.zeros(60, int), 1 + np.unique(X[X != 0], return_inverse=True)[1] * 7 + np.nonzero(X)[1]]), return_counts=True)
+    got = measure.entropy(s, 0, encode.row_marks(view)).first()
+    assert got.total == n.sum() and got.h == pytest.approx(-(n * np.log2(n / n.sum())).sum() / n.sum())
